@@ -37,12 +37,14 @@ def _hashed(df: DataFrame, text: str) -> DataFrame:
 
 def _buckets(wh: Column, buckets: int, orders: tuple[int, ...]) -> Column:
     """Buckets of all word n-grams of the given orders, from the words' hashes."""
-    parts = []
-    for n in orders:
+
+    def of_order(n: int) -> Column:
         grams = F.slice(wh, 1, F.greatest(F.size(wh) - (n - 1), F.lit(0)))
-        joint = lambda h, i, n=n: F.xxhash64(h, *(F.get(wh, i + k) for k in range(1, n))) if n > 1 else h
-        parts.append(F.transform(grams, lambda h, i, joint=joint: F.pmod(joint(h, i), F.lit(buckets)).cast("int")))
-    return F.concat(*parts)
+        if n == 1:
+            return F.transform(wh, lambda h: F.pmod(h, F.lit(buckets)).cast("int"))
+        return F.transform(grams, lambda h, i: F.pmod(F.xxhash64(h, *(F.get(wh, i + k) for k in range(1, n))), F.lit(buckets)).cast("int"))
+
+    return F.concat(*map(of_order, orders)) if len(orders) > 1 else of_order(orders[0])
 
 
 def bucket_counts(docs: DataFrame, text: str = "text", buckets: int = BUCKETS, orders: tuple[int, ...] = ORDERS) -> DataFrame:
