@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+from .privacy import op3_private_data
 from .quality import op10_quality_rules
+from .secrets import op4_secret_scan
 
 
 def queries() -> dict:
     return {
+        "op3_private_data": op3_private_data,
+        "op4_secret_scan": op4_secret_scan,
         "op10_quality_rules": op10_quality_rules,
     }
 

@@ -131,16 +131,16 @@ def with_matches(df: DataFrame, text: str, patterns: dict[str, tuple[str, Column
         gaps = F.transform(F.split(F.col(text), regex, -1), F.length)
         df = df.withColumn(f"_{name}_g", F.when(F.size(f"_{name}_m") > 0, gaps).otherwise(F.array().cast("array<int>")))
     for name in patterns:
-        both = F.transform(F.col(f"_{name}_m"), lambda m, i, n=name: F.get(F.col(f"_{n}_g"), i) + F.length(m))
+        both = F.transform(F.col(f"_{name}_m"), lambda m, i: F.get(F.col(f"_{name}_g"), i) + F.length(m))
         df = df.withColumn(f"_{name}_l", both)
     for name in patterns:
         df = df.withColumn(f"_{name}_p", running_start(F.col(f"_{name}_l")))
     for name in patterns:
         spans = F.transform(
             F.col(f"_{name}_m"),
-            lambda m, i, n=name: F.struct(
-                (F.get(F.col(f"_{n}_p"), i) + F.get(F.col(f"_{n}_g"), i)).alias("start"),
-                (F.get(F.col(f"_{n}_p"), i) + F.get(F.col(f"_{n}_l"), i)).alias("end"),
+            lambda m, i: F.struct(
+                (F.get(F.col(f"_{name}_p"), i) + F.get(F.col(f"_{name}_g"), i)).alias("start"),
+                (F.get(F.col(f"_{name}_p"), i) + F.get(F.col(f"_{name}_l"), i)).alias("end"),
                 m.alias("value"),
             ),
         )
