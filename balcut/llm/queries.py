@@ -2,18 +2,24 @@
 
 from __future__ import annotations
 
+from .chat import OP9_SQL, op9_chat_format
 from .privacy import op3_private_data
 from .quality import op10_quality_rules
 from .secrets import op4_secret_scan
+from .urls import OP5_SQL, op5_url_filter
+from .warc import OP7_SQL, op7_warc_bundles
 
 
 def queries() -> dict:
     return {
         "op3_private_data": op3_private_data,
         "op4_secret_scan": op4_secret_scan,
+        "op5_url_filter": op5_url_filter,
+        "op7_warc_bundles": op7_warc_bundles,
+        "op9_chat_format": op9_chat_format,
         "op10_quality_rules": op10_quality_rules,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op5_url_filter": OP5_SQL, "op7_warc_bundles": OP7_SQL, "op9_chat_format": OP9_SQL}
