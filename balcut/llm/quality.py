@@ -62,7 +62,8 @@ def trusted_documents(docs: DataFrame, good: DataFrame, doc_id: str = "doc_id",
     keys = good.select(F.col(doc_id).alias("_key")).where("_key is not null").distinct()
     mask = key_mask(keys, F.xxhash64("_key"))
     near = docs.select(F.col(doc_id).alias("_key"), F.col(text).alias(text)).where(in_mask(mask, F.xxhash64("_key")))
-    return near.join(keys, "_key", "left_semi").select(text)
+    # Merged at every size: labels grow with the corpus, so a broadcast that fits today isn't planned on.
+    return near.join(keys.hint("merge"), "_key", "left_semi").select(text)
 
 
 def ratio_model(raw: DataFrame, target: DataFrame, buckets: int = BUCKETS, smooth: float = SMOOTH) -> DataFrame:
