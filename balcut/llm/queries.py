@@ -6,12 +6,14 @@ from .chat import OP9_SQL, op9_chat_format
 from .privacy import op3_private_data
 from .quality import op10_quality_rules
 from .secrets import op4_secret_scan
+from .simhash import op1_simhash_duplicates
 from .urls import OP5_SQL, op5_url_filter
 from .warc import OP7_SQL, op7_warc_bundles
 
 
 def queries() -> dict:
     return {
+        "op1_simhash_duplicates": op1_simhash_duplicates,
         "op3_private_data": op3_private_data,
         "op4_secret_scan": op4_secret_scan,
         "op5_url_filter": op5_url_filter,
