@@ -140,7 +140,7 @@ def _forest(fps: list[int], reps: list[int], radius: int) -> list[tuple[int, int
             elif not queue and left:
                 queue.append(left.pop())
         return edges
-    f, left, edges = np.array(fps, np.int64).view(np.uint64), np.arange(1, len(fps)), []
+    f, left, edges = np.array(fps, np.uint64), np.arange(1, len(fps)), []
     queue = [0]
     while queue:
         x = queue.pop()
