@@ -103,9 +103,12 @@ def op4_secret_scan(spark, sf_dir: str) -> DataFrame:
     )
 
 
-def redacted(df: DataFrame, text: str, spans: str, label: str = "SECRET") -> DataFrame:
-    """``df`` with every span of the column ``spans`` replaced in ``text`` by its kind in brackets."""
-    cuts = F.transform(merged(F.col(spans)), lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), F.concat(F.lit(f"[{label}:"), s["kind"], F.lit("]")).alias("label")))
+def redacted(df: DataFrame, text: str, spans: str, label: str = "REDACTED") -> DataFrame:
+    """``df`` with every span of the column ``spans`` replaced in ``text`` by its kind in brackets.
+
+    The label must not read as a secret itself, as a keyword and a colon would.
+    """
+    cuts = F.transform(merged(F.col(spans)), lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), F.concat(F.lit(f"[{label} "), s["kind"], F.lit("]")).alias("label")))
     return df.withColumn("_cuts", cuts).withColumn(text, F.when(F.size("_cuts") > 0, cut_out(F.col(text), F.col("_cuts"))).otherwise(F.col(text))).drop("_cuts")
 
 
