@@ -38,8 +38,8 @@ MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 N_BEST = 4
 #: Offset of the Zipf law; how far a byte's score lies under the least piece's.
 ZIPF_SHIFT, BYTE_PENALTY = 2.7, 1.0
-#: Words kept in a worker's cache, and their greatest length.
-CACHE_WORDS, CACHE_CHARS = 500_000, 64
+#: Words in one of the two generations of a worker's cache, and their greatest length.
+CACHE_WORDS, CACHE_CHARS = 400_000, 64
 #: Words that are looked up together.
 BLOCK_WORDS = 1 << 16
 MARK = "▁"
@@ -175,16 +175,19 @@ def two_best(vocabulary: Vocabulary, word: str) -> tuple[tuple[int, ...], float,
 
 
 class _Known(dict):
-    """Words by their place in the coder's lists; unknown ones are learnt when they are asked for."""
+    """Words with (packed ids, score, gap), in two generations: a full one becomes the older, which is looked at once more."""
 
     def __init__(self, learn):
-        self.learn = learn
+        self.learn, self.older = learn, {}
 
-    def __missing__(self, word: str) -> int:
-        at = self.learn(word)
+    def __missing__(self, word: str) -> tuple[bytes, float, float]:
+        found = self.older.pop(word, None) or self.learn(word)
         if len(word) <= CACHE_CHARS:
-            self[word] = at
-        return at
+            if len(self) >= CACHE_WORDS:
+                self.older = dict(self)
+                self.clear()
+            self[word] = found
+        return found
 
 
 class Coder:
@@ -197,21 +200,12 @@ class Coder:
         lengths = np.array([len(t) for t in vocabulary.text], np.int64)
         self.lengths, self.places = lengths, np.cumsum(lengths) - lengths
         self.bytes = np.frombuffer(b"".join(vocabulary.text), np.uint8)
-        self.clear()
-
-    def clear(self) -> None:
         self.known = _Known(self.learn)
-        self.packed: list[bytes] = []
-        self.scores: list[float] = []
-        self.gaps: list[float] = []
         self.losses: dict[str, list[float]] = {}
 
-    def learn(self, word: str) -> int:
+    def learn(self, word: str) -> tuple[bytes, float, float]:
         ids, score, gap = two_best(self.vocabulary, word)
-        self.packed.append(struct.pack(f"<{len(ids)}i", *ids))
-        self.scores.append(score)
-        self.gaps.append(gap)
-        return len(self.packed) - 1
+        return struct.pack(f"<{len(ids)}i", *ids), score, gap
 
     def lost(self, word: str) -> list[float]:
         """How far each of the word's n best lies under its best; searched for the few words that need it."""
@@ -239,20 +233,36 @@ class Coder:
         words = self.cut(" " + text)
         ids, total = [], 0.0
         small: list[tuple[float, str]] = []
+        if len(self.losses) > CACHE_WORDS:
+            self.losses.clear()
         for a in range(0, len(words), BLOCK_WORDS):
-            if len(self.packed) > CACHE_WORDS or len(self.losses) > CACHE_WORDS:
-                self.clear()
             part = words[a : a + BLOCK_WORDS]
-            at = list(map(self.known.__getitem__, part))
-            ids += map(self.packed.__getitem__, at)
-            total += math.fsum(map(self.scores.__getitem__, at))
-            gaps = list(map(self.gaps.__getitem__, at))
-            small += heapq.nsmallest(self.n - 1, zip(gaps, part, strict=True))
-            small = sorted(small)[: self.n - 1]
+            packed, scores, gaps = zip(*map(self.known.__getitem__, part), strict=True)
+            ids += packed
+            total += math.fsum(scores)
+            few = self.n - 1
+            if len(part) > 50:
+                g = np.fromiter(gaps, np.float64, len(gaps))
+                near = np.flatnonzero(g <= np.partition(g, few - 1)[few - 1]).tolist()
+                small += heapq.nsmallest(few, [(gaps[k], part[k]) for k in near])
+            else:
+                small += zip(gaps, part, strict=True)
+            small = sorted(small)[:few]
         packed = b"".join(ids)
         return {"n": len(packed) // 4, "ids": packed, "plain": self.decode(packed), "scores": combined(round(total, 6), [self.lost(w) for _, w in small], self.n)}
 
 
+_CODERS: dict[str, Coder] = {}
+
+
+def coder_of(model: str, vocabulary: Vocabulary) -> Coder:
+    """The worker process's coder for a model: its cache lives on from task to task."""
+    if model not in _CODERS:
+        _CODERS.clear()
+        _CODERS[model] = Coder(vocabulary)
+    return _CODERS[model]
+
+
 def combined(total: float, options: list[list[float]], n: int) -> list[float]:
     """The n best sums of one loss from each list, on top of ``total``.
 
@@ -282,7 +292,7 @@ def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", model: s
         out = f"doc_id {kind}, n_pieces bigint, ids_sha256 string, decoded_sha256 string, round_trip boolean, best_score double, margin double, n_best int"
 
     def run(batches):
-        coder = Coder(shared.value)
+        coder = coder_of(model, shared.value)
         for batch in batches:
             for a in range(0, batch.num_rows, 256):
                 ids, texts = batch.column(0).slice(a, 256), batch.column(1).slice(a, 256)
