@@ -116,7 +116,7 @@ def text_rules(df: DataFrame, text: str = "text") -> DataFrame:
 def judge(docs: DataFrame, model: Column, doc_id: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, buckets: int = BUCKETS, orders: tuple[int, ...] = ORDERS, carry: tuple[str, ...] = ()) -> DataFrame:
     """The verdict on every document: base rules, score and ``kept``; ``carry`` names columns to keep."""
     names = dict.fromkeys((doc_id, text, *carry))
-    df = text_rules(fenced(_hashed(docs.select(*names), text)), text).withColumn("_model", model)
+    df = text_rules(_hashed(docs.select(*names), text), text).withColumn("_model", model)
     df = df.withColumn("_score", F.aggregate(_buckets(F.col("_wh"), buckets, orders), F.lit(0.0), lambda a, b: a + F.get(F.col("_model"), b)))
     df = df.withColumn("score", F.when(F.col("n_words") > 0, F.col("_score") / F.col("n_words")).otherwise(F.lit(0.0)))
     failed = (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEAT_PERCENT * F.col("n_words"))
@@ -141,4 +141,5 @@ def op10_quality_rules(spark, sf_dir: str) -> DataFrame:
 def quality_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: documents that the rules reject go."""
     judged = quality_rules(docs, trusted_labels(table(spark, sf_dir, "labels")), carry=tuple(docs.columns))
-    return judged.where("kept and _fence >= 0").select(*docs.columns)
+    # The fence stands right under the filter: pushed further down, it would repeat the rules inside their own lambdas.
+    return fenced(judged).where("kept and _fence >= 0").select(*docs.columns)
