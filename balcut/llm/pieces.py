@@ -39,7 +39,7 @@ N_BEST = 4
 #: Offset of the Zipf law; how far a byte's score lies under the least piece's.
 ZIPF_SHIFT, BYTE_PENALTY = 2.7, 1.0
 #: Words in one of the two generations of a worker's cache, and their greatest length.
-CACHE_WORDS, CACHE_CHARS = 400_000, 64
+CACHE_WORDS, CACHE_CHARS = 700_000, 64
 #: Words that are looked up together.
 BLOCK_WORDS = 1 << 16
 MARK = "▁"
