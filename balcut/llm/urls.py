@@ -37,6 +37,8 @@ CUT_EVERY = 4
 DISTRUST_PERCENT = 50
 #: Share of a host's pages that rules block from which the host is a blocked seed, in percent.
 SEED_PERCENT = 50
+#: Blocked hosts of which every executor gets the whole list at most.
+HOSTS_SENT = 100_000
 LINK = r"(?i)href\s*=\s*[\"']?[a-z][a-z0-9+.-]*://([^/?#\"'<>\s]+)"
 
 
@@ -107,8 +109,12 @@ def url_filter(pages: DataFrame, rules=RULES, page_id: str = "page_id", url: str
     edges = host_edges(pages.select(host.alias("host"), F.col(html).alias("html")))
     ranks = spread(edges, seeds_of(judged), rounds)
     bad = ranks.where(100 * F.col("distrust") > DISTRUST_PERCENT * (F.col("trust") + F.col("distrust"))).select("host", F.lit("block").alias("host_verdict"))
+    bad = settle(bad, "blocked-hosts")
+    # One host may have a third of all pages. A list of blocked hosts under a checked size goes to
+    # the pages; a longer one is joined by host, where large partitions are split at run time.
+    side = F.broadcast(bad) if bad.limit(HOSTS_SENT + 1).count() <= HOSTS_SENT else bad
     verdict = F.coalesce("rule_verdict", "host_verdict", F.lit("allow"))
-    return judged.join(bad, "host", "left").select("page_id", "host", "path", "rule", verdict.alias("verdict"))
+    return judged.join(side, "host", "left").select("page_id", "host", "path", "rule", verdict.alias("verdict"))
 
 
 def op5_url_filter(spark, sf_dir: str) -> DataFrame:
