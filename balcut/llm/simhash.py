@@ -10,6 +10,10 @@ are compared at once; larger ones are joined in one sweep that gives a spanning
 pairs; huge ones are dealt once more by masks on the bits the first left free, which bounds a
 sub-bucket by 2 to the power of the remaining bits. Components come from alternating large and small stars.
 
+That is op1, whose width and radius are fixed. The pipeline stage wants pairs with a Jaccard similarity
+of 0.8 over 5-word shingles: ``near_copies`` finds all of them through shared rare shingles and
+checks each by its exact count of common shingles (equal 64-bit hashes count as equal).
+
 Defined results: a null text counts as empty; texts without words have fingerprint 0 and are
 linked like any others; repeated rows are in one component; an empty table gives an empty
 result; texts of any length are hashed in blocks; further columns are ignored.
@@ -25,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .shared import each, settle, table
+from .shared import each, in_mask, key_mask, settle, table
 
 BITS, SHINGLE, SEED, RADIUS = 64, 3, 42, 3
 #: Distinct fingerprints from which a bucket is dealt once more.
@@ -237,16 +241,166 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     return marked.join(named, "fp").select("doc_id", "fp", "component_id")
 
 
+#: The near-duplicate stage: words of a shingle; least share of common shingles, as a fraction.
+STAGE_WIDTH, ALIKE = 5, (4, 5)
+#: Shingles counted together in search of frequent ones, occurrences there that make one frequent, and how many are kept.
+COUNT_BLOCK, FREQUENT, FREQUENT_KEPT = 1 << 21, 16, 1 << 16
+
+
+def shingle_sets(docs: DataFrame, width: int = STAGE_WIDTH, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """(doc_id, key, tokens) of every row: the distinct shingle hashes, sorted, and a hash of the whole set."""
+
+    def run(batches):
+        from xxhash import xxh64_intdigest
+
+        for batch in batches:
+            for a in range(0, batch.num_rows, 64):  # a few texts at a time
+                sets = [np.unique(np.array([h for part in shingle_hashes(x.as_buffer().to_pybytes(), width) for h in part], np.uint64)).view(np.int64) for x in batch.column(1).slice(a, 64)]
+                keys = pa.array(np.array([xxh64_intdigest(s.tobytes(), SEED) for s in sets], np.uint64).view(np.int64))
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, 64), keys, _lists(sets)], names=["doc_id", "key", "tokens"])
+
+    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text")).mapInArrow(run, "doc_id bigint, key bigint, tokens array<bigint>")
+
+
+def _lists(parts: list[np.ndarray]) -> pa.Array:
+    ends = np.cumsum([0, *map(len, parts)]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([*parts, np.zeros(0, np.int64)])))
+
+
+def frequent(sets: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Some frequent shingles, sorted, and their counts.
+
+    They only come last in the order of shingles. Any order finds every pair, so a shingle that is
+    missed here costs time and no result.
+    """
+
+    def run(batches):
+        held, n = [], 0
+
+        def out():
+            found, counts = np.unique(np.concatenate([np.zeros(0, np.int64), *held]), return_counts=True)
+            many = counts >= FREQUENT
+            return pa.RecordBatch.from_arrays([pa.array(found[many]), pa.array(counts[many])], names=["h", "n"])
+
+        for batch in batches:
+            flat = batch.column(0).flatten().to_numpy(zero_copy_only=False)
+            held.append(flat)
+            n += len(flat)
+            if n >= COUNT_BLOCK:
+                yield out()
+                held, n = [], 0
+        yield out()
+
+    rows = sets.select("tokens").mapInArrow(run, "h bigint, n bigint").groupBy("h").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "h").limit(FREQUENT_KEPT).collect()
+    rows.sort()
+    return np.array([r["h"] for r in rows], np.int64), np.array([r["n"] for r in rows], np.int64)
+
+
+def prefixes(sets: DataFrame, often: tuple[np.ndarray, np.ndarray], alike: tuple[int, int] = ALIKE) -> DataFrame:
+    """(h, key): of every set of n shingles the first n - ceil(alike * n) + 1, rare ones first.
+
+    Two sets that are alike enough miss too few of each other's shingles to differ in all of these.
+    """
+    p, q = alike
+
+    def run(batches):
+        known, counts = often
+        for batch in batches:
+            tokens = batch.column(1)
+            keys, firsts = [], []
+            for key, a, b in zip(batch.column(0).to_pylist(), tokens.offsets[:-1].to_pylist(), tokens.offsets[1:].to_pylist(), strict=True):
+                s = tokens.values[a:b].to_numpy(zero_copy_only=False)
+                size = len(s) - -(-p * len(s) // q) + 1 if len(s) else 0
+                if len(known) and len(s):
+                    at = np.minimum(np.searchsorted(known, s), len(known) - 1)
+                    s = s[np.lexsort((s, np.where(known[at] == s, counts[at], 0)))]
+                firsts.append(s[:size])
+                keys.append(key)
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([*firsts, np.zeros(0, np.int64)])), pa.array(np.repeat(np.array(keys, np.int64), [len(x) for x in firsts]))], names=["h", "key"])
+
+    return sets.select("key", "tokens").mapInArrow(run, "h bigint, key bigint").distinct()
+
+
+def _set_forest(sets: list[np.ndarray], reps: list[int], alike: tuple[int, int]) -> list[tuple[int, int]]:
+    """Edges of a spanning forest of the sets that are alike enough, by exact counts of common shingles."""
+    p, q = alike
+    sizes = np.array([len(s) for s in sets])
+    left, edges, queue = np.arange(1, len(sets)), [], [0]
+    while queue and len(left):
+        x = queue.pop()
+        near = left[(q * sizes[left] >= p * sizes[x]) & (q * sizes[x] >= p * sizes[left])]
+        if len(near):
+            hit = np.isin(np.concatenate([sets[y] for y in near.tolist()]), sets[x])
+            common = np.add.reduceat(hit, np.cumsum(sizes[near]) - sizes[near], dtype=np.int64)
+            near = near[q * common >= p * (sizes[near] + sizes[x] - common)]
+            edges += [(reps[x], reps[y]) for y in near.tolist()]
+            left = left[~np.isin(left, near)]
+            queue += near.tolist()
+        if not queue and len(left):
+            queue.append(int(left[-1]))
+            left = left[:-1]
+    return edges
+
+
+def alike_links(sets: DataFrame, alike: tuple[int, int] = ALIKE) -> DataFrame:
+    """Edges (a, b) between documents that keep the connectivity of all pairs of sets that are alike enough.
+
+    Documents that share a first shingle are a group; equal groups are looked at once.
+    """
+    first = settle(prefixes(sets, frequent(sets), alike), "prefixes")
+    print_of = [F.bit_xor(F.xxhash64("key", F.lit(k))).alias(f"x{k}") for k in (0, 1)]
+    groups = first.groupBy("h").agg(F.count("*").alias("n"), F.min("key").alias("lo"), F.max("key").alias("hi"), *print_of).where("n > 1")
+    groups = settle(groups.groupBy("n", "lo", "hi", "x0", "x1").agg(F.min("h").alias("h")), "groups")
+    two = groups.where("n = 2").select("h", each(F.array("lo", "hi")).alias("key"))
+    members = settle(two.unionByName(first.join(groups.where("n > 2").select("h"), "h").select("h", "key")), "members")
+    wanted = members.select("key").distinct()
+    near = sets.where(in_mask(key_mask(wanted, F.xxhash64("key")), F.xxhash64("key"))).join(wanted.hint("merge"), "key", "left_semi")
+    held = settle(near.groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("tokens").alias("tokens")), "wanted-sets")
+    dealt = members.join(held, "key").select("h", "rep", "tokens").repartition("h").sortWithinPartitions("h")
+
+    def run(batches):
+        now, found, reps = None, [], []
+
+        def out():
+            edges = _set_forest(found, reps, alike) if len(found) > 1 else []
+            return pa.RecordBatch.from_arrays([pa.array([e[0] for e in edges], pa.int64()), pa.array([e[1] for e in edges], pa.int64())], names=["a", "b"])
+
+        for batch in batches:
+            tokens = batch.column(2)
+            for h, rep, a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), tokens.offsets[:-1].to_pylist(), tokens.offsets[1:].to_pylist(), strict=True):
+                if h != now:
+                    yield out()
+                    now, found, reps = h, [], []
+                found.append(tokens.values[a:b].to_numpy(zero_copy_only=False))
+                reps.append(rep)
+        yield out()
+
+    return dealt.mapInArrow(run, "a bigint, b bigint")
+
+
+def near_copies(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = STAGE_WIDTH, alike: tuple[int, int] = ALIKE) -> DataFrame:
+    """(doc_id, component_id) of every row: documents of equal shingle sets, or alike enough, directly or by others, are one component.
+
+    64-bit fingerprints can't decide this: pairs at 0.8 differ in about 10 bits and often more, where covering
+    masks would need thousands of tables. So pairs come from shared first shingles, which miss none.
+    """
+    sets = settle(shingle_sets(docs, width, doc_id, text), "shingle-sets")
+    reps = sets.groupBy("key").agg(F.min("doc_id").alias("rep"))
+    known = components(alike_links(sets, alike))
+    named = reps.join(known.withColumnRenamed("node", "rep"), "rep", "left").select("key", F.coalesce("component", "rep").alias("component_id"))
+    return sets.select("doc_id", "key").join(named, "key").select("doc_id", "component_id")
+
+
 def op1_simhash_duplicates(spark, sf_dir: str) -> DataFrame:
     found = near_duplicates(table(spark, sf_dir, "documents"))
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
 def duplicates_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline stage: one document of each component stays, the one with the smallest id.
+    """Pipeline stage: one document of each component of near copies stays, the one with the smallest id.
 
     Rows that share an id count as one document; the one with the least hash of its text stays.
     """
-    keep = near_duplicates(docs).where("doc_id = component_id").select("doc_id").distinct()
+    keep = near_copies(docs).where("doc_id = component_id").select("doc_id").distinct()
     first = Window.partitionBy("doc_id").orderBy(F.xxhash64("text"))
     return docs.join(keep, "doc_id", "left_semi").withColumn("_n", F.row_number().over(first)).where("_n = 1").select(*docs.columns)
