@@ -10,7 +10,7 @@ texts the escape character and the two characters that marks are made of become
 codes, so no text can hold a mark, and reading back gives every text exactly.
 
 Defined results: null texts and roles count as empty; turns with one number are ordered by role
-and text, repeated rows stay; records of an unknown layout or broken JSON are kept with a null
+and text, repeated rows stay; null turns come last, ordered in the same way; records of an unknown layout or broken JSON are kept with a null
 layout and no turns; an empty table gives no rows; further columns are ignored.
 """
 
@@ -85,7 +85,7 @@ def canonical_turns(df: DataFrame, record: str, key: str) -> DataFrame:
 
 def packed_rows(rows: DataFrame, conv_id: str = "conv_id", turn: str = "turn", role: str = "role", text: str = "text") -> DataFrame:
     """Rows of a table of turns as records of the ``turn rows`` layout."""
-    record = F.to_json(F.struct(F.col(turn).cast("bigint").alias("turn"), F.coalesce(F.col(role), F.lit("")).alias("role"), F.coalesce(F.col(text), F.lit("")).alias("text")))
+    record = F.to_json(F.struct(F.col(turn).cast("bigint").alias("turn"), F.coalesce(F.col(role), F.lit("")).alias("role"), F.coalesce(F.col(text), F.lit("")).alias("text")), {"ignoreNullFields": "false"})
     return rows.select(F.col(conv_id).alias("conv_id"), record.alias("record"))
 
 
@@ -107,7 +107,8 @@ def formatted(turns: DataFrame) -> DataFrame:
     piece = F.concat(F.lit(OPEN), escaped(F.coalesce("role", F.lit(""))), F.lit(ROLE_END), escaped(F.coalesce("text", F.lit(""))), F.lit(CLOSE))
     one = F.struct("turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"), piece.alias("piece"))
     # Turns are unique but for ties, which role and text order; a conversation is one output row.
-    rows = turns.select("conv_id", one.alias("t")).groupBy("conv_id").agg(F.sort_array(F.collect_list(F.struct("t.turn", "t.role", "t.text", "t.piece"))).alias("t"))
+    place = F.struct(F.col("t.turn").isNull().alias("last"), "t.turn", "t.role", "t.text", "t.piece")
+    rows = turns.select("conv_id", one.alias("t")).groupBy("conv_id").agg(F.sort_array(F.collect_list(place)).alias("t"))
     return rows.select("conv_id", F.array_join(F.transform("t", lambda t: t["piece"]), "").alias("formatted"))
 
 
