@@ -29,8 +29,10 @@ RULES = (
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: Up to so many rules are one expression; longer lists are joined by host names.
 RULES_INLINE = 64
-#: Whole mass of a rank vector, resolution of edge shares, damping in percent, rounds.
+#: Whole mass of a rank vector and resolution of edge shares in the SQL; damping in percent, rounds.
 MASS, SHARES, DAMP, ROUNDS = 10**12, 10**6, 85, 12
+#: Whole mass here: one edge of 10**10 still gets a part of it, and mass times weight fits into 38 digits.
+FINE_MASS = 10**20
 #: Rounds between writes that cut the lineage.
 CUT_EVERY = 4
 #: Share of distrust over which a host is blocked, in percent.
@@ -74,22 +76,23 @@ def host_edges(pages: DataFrame, host: str = "host", html: str = "html") -> Data
     return links.unionByName(parent).where("src <> dst").groupBy("src", "dst").agg(F.count("*").alias("w"))
 
 
-def spread(edges: DataFrame, seeds: DataFrame, rounds: int = ROUNDS, mass: int = MASS, damp: int = DAMP) -> DataFrame:
+def spread(edges: DataFrame, seeds: DataFrame, rounds: int = ROUNDS, mass: int = FINE_MASS, damp: int = DAMP) -> DataFrame:
     """(host, trust, distrust) after ``rounds`` of both propagations.
 
     ``seeds`` has (host, kind): kind 0 trusted, kind 1 blocked. Both vectors run as one table by kind.
     """
     both = edges.selectExpr("0 as kind", "src", "dst", "w").unionByName(edges.selectExpr("1 as kind", "dst as src", "src as dst", "w"))
     out = both.groupBy("kind", "src").agg(F.sum("w").alias("out"))
-    shares = settle(both.join(out, ["kind", "src"]).select("kind", "src", "dst", F.expr(f"(w * {SHARES}) div out").alias("share")), "host-edges")
+    shares = settle(both.join(out, ["kind", "src"]).selectExpr("kind", "src", "dst", "cast(w as decimal(12,0)) as w", "cast(out as decimal(12,0)) as out"), "host-edges")
+    whole = "decimal(38,0)"
     per_kind = seeds.groupBy("kind").agg(F.count("*").alias("n"))
-    start = seeds.join(per_kind, "kind").select("kind", "host", F.expr(f"{mass} div n").alias("rank"))
-    base = settle(start.select("kind", "host", "rank", F.expr(f"(rank * {100 - damp}) div 100").alias("base")), "host-seeds")
+    start = seeds.join(per_kind, "kind").select("kind", "host", F.expr(f"cast(floor(cast({mass} as {whole}) / n) as {whole})").alias("rank"))
+    base = settle(start.select("kind", "host", "rank", F.expr(f"cast(floor(rank * {100 - damp} / 100) as {whole})").alias("base")), "host-seeds")
     rank = base.select("kind", "host", "rank")
     for k in range(rounds):
-        sent = shares.join(rank.withColumnRenamed("host", "src"), ["kind", "src"]).select("kind", F.col("dst").alias("host"), F.expr(f"(rank * share) div {SHARES}").alias("got"), F.lit(0).cast("long").alias("base"))
-        rows = sent.unionByName(base.select("kind", "host", F.lit(0).cast("long").alias("got"), "base"))
-        rank = rows.groupBy("kind", "host").agg(F.expr(f"sum(base) + (sum(got) * {damp}) div 100").alias("rank"))
+        sent = shares.join(rank.withColumnRenamed("host", "src"), ["kind", "src"]).select("kind", F.col("dst").alias("host"), F.expr(f"cast(floor(rank * w / out) as {whole})").alias("got"), F.lit(0).cast(whole).alias("base"))
+        rows = sent.unionByName(base.select("kind", "host", F.lit(0).cast(whole).alias("got"), "base"))
+        rank = rows.groupBy("kind", "host").agg(F.expr(f"cast(sum(base) + floor(sum(got) * {damp} / 100) as {whole})").alias("rank"))
         if (k + 1) % CUT_EVERY == 0 and k + 1 < rounds:
             rank = settle(rank, "host-rank")
     return rank.groupBy("host").agg(F.expr("coalesce(sum(rank) filter (where kind = 0), 0)").alias("trust"), F.expr("coalesce(sum(rank) filter (where kind = 1), 0)").alias("distrust"))
