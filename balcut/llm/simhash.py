@@ -245,10 +245,12 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
 STAGE_WIDTH, ALIKE = 5, (4, 5)
 #: Shingles counted together in search of frequent ones, occurrences there that make one frequent, and how many are kept.
 COUNT_BLOCK, FREQUENT, FREQUENT_KEPT = 1 << 21, 16, 1 << 16
+#: Slots of a set's sketch; sums of the lesser counts bound the number of common shingles.
+SLOTS = np.uint64(256)
 
 
 def shingle_sets(docs: DataFrame, width: int = STAGE_WIDTH, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, key, tokens) of every row: the distinct shingle hashes, sorted, and a hash of the whole set."""
+    """(doc_id, key, sketch, tokens) of every row: the distinct shingle hashes, sorted, a hash of the set and counts by hash range."""
 
     def run(batches):
         from xxhash import xxh64_intdigest
@@ -257,9 +259,10 @@ def shingle_sets(docs: DataFrame, width: int = STAGE_WIDTH, doc_id: str = "doc_i
             for a in range(0, batch.num_rows, 64):  # a few texts at a time
                 sets = [np.unique(np.array([h for part in shingle_hashes(x.as_buffer().to_pybytes(), width) for h in part], np.uint64)).view(np.int64) for x in batch.column(1).slice(a, 64)]
                 keys = pa.array(np.array([xxh64_intdigest(s.tobytes(), SEED) for s in sets], np.uint64).view(np.int64))
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, 64), keys, _lists(sets)], names=["doc_id", "key", "tokens"])
+                sketches = pa.array([np.minimum(np.bincount(s.view(np.uint64) % SLOTS, minlength=int(SLOTS)), 65535).astype("<u2").tobytes() for s in sets], pa.binary())
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, 64), keys, sketches, _lists(sets)], names=["doc_id", "key", "sketch", "tokens"])
 
-    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text")).mapInArrow(run, "doc_id bigint, key bigint, tokens array<bigint>")
+    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text")).mapInArrow(run, "doc_id bigint, key bigint, sketch binary, tokens array<bigint>")
 
 
 def _lists(parts: list[np.ndarray]) -> pa.Array:
@@ -342,40 +345,86 @@ def _set_forest(sets: list[np.ndarray], reps: list[int], alike: tuple[int, int])
     return edges
 
 
+def _possible(sketches: list[bytes], sizes: list[int], alike: tuple[int, int]) -> list[list[int]]:
+    """Places of the members that may be alike by their sketches, directly or by others; those without a partner are left out."""
+    p, q = alike
+    held, n = np.array([np.frombuffer(x, "<u2") for x in sketches], np.int64), np.array(sizes, np.int64)
+    over = n - held.sum(axis=1)  # shingles beyond a slot's largest count
+    left, found, queue = np.arange(1, len(n)), [[0]], [0]
+    while queue and len(left):
+        x = queue.pop()
+        near = left[(q * n[left] >= p * n[x]) & (q * n[x] >= p * n[left])]
+        if len(near):
+            most = np.minimum(held[near], held[x]).sum(axis=1) + np.maximum(over[near], over[x])
+            near = near[q * most >= p * (n[near] + n[x] - most)]
+            found[-1] += near.tolist()
+            left = left[~np.isin(left, near)]
+            queue += near.tolist()
+        if not queue and len(left):
+            queue.append(int(left[-1]))
+            found.append([queue[0]])
+            left = left[:-1]
+    return [f for f in found if len(f) > 1]
+
+
+def _by_group(batches, finish):
+    """Rows (h, ...) in the order of h as lists of columns, one call of ``finish`` for each group."""
+    now, held = None, []
+    for batch in batches:
+        for row in zip(*(c.to_pylist() if not pa.types.is_list(c.type) else [c.values[a:b].to_numpy(zero_copy_only=False) for a, b in zip(c.offsets[:-1].to_pylist(), c.offsets[1:].to_pylist(), strict=True)] for c in batch.columns), strict=True):
+            if row[0] != now:
+                if len(held) > 1:
+                    yield from finish([*zip(*held, strict=True)])
+                now, held = row[0], []
+            held.append(row)
+    if len(held) > 1:
+        yield from finish([*zip(*held, strict=True)])
+
+
+def _once(members: DataFrame, label: str) -> DataFrame:
+    """Rows (h, key) of groups of two or more, with one group of each list of members."""
+    prints = [F.bit_xor(F.xxhash64("key", F.lit(k))).alias(f"x{k}") for k in (0, 1)]
+    groups = members.groupBy("h").agg(F.count("*").alias("n"), F.min("key").alias("lo"), F.max("key").alias("hi"), *prints).where("n > 1")
+    groups = settle(groups.groupBy("n", "lo", "hi", "x0", "x1").agg(F.min("h").alias("h")), label)
+    two = groups.where("n = 2").select("h", each(F.array("lo", "hi")).alias("key"))
+    return settle(two.unionByName(members.join(groups.where("n > 2").select("h"), "h").select("h", "key")), label)
+
+
+def _with(members: DataFrame, sets: DataFrame, *columns: Column) -> DataFrame:
+    """``members`` (h, key) with aggregates of their sets, group by group."""
+    wanted = members.select("key").distinct()
+    near = sets.where(in_mask(key_mask(wanted, F.xxhash64("key")), F.xxhash64("key"))).join(wanted.hint("merge"), "key", "left_semi")
+    return members.join(near.groupBy("key").agg(*columns), "key").repartition("h").sortWithinPartitions("h")
+
+
 def alike_links(sets: DataFrame, alike: tuple[int, int] = ALIKE) -> DataFrame:
     """Edges (a, b) between documents that keep the connectivity of all pairs of sets that are alike enough.
 
-    Documents that share a first shingle are a group; equal groups are looked at once.
+    Documents that share a first shingle are a group. Sketches part it into smaller ones that no alike
+    pair crosses; of equal groups one is looked at, by its whole sets.
     """
-    first = settle(prefixes(sets, frequent(sets), alike), "prefixes")
-    print_of = [F.bit_xor(F.xxhash64("key", F.lit(k))).alias(f"x{k}") for k in (0, 1)]
-    groups = first.groupBy("h").agg(F.count("*").alias("n"), F.min("key").alias("lo"), F.max("key").alias("hi"), *print_of).where("n > 1")
-    groups = settle(groups.groupBy("n", "lo", "hi", "x0", "x1").agg(F.min("h").alias("h")), "groups")
-    two = groups.where("n = 2").select("h", each(F.array("lo", "hi")).alias("key"))
-    members = settle(two.unionByName(first.join(groups.where("n > 2").select("h"), "h").select("h", "key")), "members")
-    wanted = members.select("key").distinct()
-    near = sets.where(in_mask(key_mask(wanted, F.xxhash64("key")), F.xxhash64("key"))).join(wanted.hint("merge"), "key", "left_semi")
-    held = settle(near.groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("tokens").alias("tokens")), "wanted-sets")
-    dealt = members.join(held, "key").select("h", "rep", "tokens").repartition("h").sortWithinPartitions("h")
+    first = _once(settle(prefixes(sets, frequent(sets), alike), "prefixes"), "groups")
+    sketched = _with(first, sets, F.first("sketch").alias("sketch"), F.first(F.size("tokens")).alias("n")).select("h", "key", "sketch", "n")
 
-    def run(batches):
-        now, found, reps = None, [], []
+    def part(batches):
+        def finish(group):
+            h, keys, sketches, sizes = group
+            for f in _possible(sketches, sizes, alike):
+                yield pa.RecordBatch.from_arrays([pa.array([f"{h[0]} {keys[f[0]]}"] * len(f)), pa.array([keys[i] for i in f])], names=["h", "key"])
 
-        def out():
-            edges = _set_forest(found, reps, alike) if len(found) > 1 else []
-            return pa.RecordBatch.from_arrays([pa.array([e[0] for e in edges], pa.int64()), pa.array([e[1] for e in edges], pa.int64())], names=["a", "b"])
+        yield from _by_group(batches, finish)
 
-        for batch in batches:
-            tokens = batch.column(2)
-            for h, rep, a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), tokens.offsets[:-1].to_pylist(), tokens.offsets[1:].to_pylist(), strict=True):
-                if h != now:
-                    yield out()
-                    now, found, reps = h, [], []
-                found.append(tokens.values[a:b].to_numpy(zero_copy_only=False))
-                reps.append(rep)
-        yield out()
+    second = _once(settle(sketched.mapInArrow(part, "h string, key bigint"), "possible"), "possible-groups")
+    whole = _with(second, sets, F.min("doc_id").alias("rep"), F.first("tokens").alias("tokens")).select("h", "rep", "tokens")
 
-    return dealt.mapInArrow(run, "a bigint, b bigint")
+    def run(batches):
+        def finish(group):
+            edges = _set_forest(group[2], group[1], alike)
+            yield pa.RecordBatch.from_arrays([pa.array([e[0] for e in edges], pa.int64()), pa.array([e[1] for e in edges], pa.int64())], names=["a", "b"])
+
+        yield from _by_group(batches, finish)
+
+    return whole.mapInArrow(run, "a bigint, b bigint")
 
 
 def near_copies(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = STAGE_WIDTH, alike: tuple[int, int] = ALIKE) -> DataFrame:
