@@ -9,7 +9,8 @@ Only pairs that occur in several distinct texts count, as one text says nothing
 
 Defined results: a null text counts as empty and has no spans; repeated rows are scanned one by
 one and count as one text in the statistics; without entities nothing is added; an entity that
-every text has informs of nothing and has no revealing terms; further columns are ignored.
+every text has informs of nothing and has no revealing terms; words of any length are terms; input
+columns beside the named ones, whatever their names, are ignored by the scan and kept by ``sanitised``.
 """
 
 from __future__ import annotations
@@ -17,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import SPAN, cut_out, each, fenced, in_mask, key_mask, merged, settle, span_text, table, tagged, with_matches, words_of
+from .shared import SPAN, cut_out, dealt, each, fenced, in_mask, key_mask, merged, settle, span_text, table, tagged, unused, with_matches, words_of
 
 #: Patterns of the base spans and their order (fixed values). Possessive repeats match the same
 #: and keep long runs linear; a run is entered at its start or where the last match ended.
@@ -28,14 +29,18 @@ PHONE = r"\+[0-9][\x20().0-9-]+[0-9]"
 KINDS = ("email", "ip", "card", "phone")
 BYTE = r"0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[0-9]{1,2})"
 
-#: Words to each side of an entity that count as its terms.
-REACH = 6
+#: Code points to each side of an entity within which words are its terms; about a dozen words.
+REACH = 72
 #: Distinct texts in which an entity and a term occur together at least.
 SUPPORT = 3
 #: Disclosure from which a term is generalised, and removed.
 GENERALISE, REMOVE = 0.5, 0.8
 #: Shorter terms are never touched.
 MIN_TERM = 4
+#: Distinct texts from which a pair of entity and term is hot and its rows are dealt over several tasks.
+HOT = 10_000
+#: Marks before and after a word. A match starts at the word's start or after a letter or digit, so long runs of marks stay linear.
+MARKS = r"(?<![^\x20\x09-\x0D])[^\p{L}\p{N}\x20\x09-\x0D]++|(?<=[\p{L}\p{N}])[^\p{L}\p{N}\x20\x09-\x0D]++(?![^\x20\x09-\x0D])"
 
 
 def _digits(s: Column) -> Column:
@@ -75,9 +80,9 @@ def scan_texts(docs: DataFrame, doc_id: str, text: str, reach: int = REACH) -> D
     df = df.withColumn("base", F.array_sort(F.concat(*(tagged(F.col(k), k, i) for i, k in enumerate(KINDS)))))
     # Words with their places, only where there are entities: the pieces between runs of white space.
     some = F.size("base") > 0
-    df = with_matches(df.withColumn("_some", some), "_text", {"word": (r"[^\x20\x09-\x0D]{1,64}", F.col("_some"))})
-    term = lambda w: F.lower(F.regexp_replace(w["value"], r"^[^\p{L}\p{N}]+|[^\p{L}\p{N}]+$", ""))
-    terms = F.transform(F.filter("word", lambda w: F.exists("base", lambda b: (w["start"] < b["end"] + 12 * reach) & (b["start"] < w["end"] + 12 * reach))), lambda w: F.struct(w["start"].alias("start"), w["end"].alias("end"), term(w).alias("term")))
+    df = with_matches(df.withColumn("_some", some), "_text", {"word": (r"[^\x20\x09-\x0D]++", F.col("_some"))})
+    term = lambda w: F.regexp_replace(F.lower(w["value"]), MARKS, "")
+    terms = F.transform(F.filter("word", lambda w: F.exists("base", lambda b: (w["start"] < b["end"] + reach) & (b["start"] < w["end"] + reach))), lambda w: F.struct(w["start"].alias("start"), w["end"].alias("end"), term(w).alias("term")))
     df = df.withColumn("_near", F.filter(terms, lambda w: F.length(w["term"]) >= MIN_TERM))
     clear = lambda w: ~F.exists("base", lambda b: (w["start"] < b["end"]) & (b["start"] < w["end"]))
     df = df.withColumn("near", F.filter("_near", clear))
@@ -88,37 +93,56 @@ def scan_texts(docs: DataFrame, doc_id: str, text: str, reach: int = REACH) -> D
 def _pairs(scanned: DataFrame) -> DataFrame:
     """(row_key, text_hash, entity, term, start, end): the terms near each entity of a row."""
     entity = scanned.select("row_key", "text_hash", "near", each(F.col("base")).alias("b")).where("b is not null")
-    at = F.filter("near", lambda w: (w["start"] < F.col("b.end") + 12 * REACH) & (F.col("b.start") < w["end"] + 12 * REACH))
+    at = F.filter("near", lambda w: (w["start"] < F.col("b.end") + REACH) & (F.col("b.start") < w["end"] + REACH))
     rows = entity.select("row_key", "text_hash", F.xxhash64("b.kind", "b.value").alias("entity"), each(at).alias("w")).where("w is not null")
     return rows.select("row_key", "text_hash", "entity", F.col("w.term").alias("term"), F.col("w.start").alias("start"), F.col("w.end").alias("end"))
 
 
-def disclosure(docs: DataFrame, scanned: DataFrame, text: str = "text", support: int = SUPPORT) -> DataFrame:
-    """(entity, term, disclosure) over the whole corpus; equal texts count once."""
+def distinct_texts(docs: DataFrame, scanned: DataFrame, text: str = "text") -> DataFrame:
+    """One row ``_text`` for each distinct text.
+
+    Texts that occur once, nearly all, pass without a shuffle. A fixed-size mask finds the others by
+    their hash; of these each task keeps one row a text before they are merged.
+    """
+    copied = scanned.groupBy("text_hash").agg(F.count("*").alias("n")).where("n > 1")
+    body = fenced(docs.select(F.coalesce(F.col(text), F.lit("")).alias("_text"))).withColumn("text_hash", F.xxhash64("_text"))
+    body = body.withColumn("_copied", in_mask(key_mask(copied, F.col("text_hash")), F.col("text_hash"))).where("_fence >= 0")
+    once = body.where("not _copied").select("_text")
+    return once.unionByName(body.where("_copied").groupBy("text_hash").agg(F.first("_text").alias("_text")).select("_text"))
+
+
+def counts_of(docs: DataFrame, scanned: DataFrame, text: str = "text", support: int = SUPPORT) -> DataFrame:
+    """(entity, term, n_et, n_e, n_t) of all pairs that ``support`` distinct texts have; counts are of distinct texts."""
     pairs = _pairs(scanned).select("entity", "term", "text_hash").distinct().groupBy("entity", "term").agg(F.count("*").alias("n_et")).where(F.col("n_et") >= support)
     pairs = settle(pairs, "pairs")
     entities = scanned.select("text_hash", each(F.col("base")).alias("b")).where("b is not null").select(F.xxhash64("b.kind", "b.value").alias("entity"), "text_hash").distinct()
     n_e = entities.groupBy("entity").agg(F.count("*").alias("n_e"))
-    terms = pairs.select("term").distinct()
-    # A fixed-size mask of the wanted terms lets few words of the texts through to the exact join.
-    mask = key_mask(terms, F.xxhash64("term"))
-    body = fenced(docs.select(F.coalesce(F.col(text), F.lit("")).alias("_text"))).select("_fence", F.xxhash64("_text").alias("text_hash"), words_of(F.lower("_text")).alias("w"))
-    word = F.regexp_replace(F.col("w"), r"^[^\p{L}\p{N}]+|[^\p{L}\p{N}]+$", "")
-    every = body.select("_fence", "text_hash", each(F.col("w")).alias("w")).where("w is not null and _fence >= 0").select("text_hash", word.alias("term"))
-    seen = every.where(in_mask(mask, F.xxhash64("term"))).join(terms, "term", "left_semi")
-    n_t = seen.distinct().groupBy("term").agg(F.count("*").alias("n_t"))
+    # A fixed-size mask lets mostly wanted words through to the sums, which each task makes before the
+    # shuffle; the exact join then has one row a term on either side.
+    mask = key_mask(pairs.select("term").distinct(), F.xxhash64("term"))
+    terms = F.array_distinct(words_of(F.regexp_replace(F.lower("_text"), MARKS, "")))
+    every = distinct_texts(docs, scanned, text).select(each(terms).alias("term")).where("term is not null")
+    n_t = every.where(in_mask(mask, F.xxhash64("term"))).groupBy("term").agg(F.count("*").alias("n_t"))
+    n_t = n_t.join(pairs.select("term").distinct(), "term")
+    return pairs.join(n_e, "entity").join(n_t, "term")
+
+
+def disclosure(docs: DataFrame, scanned: DataFrame, text: str = "text", support: int = SUPPORT) -> DataFrame:
+    """(entity, term, n_et, disclosure) over the whole corpus; equal texts count once."""
     total = scanned.select("text_hash").distinct().agg(F.count("*").alias("n")).scalar()
-    known = pairs.join(n_e, "entity").join(n_t, "term").withColumn("n", total)
+    known = counts_of(docs, scanned, text, support).withColumn("n", total)
     own = F.log(F.col("n") / F.col("n_e"))
     joint = F.log(F.col("n") * F.col("n_et") / (F.col("n_e") * F.col("n_t")))
-    return known.where("n_e < n").select("entity", "term", F.round(joint / own, 9).alias("disclosure"))
+    return known.where("n_e < n").select("entity", "term", "n_et", F.round(joint / own, 9).alias("disclosure"))
 
 
 def sanitise_spans(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", support: int = SUPPORT, generalise: float = GENERALISE, remove: float = REMOVE) -> DataFrame:
     """Per row: base spans and added spans of revealing terms, of kind ``remove`` or ``general``."""
     scanned = settle(scan_texts(docs, doc_id, text), "privacy")
-    told = disclosure(docs, scanned, text, support).where(F.col("disclosure") >= generalise)
-    hits = _pairs(scanned).join(told, ["entity", "term"])
+    told = settle(disclosure(docs, scanned, text, support).where(F.col("disclosure") >= generalise), "told")
+    key = F.xxhash64("entity", "term")
+    rows, told = dealt(_pairs(scanned), told, key, told.where(F.col("n_et") >= HOT), key, F.xxhash64("row_key"))
+    hits = rows.join(told, ["entity", "term", "_salt"])
     worst = hits.groupBy("row_key", "start", "end", "term").agg(F.max("disclosure").alias("disclosure"))
     kind = F.when(F.col("disclosure") >= remove, F.lit("remove")).otherwise(F.lit("general"))
     span = F.struct("start", F.when(F.col("disclosure") >= remove, F.lit(len(KINDS))).otherwise(F.lit(len(KINDS) + 1)).alias("rank"), "end", kind.alias("kind"), F.col("term").alias("value"))
@@ -129,12 +153,15 @@ def sanitise_spans(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
 
 def sanitised(docs: DataFrame, spans: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """The documents with entities as ``[KIND]``, removed terms as ``[..]`` and generalised ones as their shape."""
-    cuts = spans.where(F.size(F.concat("base", "added")) > 0).groupBy("doc_id", "text_hash").agg(F.max(F.concat("base", "added")).alias("_spans"))
-    keyed = docs.withColumn("text_hash", F.xxhash64(F.coalesce(F.col(text), F.lit(""))))
+    key, at, put = unused(docs, "text_hash", "spans", "id")
+    cuts = spans.where(F.size(F.concat("base", "added")) > 0).groupBy(F.col("doc_id").alias(put), F.col("text_hash").alias(key)).agg(F.max(F.concat("base", "added")).alias(at))
     label = lambda s: F.when(s["kind"] == "remove", F.lit("[..]")).when(s["kind"] == "general", F.concat(F.lit("[word of "), (s["end"] - s["start"]).cast("string"), F.lit("]"))).otherwise(F.concat(F.lit("["), F.upper(s["kind"]), F.lit("]")))
-    joined = keyed.join(cuts.withColumnRenamed("doc_id", doc_id), [doc_id, "text_hash"], "left")
-    joined = joined.withColumn("_cuts", F.transform(merged(F.col("_spans")), lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), label(s).alias("label"))))
-    return joined.withColumn(text, F.when(F.size("_cuts") > 0, cut_out(F.col(text), F.col("_cuts"))).otherwise(F.col(text))).select(*docs.columns)
+    ours = F.coalesce(F.col(f"`{text}`"), F.lit(""))
+    left, right = docs.withColumn(key, F.xxhash64(ours)).alias("l"), cuts.alias("r")
+    same = F.col(f"l.`{doc_id}`").eqNullSafe(F.col(f"r.`{put}`")) & (F.col(f"l.`{key}`") == F.col(f"r.`{key}`"))
+    joined = left.join(right, same, "left").select("l.*", f"r.`{at}`")
+    joined = joined.withColumn(at, F.transform(merged(F.col(at)), lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), label(s).alias("label"))))
+    return joined.withColumn(text, F.when(F.size(at) > 0, cut_out(F.col(f"`{text}`"), F.col(at))).otherwise(F.col(f"`{text}`"))).select(*(f"`{c}`" for c in docs.columns))
 
 
 def op3_private_data(spark, sf_dir: str) -> DataFrame:

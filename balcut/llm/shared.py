@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import contextlib
 import tempfile
 import uuid
 
@@ -29,7 +31,19 @@ def scratch_root(spark: SparkSession) -> str:
     return root.rstrip("/")
 
 
+_TO_FORGET: set[str] = set()
+
+
+def _at_exit(spark: SparkSession) -> None:
+    with contextlib.suppress(Exception):  # the session may have ended already
+        forget(spark)
+
+
 def scratch_path(spark: SparkSession, label: str) -> str:
+    """A new path in the shared folder; everything of this application there goes when the driver ends."""
+    if spark.sparkContext.applicationId not in _TO_FORGET:
+        _TO_FORGET.add(spark.sparkContext.applicationId)
+        atexit.register(_at_exit, spark)
     return f"{scratch_root(spark)}/balcut/{spark.sparkContext.applicationId}/{label}-{uuid.uuid4().hex}"
 
 
@@ -82,6 +96,39 @@ def fenced(df: DataFrame) -> DataFrame:
     return df.withColumn("_fence", F.monotonically_increasing_id())
 
 
+def sealed(df: DataFrame) -> DataFrame:
+    """``df`` whose columns are computed once: no filter above is pushed below and evaluates them again."""
+    row = F.when(F.monotonically_increasing_id() >= 0, F.struct(*(F.col(f"`{c}`") for c in df.columns)))
+    return df.select(row.alias("_row")).select(*(F.col("_row").getField(c).alias(c) for c in df.columns))
+
+
+def unused(df: DataFrame, *names: str) -> list[str]:
+    """The names, each with underscores put in front until no column of ``df`` has it."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name = "_" + name
+        taken.add(name)
+        out.append(name)
+    return out
+
+
+#: Parts that a hot key is dealt over.
+SALTS = 16
+
+
+def dealt(big: DataFrame, small: DataFrame, key: Column, hot: DataFrame, hot_key: Column, by: Column, salt: str = "_salt", salts: int = SALTS) -> tuple[DataFrame, DataFrame]:
+    """Both sides of an inner join with a column ``salt`` to join on besides their key.
+
+    ``key`` hashes the join key on either side. Rows of ``big`` with a hot key are dealt by ``by`` over some
+    salts, and their partners in ``small`` repeated for each. A fixed-size mask tells hot keys on both sides.
+    """
+    mask = key_mask(hot, hot_key)
+    left = big.withColumn(salt, F.when(in_mask(mask, key), F.pmod(by, F.lit(salts)).cast("int")).otherwise(F.lit(0)))
+    every = F.sequence(F.lit(0), F.when(in_mask(mask, key), F.lit(salts - 1)).otherwise(F.lit(0)))
+    return left, small.withColumn(salt, F.explode(every))
+
+
 MASK_BITS = 1 << 20
 
 
@@ -161,21 +208,30 @@ def span_text(spans: Column) -> Column:
     return F.array_join(F.transform(F.array_sort(spans), lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
 
 
+CUT_BLOCK = 4096
+
+
 def cut_out(text: Column, spans: Column, put: str = "label") -> Column:
     """``text`` with each of the sorted, disjoint ``spans`` replaced by its field ``put``.
 
-    Pieces come from substring, so the cost is spans x length of the text; callers merge spans first.
+    The text is cut into blocks of one length first, so a piece costs its own length and a block or two,
+    wherever it stands in the text.
     """
     n = F.size(spans)
-    pieces = F.transform(
-        spans,
-        lambda s, i: F.concat(
-            F.substring(text, F.when(i == 0, F.lit(0)).otherwise(F.get(spans, i - 1)["end"]) + 1, s["start"] - F.when(i == 0, F.lit(0)).otherwise(F.get(spans, i - 1)["end"])),
-            s[put],
-        ),
-    )
-    tail = F.substring(text, F.get(spans, n - 1)["end"] + 1, F.length(text))
-    return F.when(n > 0, F.concat(F.array_join(pieces, ""), tail)).otherwise(text)
+    blocks = F.regexp_extract_all(text, F.lit(f"(?s).{{1,{CUT_BLOCK}}}"), F.lit(0))
+
+    def part(start: Column, end: Column) -> Column:
+        first, last = F.floor(start / CUT_BLOCK).cast("int"), F.floor((end - 1) / CUT_BLOCK).cast("int")
+        inside = lambda k: F.coalesce(F.get(blocks, k), F.lit(""))
+        head = F.substring(inside(first), start % CUT_BLOCK + 1, F.least(end - start, F.lit(CUT_BLOCK)))
+        middle = F.array_join(F.slice(blocks, first + 2, F.greatest(last - first - 1, F.lit(0))), "")
+        tail = F.substring(inside(last), F.lit(1), end - last * CUT_BLOCK)
+        return F.when(end <= start, F.lit("")).when(first == last, head).otherwise(F.concat(head, middle, tail))
+
+    before = lambda i: F.when(i == 0, F.lit(0)).otherwise(F.get(spans, i - 1)["end"])
+    pieces = F.transform(spans, lambda s, i: F.concat(part(before(i), s["start"]), s[put]))
+    rest = part(F.get(spans, n - 1)["end"], F.length(text))
+    return F.when(n > 0, F.concat(F.array_join(pieces, ""), rest)).otherwise(text)
 
 
 def merged(spans: Column) -> Column:
