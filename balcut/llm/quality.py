@@ -2,13 +2,16 @@
 
 Two multinomials over hashed word n-grams are counted over whole corpora: the trusted target
 (documents marked good) and the raw corpus (all documents). A document's score is the sum of
-log p_target - log p_raw over its n-grams, divided by its number of words. Every document gets
-a verdict from the same fixed threshold.
+log p_target - log p_raw over its n-grams, divided by its number of words.
+
+A fold of the trusted documents stays out of the target's counts. The threshold is the mean of their
+scores less some standard deviations, so it comes from rows that the model hasn't seen, and follows the
+scores where more text or fuller buckets move them. Every document gets its verdict from that one number.
 
 Defined results: a null text counts as empty; without words all counts are 0 and the score is 0;
 repeated rows give repeated rows; an empty table gives none; only the id and text columns are
-read, whatever other columns a table has. Without trusted documents every ratio is flat, so the
-base rules alone decide.
+read, whatever other columns a table has. Without trusted documents every ratio is flat, and with fewer than
+two held-out ones that pass the base rules there is no threshold: the base rules alone decide then.
 """
 
 from __future__ import annotations
@@ -16,73 +19,94 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import blank_split, each, fenced, in_mask, key_mask, table, words_of
+from .shared import each, in_mask, key_mask, sealed, settle, table, unused, words_of
 
 #: Buckets of the hashed n-grams; the model is an array of this size, whatever the corpus.
-BUCKETS = 1 << 16
+BUCKETS = 1 << 22
+#: Buckets of a part of the model; parts are packed apart and joined at the end.
+PART = 1 << 12
 SMOOTH = 1.0
-#: Orders of the n-grams. Single words part the corpora best here: junk carries marks inside its words.
-ORDERS = (1,)
-#: Mean log ratio per word under which a document is rejected.
-THRESHOLD = -0.75
+#: Orders of the n-grams.
+ORDERS = (1, 2, 3)
+#: Of so many folds of the trusted documents one sets the threshold; the others make the target.
+FOLDS = 5
+#: Standard deviations under the mean score of held-out trusted documents at which documents are rejected.
+DEVIATIONS = 3.0
 #: Base rules (fixed values).
 MIN_WORDS, MAX_REPEAT_PERCENT, SYMBOLS, WINDOW = 10, 20, "#*$%&|<>", 5
 
 
-def _hashed(df: DataFrame, text: str) -> DataFrame:
-    """Adds the words and their hashes."""
+def _hashed(df: DataFrame, text: str, longest: int = 3) -> DataFrame:
+    """Adds the words and the hashes of all their n-grams: ``_g1`` of words, ``_g2`` of pairs and so on.
+
+    An n-gram's hash is that of the hashes of its first and of its last n - 1 words.
+    """
     df = df.withColumn("_words", words_of(F.col(text)))
-    return df.withColumn("_wh", F.transform("_words", lambda w: F.xxhash64(w)))
+    df = df.withColumn("_g1", F.transform("_words", lambda w: F.xxhash64(w)))
+    for n in range(2, longest + 1):
+        df = df.withColumn(f"_g{n}", _paired(F.col(f"_g{n - 1}"), 1))
+    return df
+
 
+def _paired(hashes: Column, apart: int) -> Column:
+    """Hashes of all pairs of elements that are so many places apart."""
+    return F.transform(F.slice(hashes, 1, F.greatest(F.size(hashes) - apart, F.lit(0))), lambda h, i: F.xxhash64(h, F.get(hashes, i + apart)))
 
-def _buckets(wh: Column, buckets: int, orders: tuple[int, ...]) -> Column:
-    """Buckets of all word n-grams of the given orders, from the words' hashes."""
 
-    def of_order(n: int) -> Column:
-        grams = F.slice(wh, 1, F.greatest(F.size(wh) - (n - 1), F.lit(0)))
-        if n == 1:
-            return F.transform(wh, lambda h: F.pmod(h, F.lit(buckets)).cast("int"))
-        return F.transform(grams, lambda h, i: F.pmod(F.xxhash64(h, *(F.get(wh, i + k) for k in range(1, n))), F.lit(buckets)).cast("int"))
+def _longest(orders: tuple[int, ...]) -> int:
+    return max(3, *orders)
 
-    return F.concat(*map(of_order, orders)) if len(orders) > 1 else of_order(orders[0])
+
+def _buckets(buckets: int, orders: tuple[int, ...]) -> Column:
+    """Buckets of a text's n-grams of the given orders, from their hashes."""
+    return F.transform(F.concat(*(F.col(f"_g{n}") for n in orders)), lambda h: F.pmod(h, F.lit(buckets)).cast("int"))
 
 
 def bucket_counts(docs: DataFrame, text: str = "text", buckets: int = BUCKETS, orders: tuple[int, ...] = ORDERS) -> DataFrame:
-    """(bucket, n) over all documents; tasks sum up to ``buckets`` rows before the shuffle."""
-    if orders == (1,):  # without lambdas the whole count is one generated function
-        words = docs.select(each(blank_split(F.col(text))).alias("w")).where("w <> ''")
-        grams = words.select(F.pmod(F.xxhash64("w"), F.lit(buckets)).cast("int").alias("bucket"))
-    else:
-        grams = _hashed(docs.select(text), text).select(each(_buckets(F.col("_wh"), buckets, orders)).alias("bucket")).where("bucket is not null")
-    return grams.groupBy("bucket").agg(F.count("*").alias("n"))
+    """(bucket, n) over all documents; tasks sum up to ``buckets`` rows before the shuffle.
+
+    Places of words are exploded, not n-grams made in lambdas, so hashing and sums are generated code.
+    """
+    words = docs.select(words_of(F.col(text)).alias("w"))
+    last = F.size("w") - 1
+    places = F.when(last >= 0, F.sequence(F.lit(0), last)).otherwise(F.array().cast("array<int>"))
+    at = words.select("w", each(places).alias("i")).where("i is not null")
+    gram = lambda n, k: F.xxhash64(F.get(F.col("w"), F.col("i") + k)) if n == 1 else F.xxhash64(gram(n - 1, k), gram(n - 1, k + 1))
+    grams = [F.when(F.col("i") + (n - 1) < F.size("w"), F.pmod(gram(n, 0), F.lit(buckets)).cast("int")) for n in orders]
+    return at.select(F.explode(F.array(*grams)).alias("bucket")).where("bucket is not null").groupBy("bucket").agg(F.count("*").alias("n"))
 
 
 def trusted_documents(docs: DataFrame, good: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """Texts of the documents whose id is in ``good``; a fixed-size mask thins the texts before the join."""
     keys = good.select(F.col(doc_id).alias("_key")).where("_key is not null").distinct()
     mask = key_mask(keys, F.xxhash64("_key"))
-    near = docs.select(F.col(doc_id).alias("_key"), F.col(text).alias(text)).where(in_mask(mask, F.xxhash64("_key")))
+    near = docs.select(F.col(doc_id).alias("_key"), F.col(text).alias("_text")).where(in_mask(mask, F.xxhash64("_key")))
     # Merged at every size: labels grow with the corpus, so a broadcast that fits today isn't planned on.
-    return near.join(keys.hint("merge"), "_key", "left_semi").select(text)
+    return near.join(keys.hint("merge"), "_key", "left_semi").select(F.col("_key").alias(doc_id), F.col("_text").alias(text))
+
+
+def held_out(doc_id: Column) -> Column:
+    """Whether a trusted document sets the threshold: a fold by the checksum of its id."""
+    return F.crc32(doc_id.cast("string")) % FOLDS == 0
 
 
 def ratio_model(raw: DataFrame, target: DataFrame, buckets: int = BUCKETS, smooth: float = SMOOTH) -> DataFrame:
-    """One row, one array: log p_target - log p_raw of every bucket, from the two tables of counts."""
+    """One row, one array of floats: log p_target - log p_raw of every bucket, from the two tables of counts."""
     spark = raw.sparkSession
-    every = (
-        spark.range(buckets).select(F.col("id").cast("int").alias("bucket"))
-        .join(raw.withColumnRenamed("n", "n_raw"), "bucket", "left")
-        .join(target.withColumnRenamed("n", "n_target"), "bucket", "left")
-        .na.fill(0, ["n_raw", "n_target"])
-    )
-    packed = every.agg(F.sort_array(F.collect_list(F.struct("bucket", "n_raw", "n_target"))).alias("c"), F.sum("n_raw").alias("raw"), F.sum("n_target").alias("target"))
-    share = lambda n, total: F.log((n + smooth) / (total + smooth * buckets))
-    flat = F.transform("c", lambda s: F.when(F.col("target") > 0, share(s["n_target"], F.col("target")) - share(s["n_raw"], F.col("raw"))).otherwise(F.lit(0.0)))
-    return packed.select(flat.alias("model"))
+    none = spark.range(buckets).select(F.col("id").cast("int").alias("bucket"), F.lit(0).cast("long").alias("n_raw"), F.lit(0).cast("long").alias("n_target"))
+    both = raw.selectExpr("bucket", "n as n_raw", "0L as n_target").unionByName(target.selectExpr("bucket", "0L as n_raw", "n as n_target")).unionByName(none)
+    every = settle(both.groupBy("bucket").agg(F.sum("n_raw").alias("n_raw"), F.sum("n_target").alias("n_target")), "ngram-counts")
+    total = {c: every.agg(F.sum(c).alias(c)).scalar() for c in ("n_raw", "n_target")}
+    share = lambda c: F.log((F.col(c) + smooth) / (total[c] + smooth * buckets))
+    value = F.when(total["n_target"] > 0, share("n_target") - share("n_raw")).otherwise(F.lit(0.0)).cast("float")
+    parts = every.select(F.floor(F.col("bucket") / PART).cast("int").alias("part"), "bucket", value.alias("value"))
+    parts = parts.groupBy("part").agg(F.transform(F.array_sort(F.collect_list(F.struct("bucket", "value"))), lambda s: s["value"]).alias("values"))
+    whole = F.flatten(F.transform(F.array_sort(F.collect_list(F.struct("part", "values"))), lambda s: s["values"]))
+    return parts.agg(whole.alias("model"))
 
 
 def text_rules(df: DataFrame, text: str = "text") -> DataFrame:
-    """Adds n_words, word_chars, n_symbols, n_dup_lines and n_repeat_words; needs ``_words`` and ``_wh``."""
+    """Adds n_words, word_chars, n_symbols, n_dup_lines and n_repeat_words; needs ``_words`` and ``_g3``."""
     body = F.coalesce(F.col(text), F.lit(""))
     n = F.size("_words")
     lines = F.filter(F.split(body, "\n", -1), lambda x: F.rlike(x, F.lit(r"[^\x20\x09-\x0D]")))
@@ -92,10 +116,7 @@ def text_rules(df: DataFrame, text: str = "text") -> DataFrame:
             "word_chars": F.length(F.array_join("_words", "")).cast("long"),
             "n_symbols": F.length(F.regexp_replace(body, r"[^#*$%&|<>]+", "")).cast("long"),
             "_lines": F.when(F.contains(body, F.lit("\n")), lines).otherwise(F.array().cast("array<string>")),
-            "_win": F.transform(
-                F.slice("_wh", 1, F.greatest(n - (WINDOW - 1), F.lit(0))),
-                lambda h, i: F.xxhash64(h, *(F.get(F.col("_wh"), i + k) for k in range(1, WINDOW))),
-            ),
+            "_win": _paired(F.col("_g3"), WINDOW - 3),  # two triples that overlap in a word
         }
     )
     df = df.withColumns({"n_dup_lines": (F.size("_lines") - F.size(F.array_distinct("_lines"))).cast("long"), "_again": F.size(F.array_distinct("_win")) < F.size("_win")})
@@ -113,20 +134,44 @@ def text_rules(df: DataFrame, text: str = "text") -> DataFrame:
     return df.withColumn("n_repeat_words", covered).drop("_lines", "_win", "_again", "_placed", "_starts")
 
 
-def judge(docs: DataFrame, model: Column, doc_id: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, buckets: int = BUCKETS, orders: tuple[int, ...] = ORDERS, carry: tuple[str, ...] = ()) -> DataFrame:
-    """The verdict on every document: base rules, score and ``kept``; ``carry`` names columns to keep."""
-    names = dict.fromkeys((doc_id, text, *carry))
-    df = text_rules(_hashed(docs.select(*names), text), text).withColumn("_model", model)
-    df = df.withColumn("_score", F.aggregate(_buckets(F.col("_wh"), buckets, orders), F.lit(0.0), lambda a, b: a + F.get(F.col("_model"), b)))
-    df = df.withColumn("score", F.when(F.col("n_words") > 0, F.col("_score") / F.col("n_words")).otherwise(F.lit(0.0)))
+def judge(docs: DataFrame, model: Column, doc_id: str = "doc_id", text: str = "text", threshold: Column | float | None = None, buckets: int = BUCKETS, orders: tuple[int, ...] = ORDERS, carry: tuple[str, ...] = ()) -> DataFrame:
+    """The verdict on every document: base rules, score and ``kept``; ``carry`` names columns to keep.
+
+    ``model`` is a scalar subquery, evaluated once and not per row. The rows are sealed: pushed further down, a filter on
+    ``kept`` would repeat the rules inside their own lambdas.
+    """
+    carried = [c for c in carry if c not in (doc_id, text)]
+    own = [f"_in_{k}" for k in range(len(carried))]  # names of the input can't clash with ours
+    df = docs.select(F.col(f"`{doc_id}`").alias("_id"), F.col(f"`{text}`").alias("_text"), *(F.col(f"`{c}`").alias(o) for c, o in zip(carried, own, strict=True)))
+    df = text_rules(_hashed(df, "_text", _longest(orders)), "_text")
+    # The model is named once, so the optimizer puts the subquery's value there and no row carries it.
+    df = df.withColumn("_model", model)
+    total = F.aggregate(_buckets(buckets, orders), F.lit(0.0), lambda a, b: a + F.get(F.col("_model"), b))
+    df = df.withColumn("score", F.when(F.col("n_words") > 0, total / F.col("n_words")).otherwise(F.lit(0.0)))
     failed = (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEAT_PERCENT * F.col("n_words"))
-    return df.withColumn("base_failed", failed).withColumn("kept", ~F.col("base_failed") & (F.col("score") >= threshold)).drop("_words", "_wh", "_score", "_model")
-
-
-def quality_rules(docs: DataFrame, good: DataFrame, doc_id: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, buckets: int = BUCKETS, orders: tuple[int, ...] = ORDERS, carry: tuple[str, ...] = ()) -> DataFrame:
-    """Count both corpora, then judge every document."""
-    model = ratio_model(bucket_counts(docs, text, buckets, orders), bucket_counts(trusted_documents(docs, good, doc_id, text), text, buckets, orders), buckets)
-    return judge(docs, model.scalar(), doc_id, text, threshold, buckets, orders, carry)
+    least = threshold if isinstance(threshold, Column) else F.lit(threshold).cast("double")
+    df = df.withColumn("base_failed", failed).withColumn("kept", ~F.col("base_failed") & F.coalesce(F.col("score") >= least, F.lit(True)))
+    facts = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "score", "kept"]
+    named = dict(zip(carried, own, strict=True)) | {doc_id: "_id", text: "_text"}
+    df = sealed(df.select(*named.values(), *facts))
+    outs = unused(docs.select(*(f"`{c}`" for c in named)), *facts) if carry else facts
+    return df.select(*(F.col(o).alias(c) for c, o in named.items()), *(F.col(f).alias(o) for f, o in zip(facts, outs, strict=True)))
+
+
+def quality_rules(docs: DataFrame, good: DataFrame, doc_id: str = "doc_id", text: str = "text", threshold: float | None = None, buckets: int = BUCKETS, orders: tuple[int, ...] = ORDERS, carry: tuple[str, ...] = ()) -> DataFrame:
+    """Count both corpora, set the threshold by held-out trusted documents unless one is given, then judge every document.
+
+    With ``carry``, facts whose name an input column has get underscores in front; they are the last eight columns.
+    """
+    trusted = settle(trusted_documents(docs, good, doc_id, text), "trusted")
+    out = held_out(F.col(doc_id))
+    model = settle(ratio_model(bucket_counts(docs, text, buckets, orders), bucket_counts(trusted.where(~out), text, buckets, orders), buckets), "ratio-model").scalar()
+    if threshold is None:
+        checked = judge(trusted.where(out), model, doc_id, text, None, buckets, orders).where("not base_failed")
+        # Rounded, so the order in which sums are made decides nothing.
+        limits = settle(checked.agg(F.round(F.avg("score") - DEVIATIONS * F.stddev("score"), 6).alias("least")), "threshold")
+        return judge(docs, model, doc_id, text, limits.scalar(), buckets, orders, carry)
+    return judge(docs, model, doc_id, text, threshold, buckets, orders, carry)
 
 
 def trusted_labels(labels: DataFrame) -> DataFrame:
@@ -141,5 +186,5 @@ def op10_quality_rules(spark, sf_dir: str) -> DataFrame:
 def quality_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: documents that the rules reject go."""
     judged = quality_rules(docs, trusted_labels(table(spark, sf_dir, "labels")), carry=tuple(docs.columns))
-    # The fence stands right under the filter: pushed further down, it would repeat the rules inside their own lambdas.
-    return fenced(judged).where("kept and _fence >= 0").select(*docs.columns)
+    kept = judged.columns[-1]
+    return judged.where(F.col(kept)).select(*docs.columns)

@@ -5,6 +5,8 @@ import itertools
 import math
 import random
 import re
+import struct
+import zlib
 from collections import Counter
 
 import numpy as np
@@ -75,9 +77,36 @@ def rules(t):
     return len(w), sum(map(len, w)), len(re.findall(r"[#*$%&|<>]", t or "")), len(lines) - len(set(lines)), len(covered)
 
 
+def signed(h):
+    return h - (1 << 64) if h >> 63 else h
+
+
+def hashes_of(t):
+    return [signed(xxhash.xxh64_intdigest(w.encode(), 42)) for w in re.findall(r"[^\x20\x09-\x0D]+", t or "")]
+
+
+def chained(hs):
+    """Spark's hash of some longs: each is hashed with the hash before it as seed."""
+    seed = 42
+    for h in hs:
+        seed = xxhash.xxh64_intdigest(struct.pack("<q", h), seed)
+    return signed(seed)
+
+
+def gram(hs):
+    return hs[0] if len(hs) == 1 else chained([gram(hs[:-1]), gram(hs[1:])])
+
+
+def grams_of(t, buckets, orders=(1, 2, 3)):
+    hs = hashes_of(t)
+    return [gram(hs[i : i + n]) % buckets for n in orders for i in range(len(hs) - n + 1)]
+
+
 def test_quality_rules(spark, docs, rows, empty):
-    good = spark.createDataFrame([(5,), (8,), (8,), (None,)], "doc_id long")
-    got = quality.quality_rules(clashing(docs), good).collect()
+    trusted = [i for i, t in rows if t and len(t.split()) > 20]
+    good = spark.createDataFrame([(i,) for i in trusted] + [(trusted[0],), (None,)], "doc_id long")
+    few = 1 << 12
+    got = quality.quality_rules(clashing(docs), good, buckets=few).collect()
     assert len(got) == len(rows)
     text = dict(rows)
     for r in got:
@@ -85,23 +114,26 @@ def test_quality_rules(spark, docs, rows, empty):
         assert (r["n_words"], r["word_chars"], r["n_symbols"], r["n_dup_lines"], r["n_repeat_words"]) == want
         assert r["base_failed"] == (want[0] < 10 or 100 * want[4] > 20 * want[0])
     # the ratio, from counts over all texts
-    words = {i: re.findall(r"[^\x20\x09-\x0D]+", t or "") for i, t in rows}
-    bucket = {w: xxhash.xxh64_intdigest(w.encode(), 42) for ws in words.values() for w in ws}
-    signed = {w: (h - (1 << 64) if h >> 63 else h) % quality.BUCKETS for w, h in bucket.items()}
     raw, target = Counter(), Counter()
-    for i, _ in rows:
-        raw.update(signed[w] for w in words[i])
-        if i in (5, 8):
-            target.update(signed[w] for w in words[i])
-    share = lambda c, b: math.log((c[b] + 1) / (sum(c.values()) + quality.BUCKETS))
+    out = {i for i in trusted if zlib.crc32(str(i).encode()) % 5 == 0}
+    assert len(out) > 1
+    for i, t in rows:
+        raw.update(grams_of(t, few))
+        if i in trusted and i not in out:
+            target.update(grams_of(t, few))
+    share = lambda c, b: math.log((c[b] + 1) / (sum(c.values()) + few))
+    score = {i: sum(share(target, b) - share(raw, b) for b in grams_of(t, few)) / max(1, len(hashes_of(t))) for i, t in rows}
+    held = [score[i] for i, t in rows if i in out and not (rules(t)[0] < 10 or 100 * rules(t)[4] > 20 * rules(t)[0])]
+    least = round(np.mean(held) - 3 * np.std(held, ddof=1), 6)
     for r in got:
-        ws = words[r["doc_id"]]
-        want = sum(share(target, signed[w]) - share(raw, signed[w]) for w in ws) / len(ws) if ws else 0
-        assert abs(r["score"] - want) < 1e-9
-    assert quality.quality_rules(empty, good).count() == 0
-    assert quality.quality_rules(docs, good.limit(0)).where("score <> 0").count() == 0
-    two = quality.quality_rules(docs, good, orders=(1, 2))
-    assert two.count() == len(rows)
+        assert abs(r["score"] - score[r["doc_id"]]) < 1e-5
+        assert r["kept"] == (not r["base_failed"] and r["score"] >= least) or abs(r["score"] - least) < 1e-5
+    assert quality.quality_rules(empty, good, buckets=few).count() == 0
+    flat = quality.quality_rules(docs, good.limit(0), buckets=few)
+    assert flat.where("score <> 0 or kept = base_failed").count() == 0
+    carried = quality.quality_rules(clashing(docs), good, buckets=few, threshold=-0.5, orders=(1,), carry=("doc_id", "kept", "score", "n_words"))
+    assert carried.count() == len(rows) and carried.where("kept <> 'x' or score <> 'x' or _kept is null").count() == 0
+    assert carried.where("_kept").count() == carried.where("not base_failed and _score >= -0.5").count()
 
 
 # --- 1
