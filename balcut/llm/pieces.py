@@ -7,14 +7,16 @@ waiting hypothesis has its exact score, only as many wait as are still wanted.
 
 No piece of the vocabulary spans a line end or goes on after a blank that follows another character
 (checked when it is loaded), so a text's lattice falls apart there: words are searched once, kept in a
-bounded cache, and the n best of the whole text are combined from the words' own n best.
+bounded cache, and the n best of the whole text are combined from the words' own n best. The forward
+pass also keeps how far the second best lies behind: only the n - 1 words with the smallest gap can differ among
+the text's n best, so these, and words with ties, are the ones that the backward search goes through.
 
 The model's scores of a byte-pair vocabulary only give an order; scores here are log probabilities
 of a Zipf law over that order. Characters without a piece become their UTF-8 bytes.
 
 Defined results: a null text counts as empty and has no pieces; any text, literal piece marks and
-long unbroken runs included, decodes to itself; equal scores are ordered by ids; repeated rows give equal
-rows; an empty table gives an empty result; further columns are ignored.
+long unbroken runs included, decodes to itself; equal scores of a word are ordered by the start and ids of their
+last pieces, equal sums of a text by the places of the changed words, last ones first; repeated rows give equal rows; an empty table gives an empty result; further columns are ignored.
 """
 
 from __future__ import annotations
@@ -43,6 +45,8 @@ CACHE_WORDS, CACHE_CHARS = 700_000, 64
 #: Words that are looked up together.
 BLOCK_WORDS = 1 << 16
 MARK = "▁"
+#: Gap under which two segmentations count as equal; their order is the backward search's.
+TIE = 1e-8
 
 
 @dataclass
@@ -56,6 +60,7 @@ class Vocabulary:
     longest: int
     apart: bool
     begins: set[str]
+    ends: set[str]
 
     @classmethod
     def load(cls, model: str = MODEL) -> Vocabulary:
@@ -82,7 +87,7 @@ class Vocabulary:
         for i in byte:
             score[i] = low
         apart = not any("\n" in p or re.search("[^ ] ", p) for p in ids)
-        return cls(ids, score, byte, text, max(map(len, ids), default=1), apart, {p[:k] for p in ids for k in range(1, len(p) + 1)})
+        return cls(ids, score, byte, text, max(map(len, ids), default=1), apart, {p[:k] for p in ids for k in range(1, len(p) + 1)}, {p[k:] for p in ids for k in range(len(p))})
 
     def decode(self, ids) -> str:
         """The text of some ids, without the blank that encoding puts in front."""
@@ -91,24 +96,23 @@ class Vocabulary:
 
 def n_best(vocabulary: Vocabulary, word: str, n: int = N_BEST) -> list[tuple[float, tuple[int, ...]]]:
     """The n best segmentations of a word, best first: (score, ids)."""
-    get, score, longest = vocabulary.ids.get, vocabulary.score, vocabulary.longest
+    known, score, begins, ends, longest = vocabulary.ids, vocabulary.score, vocabulary.begins, vocabulary.ends, vocabulary.longest
     size = len(word)
     best = [0.0] + [-math.inf] * size
-    into: list[list[tuple[int, float, tuple[int, ...]]]] = [[] for _ in range(size + 1)]
+    spelt: dict[int, tuple[float, tuple[int, ...]]] = {}
     for i in range(size):
-        here, char = best[i], word[i]
-        if char not in vocabulary.ids:
-            codes = tuple(vocabulary.byte[b] for b in char.encode())
-            cost = sum(score[c] for c in codes)
-            into[i + 1].append((i, cost, codes))
-            best[i + 1] = max(best[i + 1], here + cost)
+        here = best[i]
+        if word[i] not in known:
+            codes = tuple(vocabulary.byte[b] for b in word[i].encode())
+            spelt[i] = sum(score[c] for c in codes), codes
+            best[i + 1] = max(best[i + 1], here + spelt[i][0])
         for j in range(i + 1, min(size, i + longest) + 1):
-            k = get(word[i:j])
-            if k is not None:
-                s = score[k]
-                into[j].append((i, s, (k,)))
-                if here + s > best[j]:
-                    best[j] = here + s
+            part = word[i:j]
+            if part not in begins:
+                break
+            k = known.get(part)
+            if k is not None and here + score[k] > best[j]:
+                best[j] = here + score[k]
     # Backward search: (whole score, place, score behind the place, pieces behind as a chain).
     waiting: list[tuple[float, int, float, tuple | None]] = [(best[size], size, 0.0, None)]
     done: list[tuple[float, tuple[int, ...]]] = []
@@ -121,17 +125,31 @@ def n_best(vocabulary: Vocabulary, word: str, n: int = N_BEST) -> list[tuple[flo
                 chain = chain[1]
             done.append((round(whole, 9), tuple(ids)))
             continue
-        for start, s, codes in into[place]:
-            waiting.append((best[start] + s + behind, start, s + behind, (codes, chain)))
-        waiting.sort(key=lambda w: (-round(w[0], 9), w[1], w[3][0] if w[3] else ()))
-        del waiting[n - len(done) :]
+        if place - 1 in spelt:
+            s, codes = spelt[place - 1]
+            waiting.append((best[place - 1] + s + behind, place - 1, s + behind, (codes, chain)))
+        for start in range(place - 1, max(0, place - longest) - 1, -1):
+            part = word[start:place]
+            if part not in ends:
+                break
+            k = known.get(part)
+            if k is not None:
+                s = score[k] + behind
+                waiting.append((best[start] + s, start, s, ((k,), chain)))
+        if len(waiting) > 1:
+            waiting.sort(key=_order)
+            del waiting[n - len(done) :]
     return done
 
 
+def _order(state: tuple) -> tuple:
+    return -round(state[0], 9), state[1], state[3][0]
+
+
 def two_best(vocabulary: Vocabulary, word: str) -> tuple[tuple[int, ...], float, float]:
-    """(ids, score, gap to the second best) of a word: one forward pass that keeps the two best of every place.
+    """(ids, score, gap to the second best) of a word: one forward pass that keeps the two best scores of every place.
 
-    This is all that most words are asked for; ties are left to ``n_best``, whose order is by ids.
+    The gap tells which words the backward search must look at; where it is 0, the ids are its matter too.
     """
     ids, score, begins, longest = vocabulary.ids, vocabulary.score, vocabulary.begins, vocabulary.longest
     size = len(word)
@@ -168,10 +186,7 @@ def two_best(vocabulary: Vocabulary, word: str) -> tuple[tuple[int, ...], float,
     while at:
         at, codes = by[at]
         back.append(codes)
-    gap = best[size] - second[size]
-    if gap < 1e-9:
-        return n_best(vocabulary, word, 1)[0][1], best[size], 0.0
-    return tuple(k for codes in reversed(back) for k in codes), best[size], gap
+    return tuple(k for codes in reversed(back) for k in codes), best[size], best[size] - second[size]
 
 
 class _Known(dict):
@@ -201,20 +216,22 @@ class Coder:
         self.lengths, self.places = lengths, np.cumsum(lengths) - lengths
         self.bytes = np.frombuffer(b"".join(vocabulary.text), np.uint8)
         self.known = _Known(self.learn)
-        self.losses: dict[str, list[float]] = {}
+        self.searched: dict[str, list[tuple[float, bytes]]] = {}
 
     def learn(self, word: str) -> tuple[bytes, float, float]:
         ids, score, gap = two_best(self.vocabulary, word)
+        if gap < TIE:
+            return self.options(word)[0][1], score, 0.0
         return struct.pack(f"<{len(ids)}i", *ids), score, gap
 
-    def lost(self, word: str) -> list[float]:
-        """How far each of the word's n best lies under its best; searched for the few words that need it."""
-        found = self.losses.get(word)
+    def options(self, word: str) -> list[tuple[float, bytes]]:
+        """The word's n best: how far each lies under the best, and its packed ids; searched for the few words that need it."""
+        found = self.searched.get(word)
         if found is None:
-            options = n_best(self.vocabulary, word, self.n)
-            found = [s - options[0][0] for s, _ in options]
+            best = n_best(self.vocabulary, word, self.n)
+            found = [(s - best[0][0], struct.pack(f"<{len(ids)}i", *ids)) for s, ids in best]
             if len(word) <= CACHE_CHARS:
-                self.losses[word] = found
+                self.searched[word] = found
         return found
 
     def decode(self, packed: bytes) -> bytes:
@@ -227,89 +244,111 @@ class Coder:
         return b"".join(parts)
 
     def encode(self, text: str) -> dict:
-        """Ids and decoded bytes of the best segmentation, and the scores of the n best."""
+        """Ids and decoded bytes of the best segmentation; scores and packed ids, in parts, of the n best."""
         if not text:
-            return {"n": 0, "ids": b"", "plain": b" ", "scores": [0.0]}
+            return {"n": 0, "ids": b"", "plain": b" ", "scores": [0.0], "segmentations": [[b""]]}
         words = self.cut(" " + text)
         ids, total = [], 0.0
-        small: list[tuple[float, str]] = []
-        if len(self.losses) > CACHE_WORDS:
-            self.losses.clear()
+        small: list[tuple[float, int]] = []
+        if len(self.searched) > CACHE_WORDS:
+            self.searched.clear()
+        few = self.n - 1
         for a in range(0, len(words), BLOCK_WORDS):
             part = words[a : a + BLOCK_WORDS]
             packed, scores, gaps = zip(*map(self.known.__getitem__, part), strict=True)
             ids += packed
             total += math.fsum(scores)
-            few = self.n - 1
             if len(part) > 50:
                 g = np.fromiter(gaps, np.float64, len(gaps))
-                near = np.flatnonzero(g <= np.partition(g, few - 1)[few - 1]).tolist()
-                small += heapq.nsmallest(few, [(gaps[k], part[k]) for k in near])
+                near = np.flatnonzero(g <= np.partition(g, few - 1)[few - 1]).tolist() if few else []
+                small += heapq.nsmallest(few, [(gaps[k], a + k) for k in near])
             else:
-                small += zip(gaps, part, strict=True)
-            small = sorted(small)[:few]
-        packed = b"".join(ids)
-        return {"n": len(packed) // 4, "ids": packed, "plain": self.decode(packed), "scores": combined(round(total, 6), [self.lost(w) for _, w in small], self.n)}
-
-
-_CODERS: dict[str, Coder] = {}
-
-
-def coder_of(model: str, vocabulary: Vocabulary) -> Coder:
+                small += [(g, a + k) for k, g in enumerate(gaps)]
+            small = heapq.nsmallest(few, small)
+        # The ids in parts: each of the chosen words by itself, and what lies between them.
+        places = sorted(k for _, k in small)
+        parts, last = [], 0
+        for k in places:
+            parts += [b"".join(ids[last:k]), ids[k]]
+            last = k + 1
+        parts.append(b"".join(ids[last:]))
+        packed = b"".join(parts)
+        options = [self.options(words[k]) for k in places]
+        scores, segmentations = [], []
+        for score, choice in combined(round(total, 6), options, self.n):
+            one = list(parts)
+            for k, c in enumerate(choice):
+                one[2 * k + 1] = options[k][c][1]
+            scores.append(score)
+            segmentations.append(one)
+        return {"n": len(packed) // 4, "ids": packed, "plain": self.decode(packed), "scores": scores, "segmentations": segmentations}
+
+
+_CODERS: dict[tuple[str, int], Coder] = {}
+
+
+def coder_of(model: str, vocabulary: Vocabulary, n: int = N_BEST) -> Coder:
     """The worker process's coder for a model: its cache lives on from task to task."""
-    if model not in _CODERS:
+    if (model, n) not in _CODERS:
         _CODERS.clear()
-        _CODERS[model] = Coder(vocabulary)
-    return _CODERS[model]
+        _CODERS[model, n] = Coder(vocabulary, n)
+    return _CODERS[model, n]
 
 
-def combined(total: float, options: list[list[float]], n: int) -> list[float]:
-    """The n best sums of one loss from each list, on top of ``total``.
+def combined(total: float, options: list[list[tuple[float, bytes]]], n: int) -> list[tuple[float, tuple[int, ...]]]:
+    """The n best sums of one option from each list, on top of ``total``, and the options chosen.
 
     Only the n - 1 words with the smallest gap can be in them: each alone gives a better sum than any other word.
     """
-    sums = [0.0]
-    for losses in options:
-        sums = sorted((s + x for s in sums for x in losses), reverse=True)[:n]
-    return [round(total + s, 6) for s in sums]
+    sums: list[tuple[float, tuple[int, ...]]] = [(0.0, ())]
+    for some in options:
+        sums = sorted(((round(s + x, 9), (*c, k)) for s, c in sums for k, (x, _) in enumerate(some)), key=lambda y: (-y[0], y[1]))[:n]
+    return [(round(total + s, 6), c) for s, c in sums]
+
+
+def _sha(parts: list[bytes]) -> str:
+    one = hashlib.sha256()
+    for p in parts:
+        one.update(p)
+    return one.hexdigest()
 
 
-ENCODED = "n_pieces bigint, ids binary, decoded string, scores array<double>"
+ENCODED = "n_pieces bigint, ids binary, decoded string, n_best array<struct<score:double,ids:binary>>"
+DIGESTS = "n_pieces bigint, ids_sha256 string, decoded_sha256 string, round_trip boolean, best_score double, margin double, n_best array<struct<score:double,ids_sha256:string>>"
 
 
-def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", model: str = MODEL, digests: bool = False) -> DataFrame:
-    """Ids (32-bit, little endian), decoded text and n-best scores of every row; or digests of them.
+def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", model: str = MODEL, digests: bool = False, n: int = N_BEST) -> DataFrame:
+    """Ids (32-bit, little endian), decoded text and all n best segmentations of every row; or digests of them.
 
     The driver reads the vocabulary and sends it along; its size is the model's and never grows with the data.
     """
     kind = docs.schema[doc_id].dataType.simpleString()
     shared = docs.sparkSession.sparkContext.broadcast(Vocabulary.load(model))
     rows = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    names = ["doc_id", "n_pieces", "ids", "decoded", "scores"]
-    out = f"doc_id {kind}, {ENCODED}"
-    if digests:
-        names = ["doc_id", "n_pieces", "ids_sha256", "decoded_sha256", "round_trip", "best_score", "margin", "n_best"]
-        out = f"doc_id {kind}, n_pieces bigint, ids_sha256 string, decoded_sha256 string, round_trip boolean, best_score double, margin double, n_best int"
+    out = DIGESTS if digests else ENCODED
+    names = ["doc_id", *(x.split()[0] for x in out.split(", "))]
+    best = pa.list_(pa.struct([("score", pa.float64()), ("ids_sha256", pa.string()) if digests else ("ids", pa.binary())]))
+    kinds = [pa.int64(), pa.string(), pa.string(), pa.bool_(), pa.float64(), pa.float64(), best] if digests else [pa.int64(), pa.binary(), pa.string(), best]
 
     def run(batches):
-        coder = coder_of(model, shared.value)
+        coder = coder_of(model, shared.value, n)
         for batch in batches:
-            for a in range(0, batch.num_rows, 256):
-                ids, texts = batch.column(0).slice(a, 256), batch.column(1).slice(a, 256)
-                columns: list[list] = [[] for _ in names[1:]]
+            for a in range(0, batch.num_rows, 64):
+                ids, texts = batch.column(0).slice(a, 64), batch.column(1).slice(a, 64)
+                columns: list[list] = [[] for _ in kinds]
                 for text in texts:
                     got = coder.encode(text.as_py())
+                    plain, s = got["plain"][1:], got["scores"]
                     if digests:
-                        plain, s = got["plain"][1:], got["scores"]
-                        row = (got["n"], hashlib.sha256(got["ids"]).hexdigest(), hashlib.sha256(plain).hexdigest(), plain == text.as_buffer().to_pybytes(), s[0], round(s[0] - s[1], 6) if len(s) > 1 else None, len(s))
+                        every = [{"score": x, "ids_sha256": _sha(p)} for x, p in zip(s, got["segmentations"], strict=True)]
+                        row = (got["n"], every[0]["ids_sha256"], hashlib.sha256(plain).hexdigest(), plain == text.as_buffer().to_pybytes(), s[0], round(s[0] - s[1], 6) if len(s) > 1 else None, every)
                     else:
-                        row = (got["n"], got["ids"], got["plain"][1:].decode(), got["scores"])
+                        row = (got["n"], got["ids"], plain.decode(), [{"score": x, "ids": b"".join(p)} for x, p in zip(s, got["segmentations"], strict=True)])
                     for c, v in zip(columns, row, strict=True):
                         c.append(v)
-                kinds = [pa.int64(), pa.string(), pa.string(), pa.bool_(), pa.float64(), pa.float64(), pa.int32()] if digests else [pa.int64(), pa.binary(), pa.string(), pa.list_(pa.float64())]
                 yield pa.RecordBatch.from_arrays([ids, *(pa.array(c, t) for c, t in zip(columns, kinds, strict=True))], names=names)
 
-    return rows.mapInArrow(run, out)
+    return rows.mapInArrow(run, f"doc_id {kind}, {out}")
 
 
 def op8_sentencepiece(spark, sf_dir: str, model: str = MODEL) -> DataFrame:

@@ -419,11 +419,25 @@ def test_n_best_is_exact():
         all_ = brute(v, w)
         got = pieces.n_best(v, w, 5)
         assert [s for s, _ in got] == [s for s, _ in all_[:5]] and {i for _, i in got} <= {i for _, i in all_}
+        assert len({i for _, i in got}) == len(got)
         ids, score, gap = pieces.two_best(v, w)
-        assert ids == got[0][1] and abs(score - got[0][0]) < 1e-6 and (len(got) < 2 or abs(gap - (got[0][0] - got[1][0])) < 1e-6)
-    c = pieces.Coder(v)
-    whole = brute(v, " a the an")
-    assert [round(s, 4) for s in c.encode("a the an")["scores"]] == [round(s, 4) for s, _ in whole[:4]]
+        assert abs(score - got[0][0]) < 1e-6 and (len(got) < 2 or abs(gap - (got[0][0] - got[1][0])) < 1e-6) and (gap < pieces.TIE or ids == got[0][1])
+
+
+def test_whole_texts_get_all_their_n_best():
+    v = pieces.Vocabulary.load()
+    r = random.Random(8)
+    unpack = lambda parts: tuple(np.frombuffer(b"".join(parts), "<i4").tolist())
+    for n in (1, 2, 4, 7):
+        c = pieces.Coder(v, n)
+        for text in ("a the an", "the the the", "x", "a\nb  c", "é✓ on", *(" ".join(r.choice(["the", "on", "re", "éa"]) for _ in range(3)) for _ in range(6))):
+            whole = brute(v, " " + text)
+            got = c.encode(text)
+            assert np.allclose(got["scores"], [s for s, _ in whole[:n]], atol=1e-5)
+            segmentations = [unpack(p) for p in got["segmentations"]]
+            exact = {ids: s for s, ids in whole}
+            assert len(set(segmentations)) == len(segmentations) and np.allclose([exact[i] for i in segmentations], got["scores"], atol=1e-5)
+            assert b"".join(got["segmentations"][0]) == got["ids"]
 
 
 def test_encoding_round_trip(docs, rows, empty):
@@ -433,6 +447,7 @@ def test_encoding_round_trip(docs, rows, empty):
     assert len(got) == len(rows)
     for r in got:
         assert r["decoded"] == text[r["doc_id"]] == v.decode(np.frombuffer(r["ids"], "<i4").tolist())
+        assert all(v.decode(np.frombuffer(x["ids"], "<i4").tolist()) == r["decoded"] for x in r["n_best"]) and r["n_best"][0]["ids"] == r["ids"]
     assert pieces.encode(docs, digests=True).where("not round_trip").count() == 0 and pieces.encode(empty).count() == 0
 
 
