@@ -1,10 +1,12 @@
 """URL filters: host and path rules, and trust spread over the host graph for all other urls.
 
-Host edges come from absolute links in the pages and from a host to the next shorter name above it
-(``blog.a.example`` to ``a.example``). From trusted hosts a personalised PageRank runs along the edges;
-from blocked hosts a second one runs against them, so hosts that lead to blocked ones are distrusted.
-A host is blocked where distrust exceeds its share of both. Ranks are whole numbers, so sums don't
-depend on their order and every run gives the same verdicts.
+Host edges come from absolute and scheme-relative links in the pages; as an option also from a host to the next
+shorter name above it (``blog.a.example`` to ``a.example``). From trusted hosts a personalised PageRank runs along
+the edges; from blocked hosts a second one runs against them, so hosts that lead to blocked ones are distrusted.
+A host is blocked where distrust exceeds its share of both. Rank that reaches hosts without a way out goes back to
+the seeds, so none is lost. Ranks are whole numbers, so sums don't depend on their order and every run gives the
+same verdicts. After r rounds a vector is within 2 * damping^r of its limit: ``ROUNDS`` keeps that under a
+hundredth of the mass, and a vector that has come to rest ends the rounds early without a change of result.
 
 Defined results: a null url or one without ``://`` has an empty host and path, fits no rule and is
 allowed; a null page has no links; equal rules keep the first; repeated rows get equal verdicts;
@@ -29,10 +31,10 @@ RULES = (
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: Up to so many rules are one expression; longer lists are joined by host names.
 RULES_INLINE = 64
-#: Whole mass of a rank vector and resolution of edge shares in the SQL; damping in percent, rounds.
-MASS, SHARES, DAMP, ROUNDS = 10**12, 10**6, 85, 12
-#: Whole mass here: one edge of 10**10 still gets a part of it, and mass times weight fits into 38 digits.
-FINE_MASS = 10**20
+#: Whole mass of a rank vector: one edge of 10**10 still gets a part of it, and mass times weight fits into 38 digits.
+MASS = 10**20
+#: Damping in percent, and rounds: 2 * 0.7^15 is under 0.01.
+DAMP, ROUNDS = 70, 15
 #: Rounds between writes that cut the lineage.
 CUT_EVERY = 4
 #: Share of distrust over which a host is blocked, in percent.
@@ -41,7 +43,7 @@ DISTRUST_PERCENT = 50
 SEED_PERCENT = 50
 #: Blocked hosts of which every executor gets the whole list at most.
 HOSTS_SENT = 100_000
-LINK = r"(?i)href\s*=\s*[\"']?[a-z][a-z0-9+.-]*://([^/?#\"'<>\s]+)"
+LINK = r"(?i)href\s*=\s*[\"']?(?:[a-z][a-z0-9+.-]*:)?//([^/?#\"'<>\s]+)"
 
 
 def host_and_path(url: Column) -> tuple[Column, Column]:
@@ -68,34 +70,45 @@ def ruled(df: DataFrame, rules=RULES, host: str = "host", path: str = "path") ->
     return df.join(best, [host, path], "left").select(*df.columns, F.col("best.rule").alias("rule"), F.col("best.verdict").alias("rule_verdict"))
 
 
-def host_edges(pages: DataFrame, host: str = "host", html: str = "html") -> DataFrame:
-    """(src, dst, w): links between different hosts, summed; and one edge to the name above for every page."""
-    linked = F.when(F.contains(F.col(html), F.lit("://")), F.regexp_extract_all(F.col(html), F.lit(LINK), F.lit(1))).otherwise(F.array().cast("array<string>"))
+def host_edges(pages: DataFrame, host: str = "host", html: str = "html", parents: bool = False) -> DataFrame:
+    """(src, dst, w): links between different hosts, summed; with ``parents`` one edge to the name above for every page too."""
+    linked = F.when(F.contains(F.col(html), F.lit("//")), F.regexp_extract_all(F.col(html), F.lit(LINK), F.lit(1))).otherwise(F.array().cast("array<string>"))
     links = pages.select(F.col(host).alias("src"), each(linked).alias("dst")).where("dst is not null and src <> ''").select("src", F.translate("dst", UPPER, LOWER).alias("dst"))
-    parent = pages.where(F.size(F.split(F.col(host), r"\.", -1)) > 2).select(F.col(host).alias("src"), F.regexp_replace(F.col(host), r"^[^.]*\.", "").alias("dst"))
-    return links.unionByName(parent).where("src <> dst").groupBy("src", "dst").agg(F.count("*").alias("w"))
+    if parents:
+        links = links.unionByName(pages.where(F.size(F.split(F.col(host), r"\.", -1)) > 2).select(F.col(host).alias("src"), F.regexp_replace(F.col(host), r"^[^.]*\.", "").alias("dst")))
+    return links.where("src <> dst").groupBy("src", "dst").agg(F.count("*").alias("w"))
 
 
-def spread(edges: DataFrame, seeds: DataFrame, rounds: int = ROUNDS, mass: int = FINE_MASS, damp: int = DAMP) -> DataFrame:
-    """(host, trust, distrust) after ``rounds`` of both propagations.
+def spread(edges: DataFrame, seeds: DataFrame, rounds: int = ROUNDS, mass: int = MASS, damp: int = DAMP, facts: dict | None = None) -> DataFrame:
+    """(host, trust, distrust) after ``rounds`` of both propagations, or less where the ranks come to rest.
 
-    ``seeds`` has (host, kind): kind 0 trusted, kind 1 blocked. Both vectors run as one table by kind.
+    ``seeds`` has (host, kind): kind 0 trusted, kind 1 blocked. Both vectors run as one table by kind. What a
+    round's edges don't bring on, damped mass and that of hosts without a way out, goes to the seeds in equal parts.
+    ``facts`` is told the rounds run.
     """
+    whole = "decimal(38,0)"
     both = edges.selectExpr("0 as kind", "src", "dst", "w").unionByName(edges.selectExpr("1 as kind", "dst as src", "src as dst", "w"))
     out = both.groupBy("kind", "src").agg(F.sum("w").alias("out"))
     shares = settle(both.join(out, ["kind", "src"]).selectExpr("kind", "src", "dst", "cast(w as decimal(12,0)) as w", "cast(out as decimal(12,0)) as out"), "host-edges")
-    whole = "decimal(38,0)"
-    per_kind = seeds.groupBy("kind").agg(F.count("*").alias("n"))
-    start = seeds.join(per_kind, "kind").select("kind", "host", F.expr(f"cast(floor(cast({mass} as {whole}) / n) as {whole})").alias("rank"))
-    base = settle(start.select("kind", "host", "rank", F.expr(f"cast(floor(rank * {100 - damp} / 100) as {whole})").alias("base")), "host-seeds")
-    rank = base.select("kind", "host", "rank")
+    per_kind = settle(seeds.groupBy("kind").agg(F.count("*").alias("n")), "host-kinds")  # two rows at most
+    base = settle(seeds.join(F.broadcast(per_kind), "kind").select("kind", "host", F.expr(f"cast(floor(cast({mass} as {whole}) / n) as {whole})").alias("rank")), "host-seeds")
+    rank, before = base, None
     for k in range(rounds):
-        sent = shares.join(rank.withColumnRenamed("host", "src"), ["kind", "src"]).select("kind", F.col("dst").alias("host"), F.expr(f"cast(floor(rank * w / out) as {whole})").alias("got"), F.lit(0).cast(whole).alias("base"))
-        rows = sent.unionByName(base.select("kind", "host", F.lit(0).cast(whole).alias("got"), "base"))
-        rank = rows.groupBy("kind", "host").agg(F.expr(f"cast(sum(base) + floor(sum(got) * {damp} / 100) as {whole})").alias("rank"))
-        if (k + 1) % CUT_EVERY == 0 and k + 1 < rounds:
+        sent = shares.join(rank.withColumnRenamed("host", "src"), ["kind", "src"])
+        sent = sent.groupBy("kind", "dst").agg(F.expr(f"cast(floor(sum(cast(floor(rank * w / out) as {whole})) * {damp} / 100) as {whole})").alias("got"))
+        moved = sent.groupBy("kind").agg(F.sum("got").cast(whole).alias("moved"))
+        back = per_kind.join(moved, "kind", "left").select("kind", F.expr(f"cast(floor((cast({mass} as {whole}) - coalesce(moved, 0)) / n) as {whole})").alias("back"))
+        rows = sent.select("kind", F.col("dst").alias("host"), "got").unionByName(base.join(F.broadcast(back), "kind").select("kind", "host", F.col("back").alias("got")))
+        rank = rows.groupBy("kind", "host").agg(F.sum("got").cast(whole).alias("rank"))
+        if facts is not None:
+            facts["rounds"] = k + 1
+        if (k + 1) % CUT_EVERY == 0 or k + 1 == rounds:
             rank = settle(rank, "host-rank")
-    return rank.groupBy("host").agg(F.expr("coalesce(sum(rank) filter (where kind = 0), 0)").alias("trust"), F.expr("coalesce(sum(rank) filter (where kind = 1), 0)").alias("distrust"))
+            # Ranks that are equal to the last ones written have come to rest: all rounds between had the same.
+            if before is not None and rank.exceptAll(before).limit(1).count() == 0:
+                break
+            before = rank
+    return rank.groupBy("host").agg(F.expr(f"cast(coalesce(sum(rank) filter (where kind = 0), 0) as {whole})").alias("trust"), F.expr(f"cast(coalesce(sum(rank) filter (where kind = 1), 0) as {whole})").alias("distrust"))
 
 
 def seeds_of(judged: DataFrame, percent: int = SEED_PERCENT) -> DataFrame:
@@ -105,11 +118,11 @@ def seeds_of(judged: DataFrame, percent: int = SEED_PERCENT) -> DataFrame:
     return counts.select("host", kind.alias("kind")).where("kind is not null")
 
 
-def url_filter(pages: DataFrame, rules=RULES, page_id: str = "page_id", url: str = "url", html: str = "html", rounds: int = ROUNDS) -> DataFrame:
+def url_filter(pages: DataFrame, rules=RULES, page_id: str = "page_id", url: str = "url", html: str = "html", rounds: int = ROUNDS, parents: bool = False) -> DataFrame:
     """Every url with host, path, rule and verdict."""
     host, path = host_and_path(F.col(url))
     judged = ruled(pages.select(F.col(page_id).alias("page_id"), host.alias("host"), path.alias("path")), rules)
-    edges = host_edges(pages.select(host.alias("host"), F.col(html).alias("html")))
+    edges = host_edges(pages.select(host.alias("host"), F.col(html).alias("html")), parents=parents)
     ranks = spread(edges, seeds_of(judged), rounds)
     bad = ranks.where(100 * F.col("distrust") > DISTRUST_PERCENT * (F.col("trust") + F.col("distrust"))).select("host", F.lit("block").alias("host_verdict"))
     bad = settle(bad, "blocked-hosts")
@@ -129,29 +142,27 @@ def _sql() -> str:
     fits = [(f"(host = '{h}' or ends_with(host, '.{h}')) and starts_with(path, '{p}')", h + p, v) for v, h, p in order]
     case = lambda k: "case " + " ".join(f"when {f[0]} then '{f[k]}'" for f in fits) + " end"
     link = LINK.replace("(?i)", "").replace("\\\"", '"').replace("'", "''")
-    steps, last = [], "r0"
+    steps, last = [], "base"
     for k in range(1, ROUNDS + 1):
         steps.append(
-            f"r{k} as materialized (select kind, host, cast(sum(base) + (sum(got) * {DAMP}) // 100 as bigint) as rank from ("
-            f"select s.kind, s.dst as host, (r.rank * s.share) // {SHARES} as got, 0 as base from shares s join {last} r on r.kind = s.kind and r.host = s.src "
-            f"union all select kind, host, 0, base from base) group by kind, host)"
+            f"g{k} as materialized (select s.kind, s.dst as host, (sum((r.rank * s.w) // s.out) * {DAMP}) // 100 as got from shares s join {last} r on r.kind = s.kind and r.host = s.src group by all), "
+            f"r{k} as materialized (select kind, host, sum(got)::hugeint as rank from (select kind, host, got::hugeint as got from g{k} union all "
+            f"select b.kind, b.host, (({MASS}::hugeint - coalesce((select sum(got) from g{k} g where g.kind = b.kind), 0)::hugeint) // b.n)::hugeint from base b) group by all)"
         )
         last = f"r{k}"
     return f"""
 with u as (select page_id, html, case when position('://' in url) > 0 then substr(url, position('://' in url) + 3) else '' end as rest from pages),
 h as (select page_id, html, translate(regexp_extract(coalesce(rest, ''), '^[^/?#]*'), '{UPPER}', '{LOWER}') as host, regexp_extract(coalesce(rest, ''), '^[^/?#]*([^?#]*)', 1) as path from u),
 j as materialized (select page_id, host, path, {case(1)} as rule, {case(2)} as rule_verdict from h),
-l as (select host as src, translate(unnest(regexp_extract_all(html, '{link}', 1, 'i')), '{UPPER}', '{LOWER}') as dst from h where host <> ''
-  union all select host, regexp_replace(host, '^[^.]*\\.', '') from h where len(string_split(host, '.')) > 2),
+l as (select host as src, translate(unnest(regexp_extract_all(html, '{link}', 1, 'i')), '{UPPER}', '{LOWER}') as dst from h where host <> ''),
 e as materialized (select src, dst, count(*) as w from l where src <> dst group by src, dst),
 b as (select 0 as kind, src, dst, w from e union all select 1, dst, src, w from e),
-shares as materialized (select kind, src, dst, (w * {SHARES}) // cast(sum(w) over (partition by kind, src) as bigint) as share from b),
+shares as materialized (select kind, src, dst, w::hugeint as w, (sum(w) over (partition by kind, src))::hugeint as out from b),
 c as (select host, count(*) as n, count(*) filter (where rule_verdict = 'block') as blocked, count(*) filter (where rule_verdict = 'allow') as allowed from j where host <> '' group by host),
 seeds as (select host, case when blocked > 0 and 100 * blocked >= {SEED_PERCENT} * n then 1 when allowed > 0 and blocked = 0 then 0 end as kind from c),
-r0 as materialized (select kind, host, {MASS} // (count(*) over (partition by kind)) as rank from seeds where kind is not null),
-base as materialized (select kind, host, (rank * {100 - DAMP}) // 100 as base from r0),
+base as materialized (select kind, host, count(*) over (partition by kind) as n, {MASS}::hugeint // (count(*) over (partition by kind))::hugeint as rank from seeds where kind is not null),
 {', '.join(steps)},
-t as (select host, coalesce(sum(rank) filter (where kind = 0), 0) as trust, coalesce(sum(rank) filter (where kind = 1), 0) as distrust from {last} group by host),
+t as (select host, coalesce(sum(rank) filter (where kind = 0), 0)::hugeint as trust, coalesce(sum(rank) filter (where kind = 1), 0)::hugeint as distrust from {last} group by host),
 bad as (select host from t where 100 * distrust > {DISTRUST_PERCENT} * (trust + distrust))
 select page_id, j.host, path, rule, coalesce(rule_verdict, case when bad.host is not null then 'block' end, 'allow') as verdict
 from j left join bad on bad.host = j.host
