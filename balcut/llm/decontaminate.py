@@ -9,13 +9,15 @@ passage's threshold can't hold a match and go, the others are aligned within the
 The benchmark is read in blocks of a checked size; each block's q-gram index goes to the executors
 and the documents stream past it without a shuffle.
 
-Defined results: null and empty texts match nothing; items that are null or shorter than ``MIN_CHARS``
-bytes are not searched, as they say nothing; repeated items each match, repeated documents are
-judged one by one; empty tables give an empty result; other columns than the named ones are ignored.
+Defined results: null and empty texts, and items that are null or blank, match nothing; an item under ``MIN_CHARS``
+bytes has no q-grams to spare and matches documents that are equal to it; items without an id match like others,
+with a null id; repeated items of one id count as one, repeated documents are judged one by one; empty tables give
+an empty result; other columns than the named ones are ignored.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -35,6 +37,8 @@ BAND = 16
 GAP = 32
 #: Bits of the hit table; bytes of documents looked at together; bytes of benchmark text to a block.
 TABLE_BITS, CHUNK, BLOCK_BYTES = 20, 1 << 22, 8 << 20
+#: Shared q-grams that are looked at together; passages with a common q-gram are taken in turns beyond it.
+HITS = 1 << 22
 _MIX, _MIX2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
 MATCH = "item_id bigint, passages int, edits int"
 
@@ -65,7 +69,8 @@ def _slot(g: np.ndarray) -> np.ndarray:
 class Index:
     """Passages of one block of items and the places of their q-grams."""
 
-    items: np.ndarray
+    items: list[int | None]
+    short: dict[bytes, list[int | None]]
     passages: list[bytes]
     need: np.ndarray
     edits: np.ndarray
@@ -76,11 +81,13 @@ class Index:
     seen: np.ndarray
 
     @classmethod
-    def of(cls, items: list[tuple[int, str]]) -> Index:
-        ids, passages = [], []
+    def of(cls, items: list[tuple[int | None, str | None]]) -> Index:
+        ids, passages, short = [], [], {}
         for item, text in items:
             body = normalised(text or "")
             if len(body) < MIN_CHARS:
+                if body and item not in short.setdefault(body, []):
+                    short[body].append(item)
                 continue
             starts = range(0, max(1, len(body) - PASSAGE + STEP), STEP) if len(body) > PASSAGE else [0]
             for a in dict.fromkeys(min(a, max(0, len(body) - PASSAGE)) for a in starts):
@@ -97,36 +104,51 @@ class Index:
         need = np.array([len(p) for p in passages], np.int64) + 1 - Q * (edits + 1)
         segment = np.repeat(np.arange(len(passages)), sizes)
         offset = np.concatenate([np.arange(n) for n in sizes.tolist()]) if lists else np.empty(0, np.int64)
-        return cls(np.array(ids, np.int64), passages, need, edits, keys, np.append(first, len(flat)), segment[order], offset[order], seen)
+        return cls(ids, short, passages, need, edits, keys, np.append(first, len(flat)), segment[order], offset[order], seen)
 
-    def hits(self, text: bytes) -> tuple[np.ndarray, np.ndarray]:
-        """(diagonal, passage) of every q-gram that the text shares with a passage."""
-        diagonals, passages = [], []
+    def hits(self, text: bytes):
+        """(diagonal, passage) of every q-gram that the text shares with a passage, ``HITS`` or a few more at once."""
         for a in range(0, max(0, len(text) - Q + 1), 1 << 18):
             g = grams(memoryview(text)[a : a + (1 << 18) + Q - 1])
             place = np.flatnonzero(self.seen[_slot(g)])
+            if not len(place) or not len(self.keys):
+                continue
             at = np.searchsorted(self.keys, g[place])
             at[at == len(self.keys)] = 0
             true = self.keys[at] == g[place]
             place, at = place[true] + a, at[true]
-            many = self.first[at + 1] - self.first[at]
-            row = np.repeat(self.first[at] - np.cumsum(many) + many, many) + np.arange(many.sum())
-            diagonals.append(np.repeat(place, many) - self.offset[row])
-            passages.append(self.segment[row])
-        return (np.concatenate(diagonals), np.concatenate(passages)) if diagonals else (np.empty(0, np.int64),) * 2
+            first, many = self.first[at], self.first[at + 1] - self.first[at]
+            while len(place):
+                # Some q-grams have very many passages: each turn takes a slice of what is left of every one.
+                some = np.minimum(many, max(1, HITS // len(place)))
+                row = np.repeat(first - np.cumsum(some) + some, some) + np.arange(some.sum())
+                yield np.repeat(place, some) - self.offset[row], self.segment[row]
+                left = many > some
+                place, first, many = place[left], (first + some)[left], (many - some)[left]
 
     def bands(self, text: bytes) -> tuple[np.ndarray, np.ndarray]:
         """(first diagonal, passage) of the bands that hold enough shared q-grams."""
-        diagonal, passage = self.hits(text)
-        if not len(diagonal):
-            return diagonal, passage
-        band = diagonal // BAND
-        over = diagonal - band * BAND < self.edits[passage]
-        band, passage = np.concatenate((band, band[over] - 1)), np.concatenate((passage, passage[over]))
-        base = band.min()
-        width = int(band.max() - base) + 1
-        key, n = np.unique(passage * width + (band - base), return_counts=True)
-        passage, band = key // width, key % width + base
+        width = (len(text) + 2 * PASSAGE) // BAND + 6
+        held: list[tuple[np.ndarray, np.ndarray]] = []
+        rows = 0
+
+        def summed() -> tuple[np.ndarray, np.ndarray]:
+            key, place = np.unique(np.concatenate([k for k, _ in held]), return_inverse=True)
+            return key, np.bincount(place, np.concatenate([n for _, n in held])).astype(np.int64)
+
+        for diagonal, passage in self.hits(text):
+            band = diagonal // BAND
+            over = diagonal - band * BAND < self.edits[passage]
+            band, passage = np.concatenate((band, band[over] - 1)), np.concatenate((passage, passage[over]))
+            held.append(np.unique(passage * width + (band + PASSAGE // BAND + 2), return_counts=True))
+            rows += len(held[-1][0])
+            if rows > 4 * HITS:
+                held = [summed()]
+                rows = 0
+        if not held:
+            return np.empty(0, np.int64), np.empty(0, np.int64)
+        key, n = summed()
+        passage, band = key // width, key % width - PASSAGE // BAND - 2
         enough = n >= self.need[passage]
         return band[enough] * BAND, passage[enough]
 
@@ -179,7 +201,7 @@ def matches_in(index: Index, texts: list[str]) -> list[dict[int, tuple[int, int]
                 key = rows[min(int(np.searchsorted(ends, place, "right")), len(rows) - 1)], passage
                 found[key] = min(edits, found.get(key, edits))
             for (row, passage), edits in found.items():
-                item = int(index.items[passage])
+                item = index.items[passage]
                 n, least = out[row].get(item, (0, edits))
                 out[row][item] = (n + 1, min(edits, least))
         held, ends, rows, size = [], [], [], 0
@@ -187,6 +209,7 @@ def matches_in(index: Index, texts: list[str]) -> list[dict[int, tuple[int, int]
     for i, text in enumerate(texts):
         body = normalised(text)
         if len(body) < MIN_CHARS:
+            out[i] |= dict.fromkeys(index.short.get(body, ()), (1, 0))
             continue
         held.append(body)
         rows.append(i)
@@ -198,13 +221,14 @@ def matches_in(index: Index, texts: list[str]) -> list[dict[int, tuple[int, int]
     return out
 
 
-def benchmark_blocks(benchmark: DataFrame, item_id: str = "item_id", text: str = "text", block_bytes: int = BLOCK_BYTES) -> list[Index]:
-    """Indexes over all items, in blocks of a bounded number of bytes; each block is collected alone."""
+def benchmark_blocks(benchmark: DataFrame, item_id: str = "item_id", text: str = "text", block_bytes: int = BLOCK_BYTES) -> Iterator[Index]:
+    """Indexes over all items, in blocks of a bounded number of bytes; the driver holds one block at a time."""
     body = benchmark.select(F.col(item_id).cast("bigint").alias("item_id"), F.col(text).alias("text")).where("text is not null")
     total = body.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     n = max(1, -(-int(total) // block_bytes))
-    parts = (body.where(F.pmod(F.xxhash64("item_id"), F.lit(n)) == k).orderBy("item_id", "text") for k in range(n))
-    return [Index.of([(r["item_id"], r["text"]) for r in part.collect()]) for part in parts]
+    for k in range(n):
+        part = body.where(F.pmod(F.xxhash64("text"), F.lit(n)) == k).orderBy("item_id", "text")
+        yield Index.of([(r["item_id"], r["text"]) for r in part.toLocalIterator()])
 
 
 def _in_slices(batch: pa.RecordBatch, column: int):
@@ -227,7 +251,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id",
                 for part, texts in _in_slices(batch, 1):
                     hits = matches_in(shared.value, texts)
                     ids = part.column(0).to_pylist()
-                    flat = [(d, item, n, e) for d, of in zip(ids, hits, strict=True) for item, (n, e) in sorted(of.items())]
+                    flat = [(d, item, n, e) for d, of in zip(ids, hits, strict=True) for item, (n, e) in sorted(of.items(), key=lambda x: (x[0] is None, x[0] or 0))]
                     if flat:
                         yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*flat, strict=True), (part.column(0).type, pa.int64(), pa.int32(), pa.int32()), strict=True)], names=["doc_id", "item_id", "passages", "edits"])
 
