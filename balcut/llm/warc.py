@@ -9,7 +9,7 @@ those that the index names belong to the archive, so lost executors leave nothin
 Of records with equal payloads of some size, the smallest id is a response and the others revisit it.
 
 Defined results: a null page is an empty payload; empty and small payloads are always responses;
-repeated rows of the responding id are responses too; an empty table makes no bundle and
+repeated rows of the responding id are responses too; a row without an id is a response of its own; an empty table makes no bundle and
 an empty result; any text, control characters included, comes back as it was; further columns are ignored.
 """
 
@@ -38,16 +38,16 @@ INDEX = "page_id bigint, bundle string, frame int, at int, length int"
 RECORD = "page_id bigint, payload_bytes bigint, payload_digest string, record_type string, refers_to bigint"
 
 
-def record_id(page_id: int) -> str:
-    return f"<urn:uuid:{uuid.UUID(bytes=hashlib.sha256(b'page %d' % page_id).digest()[:16])}>"
+def record_id(page_id: int | None) -> str:
+    return f"<urn:uuid:{uuid.UUID(bytes=hashlib.sha256(f'page {page_id}'.encode()).digest()[:16])}>"
 
 
-def record(page_id: int, url: str, payload: bytes, digest: str, refers_to: int | None) -> bytes:
+def record(page_id: int | None, url: str, payload: bytes, digest: str, refers_to: int | None) -> bytes:
     """One WARC record; a revisit has no block but the digest and length of what it stands for."""
     block = payload if refers_to is None else b""
     head = [
         "WARC/1.1", f"WARC-Type: {'response' if refers_to is None else 'revisit'}", f"WARC-Record-ID: {record_id(page_id)}", f"WARC-Date: {DATE}",
-        f"WARC-Target-URI: {' '.join(url.split())}", f"WARC-Payload-Digest: sha256:{digest}", f"X-Page-ID: {page_id}", f"X-Payload-Length: {len(payload)}",
+        f"WARC-Target-URI: {' '.join(url.split())}", f"WARC-Payload-Digest: sha256:{digest}", f"X-Page-ID: {'' if page_id is None else page_id}", f"X-Payload-Length: {len(payload)}",
     ]
     if refers_to is not None:
         head += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"WARC-Refers-To: {record_id(refers_to)}", f"X-Refers-To-Page: {refers_to}"]
@@ -170,7 +170,7 @@ def write_bundles(pages: DataFrame, folder: str, page_id: str = "page_id", url:
 def _parsed(header: dict[str, str], block: bytes) -> tuple:
     kind = header["WARC-Type"]
     if kind == "response":
-        return int(header["X-Page-ID"]), len(block), hashlib.sha256(block).hexdigest(), kind, None
+        return int(header["X-Page-ID"]) if header["X-Page-ID"] else None, len(block), hashlib.sha256(block).hexdigest(), kind, None
     return int(header["X-Page-ID"]), int(header["X-Payload-Length"]), header["WARC-Payload-Digest"].removeprefix("sha256:"), kind, int(header["X-Refers-To-Page"])
 
 
