@@ -7,7 +7,7 @@ one: two folds make the lexicon, one the trees, one the calibration, so no stage
 Fitting takes a bounded sample of labelled rows (``FIT_ROWS`` to a fold); scoring takes every row.
 
 Defined results: a null or empty text has zero features and a score like any other; repeated labels of
-a document count once, the higher one; documents without a label are scored all the same; without
+a document count once, the higher one, and of repeated documents of one id one text is learnt from; documents without a label are scored all the same; without
 labels, or with one class only, every score is the share of that class; an empty table gives an empty
 result; texts of any length are read whole; further columns are ignored.
 """
@@ -55,10 +55,17 @@ def stems(word: str) -> set[str]:
     return {word, *(word[:k] + "*" for k in BEGINNINGS if len(word) >= k)}
 
 
+_SPACE = re.compile(r"\s").search
+
+
 def _blocks(text: str):
-    """A text's words, in blocks, so that texts of any length take bounded memory."""
-    for a in range(0, len(text), BLOCK_CHARS):
-        yield text[a : a + BLOCK_CHARS].split()
+    """A text's words, in blocks that end at white space, so that texts of any length take bounded memory."""
+    a = 0
+    while a < len(text):
+        cut = _SPACE(text, min(len(text), a + BLOCK_CHARS))
+        b = cut.start() if cut else len(text)
+        yield text[a:b].split()
+        a = b
 
 
 class Reader:
@@ -246,7 +253,9 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, doc_id: str, text: str,
     for part, n in sizes.items():
         below = F.when(F.col("part") == part, F.lit(span if n <= rows else int(span * rows / n))).otherwise(below)
     chosen = known.where(F.pmod(F.xxhash64("_id"), F.lit(span)) < below).select("_id", "part", F.col("toxic").cast("int").alias("toxic"))
-    return docs.select(F.col(doc_id).alias("_id"), F.coalesce(F.col(text), F.lit("")).alias("text")).join(F.broadcast(chosen), "_id").select("part", "toxic", "text")
+    rows = docs.select(F.col(doc_id).alias("_id"), F.coalesce(F.col(text), F.lit("")).alias("text")).join(F.broadcast(chosen), "_id")
+    # Repeated documents of an id count once, so the sample stays as large as the labels allow.
+    return rows.groupBy("_id").agg(F.first("part").alias("part"), F.first("toxic").alias("toxic"), F.min("text").alias("text")).select("part", "toxic", "text")
 
 
 def _vectors(df: DataFrame, lexicon: dict[str, float]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

@@ -207,17 +207,17 @@ def test_components_of_a_chain(spark):
 
 def test_decontamination(spark, empty):
     r = random.Random(5)
-    items = [(i, prose(30, 50 + i)) for i in range(6)] + [(6, None), (7, "short"), (3, prose(30, 53))]
+    items = [(i, prose(30, 50 + i)) for i in range(6)] + [(6, None), (7, "short"), (3, prose(30, 53)), (None, prose(30, 99)), (8, ""), (9, "What is it?")]
     text = prose(200, 60)
     edited = list(items[1][1])
     for _ in range(len(edited) // 20):
         edited[r.randrange(len(edited))] = r.choice("xyz")
-    planted = [(0, text), (1, text[:300] + " " + items[0][1].upper() + "  " + text[300:]), (2, "".join(edited)), (3, None), (4, ""), (5, items[2][1].replace(" ", "\n")), (6, items[4][1][:40]), (6, text + items[5][1])]
+    planted = [(0, text), (1, text[:300] + " " + items[0][1].upper() + "  " + text[300:]), (2, "".join(edited)), (3, None), (4, ""), (5, items[2][1].replace(" ", "\n")), (6, items[4][1][:40]), (6, text + items[5][1]), (7, " what IS\nit?"), (8, text[:200] + " what is it? " + text[:90]), (None, prose(30, 99)), (9, "short")]
     docs = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in planted], DOCS)
     bench = spark.createDataFrame(items, "item_id long, text string")
     got = {(x["doc_id"], x["item_id"]) for x in decontaminate.contaminated(clashing(docs), bench).collect()}
-    assert got == {(1, 0), (2, 1), (5, 2), (6, 5)}
-    assert sorted(x["doc_id"] for x in decontaminate.clean_documents(docs, bench).collect()) == [0, 3, 4, 6]
+    assert got == {(1, 0), (2, 1), (5, 2), (6, 5), (7, 9), (None, None), (9, 7)}
+    assert sorted(x["doc_id"] for x in decontaminate.clean_documents(docs, bench).collect()) == [0, 3, 4, 6, 8]
     assert decontaminate.contaminated(empty, bench).count() == 0 and decontaminate.contaminated(docs, bench.limit(0)).count() == 0
 
 
@@ -243,6 +243,31 @@ def test_banded_distance_is_the_edit_distance():
         assert got == least(p, text)
 
 
+@pytest.mark.parametrize("hits", [1, 50, 1 << 22])
+def test_common_preambles_are_taken_in_turns(monkeypatch, hits):
+    """Passages that all share their beginning: the same bands whatever is looked at together, and by all pairs."""
+    monkeypatch.setattr(decontaminate, "HITS", hits)
+    head = prose(12, 7)
+    items = [(i, f"{head} {prose(20, 300 + i)}") for i in range(12)] + [(20, "a" * 90)]
+    index = decontaminate.Index.of(items)
+    texts = [f"{prose(30, 1)} {t} {prose(30, 2)}" for _, t in items[::3]] + [head, "a" * 300, prose(200, 5)]
+    got = decontaminate.matches_in(index, texts)
+    for text, found in zip(texts, got, strict=True):
+        body = decontaminate.normalised(text)
+        want = {}
+        for item, passage, k in zip(index.items, index.passages, index.edits.tolist(), strict=True):
+            row = [0] * (len(body) + 1)
+            for i, c in enumerate(passage):
+                new = [i + 1]
+                for j, d in enumerate(body):
+                    new.append(min(row[j] + (c != d), row[j + 1] + 1, new[j] + 1))
+                row = new
+            if min(row) <= k:
+                n, least = want.get(item, (0, 99))
+                want[item] = (n + 1, min(least, min(row)))
+        assert found == want
+
+
 def test_no_match_is_lost_by_the_filter():
     r = random.Random(2)
     items = [(i, prose(40, 90 + i)) for i in range(20)]
@@ -365,6 +390,42 @@ def test_toxicity(spark, empty):
     assert {r["score"] for r in toxicity.score(docs, alone).collect()} == {0.0}
 
 
+def test_trees_and_features_by_hand(monkeypatch):
+    """The model's scores against a walk through every tree, its splits against all possible ones, features against plain counts."""
+    g = np.random.default_rng(3)
+    x = g.normal(size=(400, 5)).round(2)
+    y = ((x[:, 1] > 0.3) ^ (g.random(400) < 0.1)).astype(float)
+    edges, start, feature, cut, leaf = toxicity.boosted(x, y, trees=6)
+    model = toxicity.Model({}, edges, start, feature, cut, leaf, np.array([-9.0, 9.0]), np.array([0.0, 1.0]))
+    raw = []
+    for row in x:
+        total = start
+        for f, c, values in zip(feature, cut, leaf, strict=True):
+            node = 0
+            while node < 7:
+                node = 2 * node + (2 if row[f[node]] > c[node] else 1)
+            total += values[node - 7]
+        raw.append(total)
+    assert np.allclose(model.raw(x), raw) and np.allclose(model.score(x), np.clip((np.array(raw) + 9) / 18, 0, 1), atol=1e-5)
+    p = 1 / (1 + math.exp(-start))
+    gain = {}
+    for k in range(5):
+        for e in edges[k]:
+            left = x[:, k] <= e
+            part = lambda m: ((y - p)[m].sum()) ** 2 / (p * (1 - p) * m.sum() + 1)
+            gain[k, e] = part(left) + part(~left)
+    assert (feature[0][0], cut[0][0]) == max(gain, key=lambda z: gain[z])
+    monkeypatch.setattr(toxicity, "BLOCK_CHARS", 7)
+    reader = toxicity.Reader({"snark": 2.0, "bad*": 1.0})
+    text = "You are an idiot snark baddest, you WORSE cre@ture! heeeey 1ne"
+    got = dict(zip(toxicity.FEATURES, reader.features(text), strict=True))
+    words = text.split()
+    want = {"words": np.log1p(len(words)), "insults": np.log1p(1), "insult share": 1 / 11, "learnt sum": np.log1p(2.0), "learnt share": 1 / 11, "learnt highest": 2.0, "learnt second": 0.0}
+    want |= {"second person": 2 / 11, "capital words": 1 / 11, "exclamation": 1 / 11, "marks in words": 1 / 11, "digits in words": 1 / 11, "long runs": 1 / 11, "variety": 1.0}
+    assert all(abs(got[k] - v) < 1e-9 for k, v in want.items()), got
+    assert [w for b in toxicity._blocks(text) for w in b] == words
+
+
 def test_isotonic_rises():
     x = np.random.default_rng(1).normal(size=300)
     knots, values = toxicity.isotonic(x, (x + np.random.default_rng(2).normal(size=300) > 0).astype(float))
@@ -377,13 +438,15 @@ def test_isotonic_rises():
 def test_warc_round_trip(spark, monkeypatch):
     monkeypatch.setattr(warc, "FRAME_BYTES", 4000)
     long = "<p>é\r\n\r\nWARC/1.1\r\n</p>" * 40
-    pages = [(5, "http://a/", long), (3, "http://b/ x", long), (9, None, long), (1, "u", None), (2, "u", ""), (4, "u", "short"), (6, "u", "short"), (7, "u", "x" * 9000), (3, "http://b/ x", long)]
+    pages = [(5, "http://a/", long), (3, "http://b/ x", long), (9, None, long), (1, "u", None), (2, "u", ""), (4, "u", "short"), (6, "u", "short"), (7, "u", "x" * 9000), (3, "http://b/ x", long), (None, "u", long)]
     df = spark.createDataFrame(pages, "page_id long, url string, html string").withColumn("payload_digest", F.lit("x"))
     folder = shared.scratch_path(spark, "warc-test")
     index = warc.write_bundles(df, folder)
-    got = sorted((r["page_id"], r["payload_bytes"], r["payload_digest"], r["record_type"], r["refers_to"]) for r in warc.read_bundles(index, folder).collect())
+    order = lambda r: (r[0] is None, r[0] or 0)
+    got = sorted(((r["page_id"], r["payload_bytes"], r["payload_digest"], r["record_type"], r["refers_to"]) for r in warc.read_bundles(index, folder).collect()), key=order)
     sha = lambda t: hashlib.sha256((t or "").encode()).hexdigest()
-    want = sorted((i, len((t or "").encode()), sha(t), "revisit" if t == long and i != 3 else "response", 3 if t == long and i != 3 else None) for i, _, t in pages)
+    again = lambda i, t: t == long and i not in (3, None)
+    want = sorted(((i, len((t or "").encode()), sha(t), "revisit" if again(i, t) else "response", 3 if again(i, t) else None) for i, _, t in pages), key=order)
     assert got == want
     some = spark.createDataFrame([(3,), (7,), (99,)], "page_id long")
     assert {r["page_id"]: bytes(r["payload"]).decode() for r in warc.fetch(index, folder, some).collect()} == {3: long, 7: "x" * 9000}
