@@ -8,7 +8,8 @@ spans become additional spans of kind ``live``.
 
 Defined results: a null text counts as empty and has no spans; repeated rows are scanned one by
 one and count once as owners; null owners and repositories count as one owner and repository of
-their own; an empty table gives an empty result; further columns are ignored.
+their own; an empty table gives an empty result; further columns, whatever their names, are ignored by the scan
+and kept by ``redacted`` and the stage.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import SPAN, cut_out, each, fenced, merged, settle, span_text, table, tagged, with_matches
+from .shared import SPAN, cut_out, dealt, each, fenced, in_mask, key_mask, merged, settle, span_text, table, tagged, unused, with_matches
 
 #: Patterns of the base spans and their order (fixed values).
 ASSIGN = r"(?i:password|passwd|secret|token|api_?key)[\"']?+\x20*+[:=]\x20*+[\"']?+([A-Za-z0-9+/_.=-]++)"
@@ -29,6 +30,8 @@ MIN_VALUE = 6
 EXAMPLE_OWNERS = 3
 #: A token of mixed characters has at least so many distinct ones.
 MIN_DISTINCT = 10
+#: Finds of one value from which it is hot and its rows are dealt over several tasks.
+HOT = 10_000
 
 
 def _has_keyword(text: Column) -> Column:
@@ -77,9 +80,10 @@ def secret_scan(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", rep
     repository = F.struct("source", "lang") if repository is None else repository
     owner = F.col("source") if owner is None else owner
     scanned = settle(scan_texts(docs, doc_id, text, repository, owner), "secrets")
-    verdicts = ownership(scanned, example_owners)
+    verdicts = settle(ownership(scanned, example_owners), "ownership")
     single = scanned.select("row_key", each(F.concat("base", "tokens")).alias("s")).where("s is not null").withColumn("secret", F.xxhash64("s.value"))
-    judged = single.join(verdicts, "secret").groupBy("row_key").agg(
+    rows, verdicts = dealt(single, verdicts, F.col("secret"), verdicts.where(F.col("n_found") >= HOT), F.col("secret"), F.col("row_key"))
+    judged = rows.join(verdicts, ["secret", "_salt"]).groupBy("row_key").agg(
         F.count_if("example").alias("n_example"),
         F.count_if(~F.col("example")).alias("n_live"),
         F.collect_list(F.when(~F.col("example") & (F.col("s.kind") == "live"), F.col("s"))).alias("added"),
@@ -108,19 +112,28 @@ def redacted(df: DataFrame, text: str, spans: str, label: str = "REDACTED") -> D
 
     The label must not read as a secret itself, as a keyword and a colon would.
     """
-    cuts = F.transform(merged(F.col(spans)), lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), F.concat(F.lit(f"[{label} "), s["kind"], F.lit("]")).alias("label")))
-    return df.withColumn("_cuts", cuts).withColumn(text, F.when(F.size("_cuts") > 0, cut_out(F.col(text), F.col("_cuts"))).otherwise(F.col(text))).drop("_cuts")
+    (at,) = unused(df, "cuts")
+    cuts = F.transform(merged(F.col(f"`{spans}`")), lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), F.concat(F.lit(f"[{label} "), s["kind"], F.lit("]")).alias("label")))
+    body = F.col(f"`{text}`")
+    return df.withColumn(at, cuts).withColumn(text, F.when(F.size(at) > 0, cut_out(body, F.col(at))).otherwise(body)).drop(at)
 
 
 def secrets_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: secrets are replaced in the texts; all documents stay.
 
     Base spans and live-looking tokens go. Spans come back by document and hash of the text, so
-    different texts under one id are told apart and equal rows share theirs.
+    different texts under one id are told apart and equal rows share theirs. Nearly all documents have
+    none; a fixed-size mask tells them before any text moves.
     """
     found = secret_scan(docs).where(F.size(F.concat("base", "added")) > 0)
-    spans = found.groupBy("doc_id", "text_hash").agg(F.max(F.concat("base", "added")).alias("_spans"))
-    joined = docs.withColumn("text_hash", F.xxhash64("text")).join(spans, ["doc_id", "text_hash"], "left")
-    changed = F.col("_spans").isNotNull()
-    clean = redacted(joined.withColumn("_changed", changed), "text", "_spans")
-    return clean.withColumn("n_chars", F.when(F.col("_changed"), F.length("text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
+    key, at, mine = unused(docs, "text_hash", "spans", "mine")
+    spans = settle(found.groupBy("doc_id", "text_hash").agg(F.max(F.concat("base", "added")).alias("spans")), "secret-spans")
+    rows = docs.withColumn(key, F.xxhash64(F.coalesce(F.col("text"), F.lit(""))))
+    rows = rows.withColumn(mine, in_mask(key_mask(spans, F.xxhash64("doc_id", "text_hash")), F.xxhash64("doc_id", key)))
+    right = spans.select(F.col("doc_id").alias("s_id"), F.col("text_hash").alias("s_hash"), F.col("spans").alias(at)).alias("s")
+    same = F.col("x.doc_id").eqNullSafe(F.col("s.s_id")) & (F.col(f"x.{key}") == F.col("s.s_hash"))
+    some = rows.where(mine).alias("x").join(right, same, "left").select("x.*", f"s.{at}")
+    clean = redacted(some, "text", at)
+    clean = clean.withColumn("n_chars", F.when(F.col(at).isNotNull(), F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
+    out = [F.col(f"`{c}`") for c in docs.columns]
+    return rows.where(~F.col(mine)).select(*out).unionByName(clean.select(*out))
