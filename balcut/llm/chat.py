@@ -19,7 +19,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import each, fenced, table
+from .shared import each, fenced, running_start, sealed, table
 
 #: Codes inside texts (fixed values): escape character, opening character, quotation mark.
 CODES = (("\\", "\\b"), ("<", "\\l"), ('"', "\\q"))
@@ -121,8 +121,6 @@ def read_back(df: DataFrame, text: str = "formatted", trained: str = "assistant"
     df = fenced(df).withColumn("_parts", F.slice(parts, 1, F.size(parts) - 1))
     df = df.withColumn("_cut", F.transform("_parts", lambda p: F.instr(p, ROLE_END)))
     df = df.withColumn("_len", F.transform("_parts", lambda p: F.length(p) + len(CLOSE)))
-    from .shared import running_start
-
     df = df.withColumn("_at", running_start(F.col("_len")))
     role = lambda p, i: unescaped(F.substring(p, F.lit(len(OPEN) + 1), F.get(F.col("_cut"), i) - len(OPEN) - 1))
     body = lambda p, i: unescaped(F.substring(p, F.get(F.col("_cut"), i) + len(ROLE_END), F.length(p)))
@@ -136,7 +134,7 @@ def read_back(df: DataFrame, text: str = "formatted", trained: str = "assistant"
             (role(p, i) == trained).alias("loss"),
         ),
     )
-    return df.withColumn("turns", turns).drop("_parts", "_cut", "_len", "_at", "_fence")
+    return sealed(df.withColumn("turns", turns).drop("_parts", "_cut", "_len", "_at", "_fence"))
 
 
 #: A conversation whose texts imitate marks of several templates.
