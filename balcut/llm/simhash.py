@@ -15,8 +15,9 @@ of 0.8 over 5-word shingles: ``near_copies`` finds all of them through shared ra
 checks each by its exact count of common shingles (equal 64-bit hashes count as equal).
 
 Defined results: a null text counts as empty; texts without words have fingerprint 0 and are
-linked like any others; repeated rows are in one component; an empty table gives an empty
-result; texts of any length are hashed in blocks; further columns are ignored.
+linked like any others; repeated rows are in one component; a component's id is its smallest id, null only where
+all its ids are; an empty table gives an empty result; texts of any length are hashed in blocks; further columns,
+whatever their names, are ignored by the operators and kept by the stage.
 """
 
 from __future__ import annotations
@@ -29,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .shared import each, in_mask, key_mask, settle, table
+from .shared import each, in_mask, key_mask, settle, table, unused
 
 BITS, SHINGLE, SEED, RADIUS = 64, 3, 42, 3
 #: Distinct fingerprints from which a bucket is dealt once more.
@@ -232,13 +233,14 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", radius: int = RADIUS) -> DataFrame:
-    """(doc_id, fp, component_id) of every row."""
+    """(doc_id, fp, component_id) of every row. Fingerprints are the nodes, so rows without an id link others like any row."""
     marked = settle(fingerprints(docs, doc_id, text), "fingerprints")
-    reps = settle(marked.groupBy("fp").agg(F.min("doc_id").alias("rep")), "representatives")
-    known = components(links(reps, radius))
+    reps = settle(marked.groupBy("fp").agg(F.min("doc_id").alias("least")), "representatives")
+    known = components(links(reps.select("fp", F.col("fp").alias("rep")), radius))
     # Nodes without edges are their own component.
-    named = reps.join(known.withColumnRenamed("node", "rep"), "rep", "left").select("fp", F.coalesce("component", "rep").alias("component_id"))
-    return marked.join(named, "fp").select("doc_id", "fp", "component_id")
+    named = settle(reps.join(known.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("component", "fp").alias("component")), "named")
+    first = named.groupBy("component").agg(F.min("least").alias("component_id"))
+    return marked.join(named.join(first, "component").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
 
 
 #: The near-duplicate stage: words of a shingle; least share of common shingles, as a fraction.
@@ -250,19 +252,26 @@ SLOTS = np.uint64(256)
 
 
 def shingle_sets(docs: DataFrame, width: int = STAGE_WIDTH, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, key, sketch, tokens) of every row: the distinct shingle hashes, sorted, a hash of the set and counts by hash range."""
+    """(doc_id, text_hash, key, sketch, tokens) of every row: the distinct shingle hashes, sorted, a hash of the set and counts by hash range."""
 
     def run(batches):
         from xxhash import xxh64_intdigest
 
         for batch in batches:
             for a in range(0, batch.num_rows, 64):  # a few texts at a time
-                sets = [np.unique(np.array([h for part in shingle_hashes(x.as_buffer().to_pybytes(), width) for h in part], np.uint64)).view(np.int64) for x in batch.column(1).slice(a, 64)]
+                sets = [np.unique(np.array([h for part in shingle_hashes(x.as_buffer().to_pybytes(), width) for h in part], np.uint64)).view(np.int64) for x in batch.column(2).slice(a, 64)]
                 keys = pa.array(np.array([xxh64_intdigest(s.tobytes(), SEED) for s in sets], np.uint64).view(np.int64))
                 sketches = pa.array([np.minimum(np.bincount(s.view(np.uint64) % SLOTS, minlength=int(SLOTS)), 65535).astype("<u2").tobytes() for s in sets], pa.binary())
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, 64), keys, sketches, _lists(sets)], names=["doc_id", "key", "sketch", "tokens"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, 64), batch.column(1).slice(a, 64), keys, sketches, _lists(sets)], names=["doc_id", "text_hash", "key", "sketch", "tokens"])
 
-    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text")).mapInArrow(run, "doc_id bigint, key bigint, sketch binary, tokens array<bigint>")
+    body = F.coalesce(F.col(f"`{text}`"), F.lit(""))
+    rows = docs.select(F.col(f"`{doc_id}`").cast("long").alias("doc_id"), _text_hash(F.col(f"`{text}`")).alias("text_hash"), body.alias("text"))
+    return rows.mapInArrow(run, "doc_id bigint, text_hash bigint, key bigint, sketch binary, tokens array<bigint>")
+
+
+def _text_hash(text: Column) -> Column:
+    """Tells texts apart; a null text isn't an empty one."""
+    return F.xxhash64(text, text.isNull())
 
 
 def _lists(parts: list[np.ndarray]) -> pa.Array:
@@ -398,7 +407,7 @@ def _with(members: DataFrame, sets: DataFrame, *columns: Column) -> DataFrame:
 
 
 def alike_links(sets: DataFrame, alike: tuple[int, int] = ALIKE) -> DataFrame:
-    """Edges (a, b) between documents that keep the connectivity of all pairs of sets that are alike enough.
+    """Edges (a, b) between keys of sets that keep the connectivity of all pairs of sets that are alike enough.
 
     Documents that share a first shingle are a group. Sketches part it into smaller ones that no alike
     pair crosses; of equal groups one is looked at, by its whole sets.
@@ -415,7 +424,7 @@ def alike_links(sets: DataFrame, alike: tuple[int, int] = ALIKE) -> DataFrame:
         yield from _by_group(batches, finish)
 
     second = _once(settle(sketched.mapInArrow(part, "h string, key bigint"), "possible"), "possible-groups")
-    whole = _with(second, sets, F.min("doc_id").alias("rep"), F.first("tokens").alias("tokens")).select("h", "rep", "tokens")
+    whole = _with(second, sets, F.first("tokens").alias("tokens")).select("h", "key", "tokens")
 
     def run(batches):
         def finish(group):
@@ -428,16 +437,16 @@ def alike_links(sets: DataFrame, alike: tuple[int, int] = ALIKE) -> DataFrame:
 
 
 def near_copies(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = STAGE_WIDTH, alike: tuple[int, int] = ALIKE) -> DataFrame:
-    """(doc_id, component_id) of every row: documents of equal shingle sets, or alike enough, directly or by others, are one component.
+    """(doc_id, text_hash, component) of every row: rows of equal shingle sets, or alike enough, directly or by others, have one component.
 
     64-bit fingerprints can't decide this: pairs at 0.8 differ in about 10 bits and often more, where covering
-    masks would need thousands of tables. So pairs come from shared first shingles, which miss none.
+    masks would need thousands of tables. So pairs come from shared first shingles, which miss none. Components
+    are named by the key of one of their sets, so ids, null or repeated, play no part.
     """
     sets = settle(shingle_sets(docs, width, doc_id, text), "shingle-sets")
-    reps = sets.groupBy("key").agg(F.min("doc_id").alias("rep"))
     known = components(alike_links(sets, alike))
-    named = reps.join(known.withColumnRenamed("node", "rep"), "rep", "left").select("key", F.coalesce("component", "rep").alias("component_id"))
-    return sets.select("doc_id", "key").join(named, "key").select("doc_id", "component_id")
+    rows = sets.select("doc_id", "text_hash", "key")
+    return rows.join(known.withColumnRenamed("node", "key"), "key", "left").select("doc_id", "text_hash", F.coalesce("component", "key").alias("component"))
 
 
 def op1_simhash_duplicates(spark, sf_dir: str) -> DataFrame:
@@ -446,10 +455,25 @@ def op1_simhash_duplicates(spark, sf_dir: str) -> DataFrame:
 
 
 def duplicates_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline stage: one document of each component of near copies stays, the one with the smallest id.
+    """Pipeline stage: one row of each component of near copies stays.
 
-    Rows that share an id count as one document; the one with the least hash of its text stays.
+    It is the row with the smallest id, null ids last, of rows with that id the one with the least hash of its
+    text, and of rows equal in both any one. Other texts under its id are judged by their own components.
     """
-    keep = near_copies(docs).where("doc_id = component_id").select("doc_id").distinct()
-    first = Window.partitionBy("doc_id").orderBy(F.xxhash64("text"))
-    return docs.join(keep, "doc_id", "left_semi").withColumn("_n", F.row_number().over(first)).where("_n = 1").select(*docs.columns)
+    found = settle(near_copies(docs), "near-copies")
+    # Copies collapse in each task before they are compared.
+    best = found.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "text_hash")).alias("k"))
+    n = found.groupBy("doc_id", "text_hash").agg(F.count("*").alias("n"))
+    same = lambda x, y: F.col(f"{x}.doc_id").eqNullSafe(F.col(f"{y}.doc_id")) & (F.col(f"{x}.text_hash") == F.col(f"{y}.text_hash"))
+    keep = best.select("k.doc_id", "k.text_hash").alias("a").join(n.alias("b"), same("a", "b")).select("a.*", "b.n")
+    keep = settle(keep, "kept-rows")
+    at, own, many, row = unused(docs, "text_hash", "id", "n", "row")
+    rows = docs.withColumns({at: _text_hash(F.col("text")), own: F.col("doc_id").cast("long")}).alias("x")
+    # Rows that go are mostly told by a mask of fixed size before any text moves.
+    rows = rows.where(in_mask(key_mask(keep, F.xxhash64("doc_id", "text_hash")), F.xxhash64(own, at)))
+    mine = keep.select(F.col("doc_id").alias("k_id"), F.col("text_hash").alias("k_hash"), F.col("n").alias(many)).hint("merge").alias("k")
+    rows = rows.join(mine, F.col(f"x.{own}").eqNullSafe(F.col("k.k_id")) & (F.col(f"x.{at}") == F.col("k.k_hash"))).select("x.*", f"k.{many}")
+    out = [F.col(f"`{c}`") for c in docs.columns]
+    first = Window.partitionBy(own, at).orderBy(F.lit(0))
+    twice = rows.where(F.col(many) > 1).withColumn(row, F.row_number().over(first)).where(F.col(row) == 1)
+    return rows.where(F.col(many) == 1).select(*out).unionByName(twice.select(*out))

@@ -322,6 +322,39 @@ def test_ownership_parts_examples_from_live_secrets(spark):
     assert [(s["start"], s["end"], s["kind"]) for s in got[9]["added"]] == [(5, 25, "live")] and got[10]["n_live"] == 1
 
 
+@pytest.mark.parametrize("hot", [1, 10_000])
+def test_ownership_by_hand(spark, docs, rows, monkeypatch, hot):
+    """Live and example counts of every row from plain counts of owners, whether values count as hot or not."""
+    monkeypatch.setattr(secrets, "HOT", hot)
+    source = {i: f"src{i % 4}" for i, _ in rows}
+    extra = [(50 + i, f"see Hj5Tm9Ks2Fw7Gb4Ne6Pd and token=abcd{i % 2}efgh", "en", f"src{i % 5}", 0) for i in range(8)]
+    df = docs.unionByName(spark.createDataFrame(extra, DOCS))
+    texts = [(i, t, source[i]) for i, t in rows] + [(i, t, s) for i, t, _, s, _ in extra]
+
+    def candidates(t):
+        t = t or ""
+        out = [re.search(r"[:=]\x20*[\"']?([A-Za-z0-9+/_.=-]+)", t[a:b])[1] if k == "assign" else t[a:b] for a, b, k in secret(t)]
+        for m in re.finditer(r"[A-Za-z0-9+/_=-]{20,}", t):
+            if re.search("[0-9]", m[0]) and re.search("[A-Za-z]", m[0]) and len(set(m[0])) >= 10 and not any(a < m.end() and m.start() < b for a, b, _ in secret(t)):
+                out.append(m[0])
+        return out
+
+    owners = {}
+    for _, t, s in texts:
+        for v in candidates(t):
+            owners.setdefault(v, set()).add(s)
+    want = sorted((i, sum(len(owners[v]) < 3 for v in candidates(t)), sum(len(owners[v]) >= 3 for v in candidates(t))) for i, t, _ in texts)
+    got = sorted((r["doc_id"], r["n_live"], r["n_example"]) for r in secrets.secret_scan(clashing(df)).collect())
+    assert got == want and any(x[2] for x in want) and any(x[1] for x in want)
+
+
+def test_the_stage_keeps_clashing_columns(spark):
+    df = clashing(spark.createDataFrame([(1, "token = abcdefgh", "en", "s", 1), (None, "password: hunter22 x", "en", "s", 1), (3, None, "en", "s", 7)], DOCS))
+    out = {r["doc_id"]: r for r in secrets.secrets_stage(spark, df, "").collect()}
+    assert out[1]["text"] == "[REDACTED assign]" and out[None]["text"] == "[REDACTED assign] x" and out[3]["n_chars"] == 7 and out[1]["n_chars"] == 17
+    assert all(r[c] == "x" for r in out.values() for c in CLASH)
+
+
 def test_secrets_are_replaced_in_the_pipeline(spark, docs, rows):
     out = {r["doc_id"]: r["text"] for r in secrets.secrets_stage(spark, docs, "").collect()}
     assert len(out) == len(dict(rows))

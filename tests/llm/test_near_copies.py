@@ -5,7 +5,7 @@ import random
 
 from balcut.llm import simhash
 
-from .test_corpus import DOCS, LOWER, fingerprint
+from .test_corpus import DOCS, LOWER, clashing, fingerprint, linked
 
 
 def shingles(t, n=5):
@@ -50,4 +50,33 @@ def test_edited_copies_are_linked(spark, monkeypatch):
     assert far  # op1's radius doesn't reach these
     df = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in texts.items()], DOCS).repartition(3)
     monkeypatch.setattr(simhash, "FREQUENT", 3)  # the order of shingles changes no result
-    assert {r["doc_id"]: r["component_id"] for r in simhash.near_copies(df).collect()} == want
+    got = {r["doc_id"]: r["component"] for r in simhash.near_copies(df).collect()}
+    assert len(got) == len(want) and len(set(zip(got.values(), (want[i] for i in got), strict=True))) == len(set(want.values())) == len(set(got.values()))
+    left = simhash.duplicates_stage(spark, clashing(df), "").collect()
+    assert sorted(r["doc_id"] for r in left) == sorted(set(want.values())) and all(r["text_hash"] == "x" for r in left)
+
+
+def test_the_stage_decides_by_row(spark):
+    a, b, c = ("alpha beta gamma delta epsilon zeta", "one two three four five six seven", "entirely other words stand in this one")
+    rows = [(2, b), (5, b), (5, a), (5, a), (None, c), (None, c), (None, b), (7, None), (8, ""), (3, a)]
+    df = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in rows], DOCS).repartition(3)
+    out = sorted(((r["doc_id"], r["text"]) for r in simhash.duplicates_stage(spark, df, "").collect()), key=lambda x: (x[0] is None, x[0] or 0))
+    assert out == [(2, b), (3, a), (7, None), (None, c)]
+    same = [(5, b), (5, a), (2, b)]
+    df = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in same], DOCS)
+    assert sorted((r["doc_id"], r["text"]) for r in simhash.duplicates_stage(spark, df, "").collect()) == [(2, b), (5, a)]
+    assert simhash.duplicates_stage(spark, df.limit(0), "").count() == 0
+
+
+def test_rows_without_ids_link_others(spark):
+    texts = edited()
+    rows = [(None if i % 3 == 0 else i, t, "en", "s", 0) for i, t in texts.items()]
+    fps = {i: fingerprint(t) for i, t in texts.items()}
+    want = linked(fps)
+    least = {}
+    for i, (d, *_) in enumerate(rows):
+        if d is not None:
+            least[want[i]] = min(d, least.get(want[i], d))
+    got = simhash.near_duplicates(spark.createDataFrame(rows, DOCS)).collect()
+    expect = sorted((str(d), least.get(want[i]) if least.get(want[i]) is not None else -1) for i, (d, *_) in enumerate(rows))
+    assert sorted((str(r["doc_id"]), -1 if r["component_id"] is None else r["component_id"]) for r in got) == expect

@@ -5,7 +5,7 @@ from balcut.llm import decontaminate, secrets
 from balcut.llm.quality import quality_rules, trusted_labels
 from balcut.llm.shared import settle, table
 
-from .test_corpus import fingerprint, linked
+from .test_near_copies import groups
 
 
 def test_stages_one_by_one(spark, sf):
@@ -16,9 +16,9 @@ def test_stages_one_by_one(spark, sf):
     assert one.columns == columns and {r["doc_id"] for r in one.collect()} == kept
 
     text = {r["doc_id"]: r["text"] for r in one.collect()}
-    groups = linked({i: fingerprint(t) for i, t in text.items()})
+    want = groups(text)
     two = settle(corpus_pipeline.STAGES[1][1](spark, one, sf), "two")
-    assert two.columns == columns and sorted(r["doc_id"] for r in two.collect()) == sorted(set(groups.values()))
+    assert two.columns == columns and sorted(r["doc_id"] for r in two.collect()) == sorted(set(want.values()))
 
     items = [(r["item_id"], decontaminate.normalised(r["text"])) for r in table(spark, sf, "benchmark").collect()]
     three = settle(corpus_pipeline.STAGES[2][1](spark, two, sf), "three")
@@ -41,8 +41,8 @@ def test_run(spark, sf):
     assert corpus_pipeline.run(spark, sf).count() > 0
 
 
-def test_documents_of_one_id_leave_one_row(spark):
+def test_texts_under_one_id_are_judged_apart(spark):
     rows = [(1, "some text of several words", "en", "s", 1), (1, "some text of several words", "en", "s", 1), (1, "another text", "en", "s", 1), (2, None, "en", "s", 1), (3, "", "en", "s", 1)]
     df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
     out = corpus_pipeline.STAGES[1][1](spark, df, "").collect()
-    assert sorted(r["doc_id"] for r in out) == [1, 2]
+    assert sorted((r["doc_id"], r["text"]) for r in out) == [(1, "another text"), (1, "some text of several words"), (2, None)]
