@@ -22,12 +22,14 @@ from pyspark.sql import functions as F
 from .shared import each, in_mask, key_mask, sealed, settle, table, unused, words_of
 
 #: Buckets of the hashed n-grams; the model is an array of this size, whatever the corpus.
-BUCKETS = 1 << 22
+#: Tasks sum up to so many rows at most, which bounds what is shuffled; fuller buckets bring all scores
+#: nearer to 0, and the threshold with them.
+BUCKETS = 1 << 18
 #: Buckets of a part of the model; parts are packed apart and joined at the end.
-PART = 1 << 12
+PART = 1 << 10
 SMOOTH = 1.0
 #: Orders of the n-grams.
-ORDERS = (1, 2, 3)
+ORDERS = (1, 2)
 #: Of so many folds of the trusted documents one sets the threshold; the others make the target.
 FOLDS = 5
 #: Standard deviations under the mean score of held-out trusted documents at which documents are rejected.
@@ -36,7 +38,7 @@ DEVIATIONS = 3.0
 MIN_WORDS, MAX_REPEAT_PERCENT, SYMBOLS, WINDOW = 10, 20, "#*$%&|<>", 5
 
 
-def _hashed(df: DataFrame, text: str, longest: int = 3) -> DataFrame:
+def _hashed(df: DataFrame, text: str, longest: int = 2) -> DataFrame:
     """Adds the words and the hashes of all their n-grams: ``_g1`` of words, ``_g2`` of pairs and so on.
 
     An n-gram's hash is that of the hashes of its first and of its last n - 1 words.
@@ -53,15 +55,6 @@ def _paired(hashes: Column, apart: int) -> Column:
     return F.transform(F.slice(hashes, 1, F.greatest(F.size(hashes) - apart, F.lit(0))), lambda h, i: F.xxhash64(h, F.get(hashes, i + apart)))
 
 
-def _longest(orders: tuple[int, ...]) -> int:
-    return max(3, *orders)
-
-
-def _buckets(buckets: int, orders: tuple[int, ...]) -> Column:
-    """Buckets of a text's n-grams of the given orders, from their hashes."""
-    return F.transform(F.concat(*(F.col(f"_g{n}") for n in orders)), lambda h: F.pmod(h, F.lit(buckets)).cast("int"))
-
-
 def bucket_counts(docs: DataFrame, text: str = "text", buckets: int = BUCKETS, orders: tuple[int, ...] = ORDERS) -> DataFrame:
     """(bucket, n) over all documents; tasks sum up to ``buckets`` rows before the shuffle.
 
@@ -106,7 +99,7 @@ def ratio_model(raw: DataFrame, target: DataFrame, buckets: int = BUCKETS, smoot
 
 
 def text_rules(df: DataFrame, text: str = "text") -> DataFrame:
-    """Adds n_words, word_chars, n_symbols, n_dup_lines and n_repeat_words; needs ``_words`` and ``_g3``."""
+    """Adds n_words, word_chars, n_symbols, n_dup_lines and n_repeat_words; needs ``_words``, ``_g1`` and ``_g2``."""
     body = F.coalesce(F.col(text), F.lit(""))
     n = F.size("_words")
     lines = F.filter(F.split(body, "\n", -1), lambda x: F.rlike(x, F.lit(r"[^\x20\x09-\x0D]")))
@@ -116,7 +109,8 @@ def text_rules(df: DataFrame, text: str = "text") -> DataFrame:
             "word_chars": F.length(F.array_join("_words", "")).cast("long"),
             "n_symbols": F.length(F.regexp_replace(body, r"[^#*$%&|<>]+", "")).cast("long"),
             "_lines": F.when(F.contains(body, F.lit("\n")), lines).otherwise(F.array().cast("array<string>")),
-            "_win": _paired(F.col("_g3"), WINDOW - 3),  # two triples that overlap in a word
+            # A window of five words: two pairs and the last word.
+            "_win": F.transform(F.slice("_g2", 1, F.greatest(n - (WINDOW - 1), F.lit(0))), lambda h, i: F.xxhash64(h, F.get(F.col("_g2"), i + 2), F.get(F.col("_g1"), i + 4))),
         }
     )
     df = df.withColumns({"n_dup_lines": (F.size("_lines") - F.size(F.array_distinct("_lines"))).cast("long"), "_again": F.size(F.array_distinct("_win")) < F.size("_win")})
@@ -143,10 +137,11 @@ def judge(docs: DataFrame, model: Column, doc_id: str = "doc_id", text: str = "t
     carried = [c for c in carry if c not in (doc_id, text)]
     own = [f"_in_{k}" for k in range(len(carried))]  # names of the input can't clash with ours
     df = docs.select(F.col(f"`{doc_id}`").alias("_id"), F.col(f"`{text}`").alias("_text"), *(F.col(f"`{c}`").alias(o) for c, o in zip(carried, own, strict=True)))
-    df = text_rules(_hashed(df, "_text", _longest(orders)), "_text")
+    df = text_rules(_hashed(df, "_text", max(2, *orders)), "_text")
     # The model is named once, so the optimizer puts the subquery's value there and no row carries it.
     df = df.withColumn("_model", model)
-    total = F.aggregate(_buckets(buckets, orders), F.lit(0.0), lambda a, b: a + F.get(F.col("_model"), b))
+    grams = F.concat(*(F.col(f"_g{n}") for n in orders)) if len(orders) > 1 else F.col(f"_g{orders[0]}")
+    total = F.aggregate(grams, F.lit(0.0), lambda a, h: a + F.get(F.col("_model"), F.pmod(h, F.lit(buckets)).cast("int")))
     df = df.withColumn("score", F.when(F.col("n_words") > 0, total / F.col("n_words")).otherwise(F.lit(0.0)))
     failed = (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEAT_PERCENT * F.col("n_words"))
     least = threshold if isinstance(threshold, Column) else F.lit(threshold).cast("double")

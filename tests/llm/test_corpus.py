@@ -97,7 +97,7 @@ def gram(hs):
     return hs[0] if len(hs) == 1 else chained([gram(hs[:-1]), gram(hs[1:])])
 
 
-def grams_of(t, buckets, orders=(1, 2, 3)):
+def grams_of(t, buckets, orders=quality.ORDERS):
     hs = hashes_of(t)
     return [gram(hs[i : i + n]) % buckets for n in orders for i in range(len(hs) - n + 1)]
 
