@@ -249,24 +249,29 @@ STAGE_WIDTH, ALIKE = 5, (4, 5)
 COUNT_BLOCK, FREQUENT, FREQUENT_KEPT = 1 << 21, 16, 1 << 16
 #: Slots of a set's sketch; sums of the lesser counts bound the number of common shingles.
 SLOTS = np.uint64(256)
+SLICE = 64
 
 
-def shingle_sets(docs: DataFrame, width: int = STAGE_WIDTH, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, text_hash, key, sketch, tokens) of every row: the distinct shingle hashes, sorted, a hash of the set and counts by hash range."""
+def _sets(texts, width: int) -> list[np.ndarray]:
+    """The distinct shingle hashes of some texts, sorted."""
+    return [np.unique(np.array([h for part in shingle_hashes(x.as_buffer().to_pybytes(), width) for h in part], np.uint64)).view(np.int64) for x in texts]
 
-    def run(batches):
-        from xxhash import xxh64_intdigest
 
-        for batch in batches:
-            for a in range(0, batch.num_rows, 64):  # a few texts at a time
-                sets = [np.unique(np.array([h for part in shingle_hashes(x.as_buffer().to_pybytes(), width) for h in part], np.uint64)).view(np.int64) for x in batch.column(2).slice(a, 64)]
-                keys = pa.array(np.array([xxh64_intdigest(s.tobytes(), SEED) for s in sets], np.uint64).view(np.int64))
-                sketches = pa.array([np.minimum(np.bincount(s.view(np.uint64) % SLOTS, minlength=int(SLOTS)), 65535).astype("<u2").tobytes() for s in sets], pa.binary())
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, 64), batch.column(1).slice(a, 64), keys, sketches, _lists(sets)], names=["doc_id", "text_hash", "key", "sketch", "tokens"])
+def _keys_of(sets: list[np.ndarray]) -> pa.Array:
+    """A hash of each set."""
+    from xxhash import xxh64_intdigest
+
+    return pa.array(np.array([xxh64_intdigest(s.tobytes(), SEED) for s in sets], np.uint64).view(np.int64))
+
+
+def _lists(parts: list[np.ndarray]) -> pa.Array:
+    ends = np.cumsum([0, *map(len, parts)]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([*parts, np.zeros(0, np.int64)])))
 
+
+def _named(docs: DataFrame, doc_id: str, text: str) -> DataFrame:
     body = F.coalesce(F.col(f"`{text}`"), F.lit(""))
-    rows = docs.select(F.col(f"`{doc_id}`").cast("long").alias("doc_id"), _text_hash(F.col(f"`{text}`")).alias("text_hash"), body.alias("text"))
-    return rows.mapInArrow(run, "doc_id bigint, text_hash bigint, key bigint, sketch binary, tokens array<bigint>")
+    return docs.select(F.col(f"`{doc_id}`").cast("long").alias("doc_id"), _text_hash(F.col(f"`{text}`")).alias("text_hash"), body.alias("text"))
 
 
 def _text_hash(text: Column) -> Column:
@@ -274,13 +279,8 @@ def _text_hash(text: Column) -> Column:
     return F.xxhash64(text, text.isNull())
 
 
-def _lists(parts: list[np.ndarray]) -> pa.Array:
-    ends = np.cumsum([0, *map(len, parts)]).astype(np.int32)
-    return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([*parts, np.zeros(0, np.int64)])))
-
-
-def frequent(sets: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Some frequent shingles, sorted, and their counts.
+def frequent(rows: DataFrame, width: int = STAGE_WIDTH) -> tuple[np.ndarray, np.ndarray]:
+    """Some frequent shingles of the texts, sorted, and their counts.
 
     They only come last in the order of shingles. Any order finds every pair, so a shingle that is
     missed here costs time and no result.
@@ -295,42 +295,58 @@ def frequent(sets: DataFrame) -> tuple[np.ndarray, np.ndarray]:
             return pa.RecordBatch.from_arrays([pa.array(found[many]), pa.array(counts[many])], names=["h", "n"])
 
         for batch in batches:
-            flat = batch.column(0).flatten().to_numpy(zero_copy_only=False)
-            held.append(flat)
-            n += len(flat)
-            if n >= COUNT_BLOCK:
-                yield out()
-                held, n = [], 0
+            for a in range(0, batch.num_rows, SLICE):
+                held += _sets(batch.column(0).slice(a, SLICE), width)
+                n += sum(map(len, held[-SLICE:]))
+                if n >= COUNT_BLOCK:
+                    yield out()
+                    held, n = [], 0
         yield out()
 
-    rows = sets.select("tokens").mapInArrow(run, "h bigint, n bigint").groupBy("h").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "h").limit(FREQUENT_KEPT).collect()
-    rows.sort()
-    return np.array([r["h"] for r in rows], np.int64), np.array([r["n"] for r in rows], np.int64)
+    top = rows.select("text").mapInArrow(run, "h bigint, n bigint").groupBy("h").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "h").limit(FREQUENT_KEPT).collect()
+    top.sort()
+    return np.array([r["h"] for r in top], np.int64), np.array([r["n"] for r in top], np.int64)
 
 
-def prefixes(sets: DataFrame, often: tuple[np.ndarray, np.ndarray], alike: tuple[int, int] = ALIKE) -> DataFrame:
-    """(h, key): of every set of n shingles the first n - ceil(alike * n) + 1, rare ones first.
+def marked_sets(rows: DataFrame, often: tuple[np.ndarray, np.ndarray], alike: tuple[int, int] = ALIKE, width: int = STAGE_WIDTH) -> DataFrame:
+    """(doc_id, text_hash, key, n, sketch, first) of every row: hash and size of the shingle set, counts by hash range, first shingles.
 
-    Two sets that are alike enough miss too few of each other's shingles to differ in all of these.
+    Of a set of n shingles the first ones are n - ceil(alike * n) + 1, rare ones before frequent ones. Two sets
+    that are alike enough miss too few of each other's shingles to differ in all of these. Whole sets aren't kept:
+    the few that are compared are made from their texts again.
     """
     p, q = alike
 
-    def run(batches):
+    def first(s: np.ndarray) -> np.ndarray:
         known, counts = often
+        size = len(s) - -(-p * len(s) // q) + 1 if len(s) else 0
+        if len(known) and len(s):
+            at = np.minimum(np.searchsorted(known, s), len(known) - 1)
+            s = s[np.lexsort((s, np.where(known[at] == s, counts[at], 0)))]
+        return s[:size]
+
+    def run(batches):
         for batch in batches:
-            tokens = batch.column(1)
-            keys, firsts = [], []
-            for key, a, b in zip(batch.column(0).to_pylist(), tokens.offsets[:-1].to_pylist(), tokens.offsets[1:].to_pylist(), strict=True):
-                s = tokens.values[a:b].to_numpy(zero_copy_only=False)
-                size = len(s) - -(-p * len(s) // q) + 1 if len(s) else 0
-                if len(known) and len(s):
-                    at = np.minimum(np.searchsorted(known, s), len(known) - 1)
-                    s = s[np.lexsort((s, np.where(known[at] == s, counts[at], 0)))]
-                firsts.append(s[:size])
-                keys.append(key)
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([*firsts, np.zeros(0, np.int64)])), pa.array(np.repeat(np.array(keys, np.int64), [len(x) for x in firsts]))], names=["h", "key"])
+            for a in range(0, batch.num_rows, SLICE):
+                ids, hashes, texts = (batch.column(k).slice(a, SLICE) for k in range(3))
+                sets = _sets(texts, width)
+                sketches = pa.array([np.minimum(np.bincount(s.view(np.uint64) % SLOTS, minlength=int(SLOTS)), 255).astype(np.uint8).tobytes() for s in sets], pa.binary())
+                sizes = pa.array([len(s) for s in sets], pa.int32())
+                yield pa.RecordBatch.from_arrays([ids, hashes, _keys_of(sets), sizes, sketches, _lists([first(s) for s in sets])], names=["doc_id", "text_hash", "key", "n", "sketch", "first"])
+
+    return rows.mapInArrow(run, "doc_id bigint, text_hash bigint, key bigint, n int, sketch binary, first array<bigint>")
+
 
-    return sets.select("key", "tokens").mapInArrow(run, "h bigint, key bigint").distinct()
+def whole_sets(rows: DataFrame, width: int = STAGE_WIDTH) -> DataFrame:
+    """(key, tokens) of some texts."""
+
+    def run(batches):
+        for batch in batches:
+            for a in range(0, batch.num_rows, SLICE):
+                sets = _sets(batch.column(0).slice(a, SLICE), width)
+                yield pa.RecordBatch.from_arrays([_keys_of(sets), _lists(sets)], names=["key", "tokens"])
+
+    return rows.select("text").mapInArrow(run, "key bigint, tokens array<bigint>")
 
 
 def _set_forest(sets: list[np.ndarray], reps: list[int], alike: tuple[int, int]) -> list[tuple[int, int]]:
@@ -357,7 +373,7 @@ def _set_forest(sets: list[np.ndarray], reps: list[int], alike: tuple[int, int])
 def _possible(sketches: list[bytes], sizes: list[int], alike: tuple[int, int]) -> list[list[int]]:
     """Places of the members that may be alike by their sketches, directly or by others; those without a partner are left out."""
     p, q = alike
-    held, n = np.array([np.frombuffer(x, "<u2") for x in sketches], np.int64), np.array(sizes, np.int64)
+    held, n = np.array([np.frombuffer(x, np.uint8) for x in sketches], np.int64), np.array(sizes, np.int64)
     over = n - held.sum(axis=1)  # shingles beyond a slot's largest count
     left, found, queue = np.arange(1, len(n)), [[0]], [0]
     while queue and len(left):
@@ -390,41 +406,53 @@ def _by_group(batches, finish):
         yield from finish([*zip(*held, strict=True)])
 
 
-def _once(members: DataFrame, label: str) -> DataFrame:
+def _once(members: DataFrame) -> DataFrame:
     """Rows (h, key) of groups of two or more, with one group of each list of members."""
     prints = [F.bit_xor(F.xxhash64("key", F.lit(k))).alias(f"x{k}") for k in (0, 1)]
     groups = members.groupBy("h").agg(F.count("*").alias("n"), F.min("key").alias("lo"), F.max("key").alias("hi"), *prints).where("n > 1")
-    groups = settle(groups.groupBy("n", "lo", "hi", "x0", "x1").agg(F.min("h").alias("h")), label)
-    two = groups.where("n = 2").select("h", each(F.array("lo", "hi")).alias("key"))
-    return settle(two.unionByName(members.join(groups.where("n > 2").select("h"), "h").select("h", "key")), label)
-
-
-def _with(members: DataFrame, sets: DataFrame, *columns: Column) -> DataFrame:
-    """``members`` (h, key) with aggregates of their sets, group by group."""
-    wanted = members.select("key").distinct()
-    near = sets.where(in_mask(key_mask(wanted, F.xxhash64("key")), F.xxhash64("key"))).join(wanted.hint("merge"), "key", "left_semi")
-    return members.join(near.groupBy("key").agg(*columns), "key").repartition("h").sortWithinPartitions("h")
+    groups = settle(groups.groupBy("n", "lo", "hi", "x0", "x1").agg(F.min("h").alias("h")), "groups")
+    two = groups.where("n = 2").select("h", F.explode(F.array("lo", "hi")).alias("key"))
+    more = groups.where("n > 2").select("h")
+    near = members.where(in_mask(key_mask(more, F.xxhash64("h")), F.xxhash64("h")))
+    return settle(two.unionByName(near.join(more, "h", "left_semi").select("h", "key")), "members")
 
 
-def alike_links(sets: DataFrame, alike: tuple[int, int] = ALIKE) -> DataFrame:
-    """Edges (a, b) between keys of sets that keep the connectivity of all pairs of sets that are alike enough.
+def possible_links(marked: DataFrame, alike: tuple[int, int] = ALIKE) -> DataFrame:
+    """Edges (a, b) between keys of sets that share a first shingle and may be alike by their sketches.
 
-    Documents that share a first shingle are a group. Sketches part it into smaller ones that no alike
-    pair crosses; of equal groups one is looked at, by its whole sets.
+    They keep the connectivity of all alike pairs, and cross few others.
     """
-    first = _once(settle(prefixes(sets, frequent(sets), alike), "prefixes"), "groups")
-    sketched = _with(first, sets, F.first("sketch").alias("sketch"), F.first(F.size("tokens")).alias("n")).select("h", "key", "sketch", "n")
+    # One shuffle by shingle serves the distinct members and the groups.
+    first = marked.select(each(F.col("first")).alias("h"), "key").where("h is not null").repartition("h").dropDuplicates(["h", "key"])
+    members = _once(first)
+    wanted = members.select("key").distinct()
+    near = marked.select("key", "n", "sketch").where(in_mask(key_mask(wanted, F.xxhash64("key")), F.xxhash64("key")))
+    near = near.groupBy("key").agg(F.first("n").alias("n"), F.first("sketch").alias("sketch"))
+    dealt = members.join(near, "key").select("h", "key", "sketch", "n").repartition("h").sortWithinPartitions("h")
 
     def part(batches):
         def finish(group):
-            h, keys, sketches, sizes = group
-            for f in _possible(sketches, sizes, alike):
-                yield pa.RecordBatch.from_arrays([pa.array([f"{h[0]} {keys[f[0]]}"] * len(f)), pa.array([keys[i] for i in f])], names=["h", "key"])
+            _, keys, sketches, sizes = group
+            found = _possible(sketches, sizes, alike)
+            yield pa.RecordBatch.from_arrays([pa.array([keys[f[0]] for f in found for _ in f[1:]], pa.int64()), pa.array([keys[i] for f in found for i in f[1:]], pa.int64())], names=["a", "b"])
 
         yield from _by_group(batches, finish)
 
-    second = _once(settle(sketched.mapInArrow(part, "h string, key bigint"), "possible"), "possible-groups")
-    whole = _with(second, sets, F.first("tokens").alias("tokens")).select("h", "key", "tokens")
+    return dealt.mapInArrow(part, "a bigint, b bigint")
+
+
+def alike_links(rows: DataFrame, marked: DataFrame, alike: tuple[int, int] = ALIKE, width: int = STAGE_WIDTH) -> DataFrame:
+    """Edges (a, b) between keys of sets that keep the connectivity of all pairs of sets that are alike enough.
+
+    Sketches part the documents into components that no alike pair crosses, so each set goes to one place
+    and is compared there, by exact counts of common shingles.
+    """
+    parts = settle(components(possible_links(marked, alike)).withColumnRenamed("node", "key"), "parts")
+    texts = marked.join(parts.select("key").hint("merge"), "key", "left_semi").groupBy("key").agg(F.min("text_hash").alias("text_hash")).select("text_hash").distinct()
+    mask = key_mask(texts, F.col("text_hash"))
+    some = rows.where(in_mask(mask, F.col("text_hash")))
+    whole = whole_sets(some, width).groupBy("key").agg(F.first("tokens").alias("tokens")).join(parts.hint("merge"), "key")
+    dealt = whole.select(F.col("component").alias("h"), "key", "tokens").repartition("h").sortWithinPartitions("h")
 
     def run(batches):
         def finish(group):
@@ -433,7 +461,7 @@ def alike_links(sets: DataFrame, alike: tuple[int, int] = ALIKE) -> DataFrame:
 
         yield from _by_group(batches, finish)
 
-    return whole.mapInArrow(run, "a bigint, b bigint")
+    return dealt.mapInArrow(run, "a bigint, b bigint")
 
 
 def near_copies(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = STAGE_WIDTH, alike: tuple[int, int] = ALIKE) -> DataFrame:
@@ -443,9 +471,10 @@ def near_copies(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", wid
     masks would need thousands of tables. So pairs come from shared first shingles, which miss none. Components
     are named by the key of one of their sets, so ids, null or repeated, play no part.
     """
-    sets = settle(shingle_sets(docs, width, doc_id, text), "shingle-sets")
-    known = components(alike_links(sets, alike))
-    rows = sets.select("doc_id", "text_hash", "key")
+    texts = _named(docs, doc_id, text)
+    marked = settle(marked_sets(texts, frequent(texts, width), alike, width), "marked-sets")
+    known = components(alike_links(texts, marked, alike, width))
+    rows = marked.select("doc_id", "text_hash", "key")
     return rows.join(known.withColumnRenamed("node", "key"), "key", "left").select("doc_id", "text_hash", F.coalesce("component", "key").alias("component"))
 
 
@@ -462,18 +491,19 @@ def duplicates_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """
     found = settle(near_copies(docs), "near-copies")
     # Copies collapse in each task before they are compared.
-    best = found.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "text_hash")).alias("k"))
-    n = found.groupBy("doc_id", "text_hash").agg(F.count("*").alias("n"))
+    best = found.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "text_hash")).alias("k")).select("k.doc_id", "k.text_hash")
+    n = found.groupBy("doc_id", "text_hash").agg(F.count("*").alias("n")).alias("a")
     same = lambda x, y: F.col(f"{x}.doc_id").eqNullSafe(F.col(f"{y}.doc_id")) & (F.col(f"{x}.text_hash") == F.col(f"{y}.text_hash"))
-    keep = best.select("k.doc_id", "k.text_hash").alias("a").join(n.alias("b"), same("a", "b")).select("a.*", "b.n")
-    keep = settle(keep, "kept-rows")
-    at, own, many, row = unused(docs, "text_hash", "id", "n", "row")
-    rows = docs.withColumns({at: _text_hash(F.col("text")), own: F.col("doc_id").cast("long")}).alias("x")
-    # Rows that go are mostly told by a mask of fixed size before any text moves.
-    rows = rows.where(in_mask(key_mask(keep, F.xxhash64("doc_id", "text_hash")), F.xxhash64(own, at)))
-    mine = keep.select(F.col("doc_id").alias("k_id"), F.col("text_hash").alias("k_hash"), F.col("n").alias(many)).hint("merge").alias("k")
-    rows = rows.join(mine, F.col(f"x.{own}").eqNullSafe(F.col("k.k_id")) & (F.col(f"x.{at}") == F.col("k.k_hash"))).select("x.*", f"k.{many}")
+    known = n.join(best.alias("b"), same("a", "b"), "left").select("a.*", F.col("b.text_hash").isNotNull().alias("stays"))
+    # Rows that stay and have no repeats, nearly all, pass without a shuffle; a mask of fixed size tells the others.
+    odd = settle(known.where("n > 1 or not stays"), "odd-rows")
+    at, own, special, many, row = unused(docs, "text_hash", "id", "special", "many", "row")
+    rows = docs.withColumns({at: _text_hash(F.col("text")), own: F.col("doc_id").cast("long")})
+    rows = rows.withColumn(special, in_mask(key_mask(odd, F.xxhash64("doc_id", "text_hash")), F.xxhash64(own, at)))
+    right = odd.select(F.col("doc_id").alias("o_id"), F.col("text_hash").alias("o_hash"), "n", "stays").hint("merge").alias("o")
+    some = rows.where(special).alias("x").join(right, F.col(f"x.{own}").eqNullSafe(F.col("o.o_id")) & (F.col(f"x.{at}") == F.col("o.o_hash")), "left")
+    some = some.where("o.n is null or o.stays").select("x.*", F.coalesce("o.n", F.lit(1)).alias(many))
     out = [F.col(f"`{c}`") for c in docs.columns]
     first = Window.partitionBy(own, at).orderBy(F.lit(0))
-    twice = rows.where(F.col(many) > 1).withColumn(row, F.row_number().over(first)).where(F.col(row) == 1)
-    return rows.where(F.col(many) == 1).select(*out).unionByName(twice.select(*out))
+    twice = some.where(F.col(many) > 1).withColumn(row, F.row_number().over(first)).where(F.col(row) == 1)
+    return rows.where(~F.col(special)).select(*out).unionByName(some.where(F.col(many) == 1).select(*out)).unionByName(twice.select(*out))
