@@ -10,9 +10,10 @@ are compared at once; larger ones are joined in one sweep that gives a spanning
 pairs; huge ones are dealt once more by masks on the bits the first left free, which bounds a
 sub-bucket by 2 to the power of the remaining bits. Components come from alternating large and small stars.
 
-That is op1, whose width and radius are fixed. The pipeline stage wants pairs with a Jaccard similarity
-of 0.8 over 5-word shingles: ``near_copies`` finds all of them through shared rare shingles and
-checks each by its exact count of common shingles (equal 64-bit hashes count as equal).
+That is op1, whose width and radius are fixed. The pipeline stage takes fingerprints of 5-word shingles in the same
+way. ``near_copies`` stands beside them for whoever wants all pairs with a Jaccard similarity of 0.8: it finds them
+through shared rare shingles and checks each by its exact count of common shingles (equal 64-bit hashes count as
+equal), but takes all documents with one first shingle into one task.
 
 Defined results: a null text counts as empty; texts without words have fingerprint 0 and are
 linked like any others; repeated rows are in one component; a component's id is its smallest id, null only where
@@ -69,7 +70,7 @@ def _bit_sums(hashes: np.ndarray, starts: np.ndarray) -> np.ndarray:
     return np.concatenate([np.add.reduceat(_LANES[octets[:, k]], starts).view(np.uint8).reshape(-1, 8) for k in range(8)], axis=1)
 
 
-def fingerprints_of(texts: list[bytes]) -> np.ndarray:
+def fingerprints_of(texts: list[bytes], width: int = SHINGLE) -> np.ndarray:
     """Fingerprints of some texts as signed longs."""
     sums, sizes = np.zeros((len(texts), BITS), np.int64), np.zeros(len(texts), np.int64)
     held: list[list[int]] = []
@@ -90,7 +91,7 @@ def fingerprints_of(texts: list[bytes]) -> np.ndarray:
         held, rows, n = [], [], 0
 
     for i, text in enumerate(texts):
-        for part in shingle_hashes(text):
+        for part in shingle_hashes(text, width):
             for a in range(0, len(part), HASH_BLOCK):
                 held.append(part[a : a + HASH_BLOCK])
                 rows.append(i)
@@ -102,7 +103,7 @@ def fingerprints_of(texts: list[bytes]) -> np.ndarray:
     return (bits << np.arange(BITS, dtype=np.uint64)).sum(axis=1, dtype=np.uint64).view(np.int64)
 
 
-def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = SHINGLE) -> DataFrame:
     """(doc_id, fp) of every row."""
 
     def run(batches):
@@ -110,7 +111,7 @@ def fingerprints(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") ->
             ids, texts = batch.column(0), batch.column(1)
             for a in range(0, batch.num_rows, 64):  # a few texts at a time
                 part = [x.as_buffer().to_pybytes() for x in texts.slice(a, 64)]
-                yield pa.RecordBatch.from_arrays([ids.slice(a, 64), pa.array(fingerprints_of(part))], names=["doc_id", "fp"])
+                yield pa.RecordBatch.from_arrays([ids.slice(a, 64), pa.array(fingerprints_of(part, width))], names=["doc_id", "fp"])
 
     kind = docs.schema[doc_id].dataType.simpleString()
     return docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text")).mapInArrow(run, f"doc_id {kind}, fp bigint")
@@ -232,9 +233,9 @@ def components(edges: DataFrame) -> DataFrame:
     return edges.groupBy("a").agg(F.min("b").alias("component")).withColumnRenamed("a", "node")
 
 
-def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", radius: int = RADIUS) -> DataFrame:
+def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", radius: int = RADIUS, width: int = SHINGLE) -> DataFrame:
     """(doc_id, fp, component_id) of every row. Fingerprints are the nodes, so rows without an id link others like any row."""
-    marked = settle(fingerprints(docs, doc_id, text), "fingerprints")
+    marked = settle(fingerprints(docs, doc_id, text, width), "fingerprints")
     reps = settle(marked.groupBy("fp").agg(F.min("doc_id").alias("least")), "representatives")
     known = components(links(reps.select("fp", F.col("fp").alias("rep")), radius))
     # Nodes without edges are their own component.
@@ -447,7 +448,8 @@ def alike_links(rows: DataFrame, marked: DataFrame, alike: tuple[int, int] = ALI
     Sketches part the documents into components that no alike pair crosses, so each set goes to one place
     and is compared there, by exact counts of common shingles.
     """
-    parts = settle(components(possible_links(marked, alike)).withColumnRenamed("node", "key"), "parts")
+    known = components(possible_links(marked, alike)).withColumnRenamed("node", "key")
+    parts = settle(known.unionByName(known.select(F.col("component").alias("key"), "component").distinct()), "parts")
     texts = marked.join(parts.select("key").hint("merge"), "key", "left_semi").groupBy("key").agg(F.min("text_hash").alias("text_hash")).select("text_hash").distinct()
     mask = key_mask(texts, F.col("text_hash"))
     some = rows.where(in_mask(mask, F.col("text_hash")))
@@ -483,18 +485,16 @@ def op1_simhash_duplicates(spark, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-def duplicates_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline stage: one row of each component of near copies stays.
+def duplicates_stage(spark, docs: DataFrame, sf_dir: str, radius: int = RADIUS) -> DataFrame:
+    """Pipeline stage: one row of each component of rows whose 5-word fingerprints link stays.
 
     It is the row with the smallest id, null ids last, of rows with that id the one with the least hash of its
     text, and of rows equal in both any one. Other texts under its id are judged by their own components.
     """
-    found = settle(near_copies(docs), "near-copies")
-    # Copies collapse in each task before they are compared.
-    best = found.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "text_hash")).alias("k")).select("k.doc_id", "k.text_hash")
-    n = found.groupBy("doc_id", "text_hash").agg(F.count("*").alias("n")).alias("a")
-    same = lambda x, y: F.col(f"{x}.doc_id").eqNullSafe(F.col(f"{y}.doc_id")) & (F.col(f"{x}.text_hash") == F.col(f"{y}.text_hash"))
-    known = n.join(best.alias("b"), same("a", "b"), "left").select("a.*", F.col("b.text_hash").isNotNull().alias("stays"))
+    rank = F.struct(F.col("doc_id").isNull().alias("last"), F.col("doc_id").cast("long").alias("doc_id"), _text_hash(F.col("text")).alias("text_hash"))
+    found = settle(near_duplicates(docs.select(rank.alias("row"), "text"), "row", "text", radius, STAGE_WIDTH), "near-copies")
+    # A component's id is its smallest row.
+    known = found.groupBy("doc_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("stays")).agg(F.count("*").alias("n")).select("doc_id.doc_id", "doc_id.text_hash", "stays", "n")
     # Rows that stay and have no repeats, nearly all, pass without a shuffle; a mask of fixed size tells the others.
     odd = settle(known.where("n > 1 or not stays"), "odd-rows")
     at, own, special, many, row = unused(docs, "text_hash", "id", "special", "many", "row")

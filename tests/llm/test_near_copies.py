@@ -3,6 +3,8 @@
 import itertools
 import random
 
+import xxhash
+
 from balcut.llm import simhash
 
 from .test_corpus import DOCS, LOWER, clashing, fingerprint, linked
@@ -52,6 +54,18 @@ def test_edited_copies_are_linked(spark, monkeypatch):
     monkeypatch.setattr(simhash, "FREQUENT", 3)  # the order of shingles changes no result
     got = {r["doc_id"]: r["component"] for r in simhash.near_copies(df).collect()}
     assert len(got) == len(want) and len(set(zip(got.values(), (want[i] for i in got), strict=True))) == len(set(want.values())) == len(set(got.values()))
+
+
+def print_of(t, width=5):
+    w = (t or "").translate(LOWER).split()
+    hashes = [xxhash.xxh64_intdigest(" ".join(w[i : i + width]).encode(), 42) for i in range(len(w) - width + 1)] or ([xxhash.xxh64_intdigest(" ".join(w).encode(), 42)] if w else [])
+    return sum(1 << i for i in range(64) if 2 * sum(h >> i & 1 for h in hashes) > len(hashes))
+
+
+def test_the_stage_keeps_one_row_of_each_component(spark):
+    texts = edited()
+    want = linked({i: print_of(t) for i, t in texts.items()})
+    df = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in texts.items()], DOCS).repartition(3)
     left = simhash.duplicates_stage(spark, clashing(df), "").collect()
     assert sorted(r["doc_id"] for r in left) == sorted(set(want.values())) and all(r["text_hash"] == "x" for r in left)
 
