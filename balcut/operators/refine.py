@@ -14,11 +14,12 @@ from pyspark.sql import functions as F
 from ..functions import cycles as C
 from ..functions import measures as M
 from ..functions.graphs import symmetric
+from ..functions.order import ranked
 from ..schema import BalanceSpec, Graph, RefineConfig
 from ..sources.scratch import settled
 from .local import Arc, Local, Model, Refiner, Search, Trace, best_prefixes, conflict
 
-#: Candidates of an ordered pair of blocks that a round looks at; under Spark's limit for early ranking.
+#: Candidates of an ordered pair of blocks that a round looks at first; pairs that need more get twice as many, again and again.
 TOP = 32
 #: Rows about candidates and searches that a round may bring to the driver.
 MODEL_ROWS = 2_000_000
@@ -89,9 +90,17 @@ class Parallel:
 
     Of a round's searches, all pairs run at once. Where two touch, the later in a hashed order is cut to
     its prefix before the contact; a prefix stays exact, since its gains are cumulative.
+
+    An overloaded start is first made feasible by ``repair``; nodes have unit weights here, others are refused.
+    Candidates are adjacent to the other block and moved nodes are marked: options for other scopes, and for
+    swaps beside the model, belong to the one-task engine and are refused too.
     """
 
     def __init__(self, g: Graph, p: DataFrame, spec: BalanceSpec, cfg: RefineConfig, seed: int = 0):
+        if cfg.candidate_scope != "pair" or cfg.mark_scope != "moved" or cfg.swap_polish:
+            raise ValueError("the distributed engine has candidate_scope='pair', mark_scope='moved' and no swap_polish")
+        if g.nodes.where("c <> 1").limit(1).count():
+            raise ValueError("the distributed engine takes nodes of unit weight")
         self.spec, self.cfg, self.seed = spec, cfg, seed
         self.g = Graph(settled(g.edges, "edges"), settled(g.nodes, "nodes"), g.name)
         self.part = settled(p, "part")
@@ -101,38 +110,84 @@ class Parallel:
         self.trace: dict[str, int] = defaultdict(int)
         self.rng = random.Random(seed)
 
-    def seeds(self, blocked: DataFrame | None, salt: int) -> DataFrame:
-        """The best eligible nodes of every ordered pair; ties by a hash that changes with each round."""
+    def repair(self) -> int:
+        """Bring every block under its bound; the number of moved nodes.
+
+        What each overloaded block has too much goes to blocks with room, adjacent ones first, by the nodes whose
+        move costs the cut least. All nodes of a transfer are told by rank, without a sort of the whole block, and
+        connections are made anew after it. Blocks without common edges, empty ones too, take part, so this never fails.
+        """
+        near = {(r["a"], r["b"]): r["w"] for r in M.quotient(self.g.edges, self.part).collect()}
+        lmax, moved = self.spec.lmax, 0
+        over = {b: n - lmax for b, n in self.sizes.items() if n > lmax}
+        room = {b: lmax - self.sizes.get(b, 0) for b in range(self.spec.k) if self.sizes.get(b, 0) < lmax}
+        pairs = sorted(((a, b) for a in over for b in room), key=lambda x: (-near.get((min(x), max(x)), 0), x))
+        for a, b in pairs:
+            n = min(over[a], room[b])
+            if not n:
+                continue
+            toward = self.conn.where(F.col("own") == a).groupBy("v").agg(F.sum(F.when(F.col("b") == b, F.col("w")).when(F.col("b") == a, -F.col("w")).otherwise(0)).alias("g"))
+            cost = self.part.where(F.col("b") == a).join(toward, "v", "left").select("v", (-F.coalesce("g", F.lit(0))).alias("cost"))
+            chosen = ranked(cost, F.col("cost"), "v").where(F.col("i") < n).select("v", F.lit(b).alias("_to"))
+            self.part = settled(self.part.join(chosen, "v", "left").select("v", F.coalesce("_to", "b").cast("int").alias("b")), "part")
+            self.conn = settled(M.connections(self.g.edges, self.part), "conn")
+            over[a] -= n
+            room[b] -= n
+            self.sizes[a] -= n
+            self.sizes[b] = self.sizes.get(b, 0) + n
+            moved += n
+        self.cut = M.cut(self.g.edges, self.part)
+        return moved
+
+    def ranks(self, blocked: DataFrame | None, salt: int) -> DataFrame:
+        """The eligible nodes of every ordered pair by gain; ties by a hash that changes with each round."""
         gain = M.gains(self.conn)
         if blocked is not None:
             gain = gain.join(blocked, "v", "left_anti")
         order = (F.desc("g"), F.col("v") if self.cfg.tie == "lex" else F.xxhash64("v", F.lit(salt)), F.col("v"))
-        r = F.row_number().over(Window.partitionBy("a", "b").orderBy(*order))
-        return gain.withColumn("rank", r).where(F.col("rank") <= TOP)
-
-    def basic_searches(self, salt: int) -> list[Search]:
-        """One independent node for each pair: top candidates and the edges among them decide on the driver."""
-        top = settled(self.seeds(None, salt), "seeds")
-        rows = self._bounded(top).orderBy("a", "b", "rank").collect()
-        ids = F.broadcast(top.select("v").distinct())
-        among = self.g.edges.join(ids, "v", "left_semi").join(ids.select(F.col("v").alias("u")), "u", "left_semi")
-        near = defaultdict(set)
-        for r in among.select("u", "v").collect():
-            near[r["u"]].add(r["v"])
-            near[r["v"]].add(r["u"])
-        lists = defaultdict(list)
-        for r in rows:
+        return gain.withColumn("rank", F.row_number().over(Window.partitionBy("a", "b").orderBy(*order)))
+
+    def seeds(self, blocked: DataFrame | None, salt: int) -> DataFrame:
+        return self.ranks(blocked, salt).where("rank = 1")
+
+    def basic_searches(self, salt: int, top: int = TOP) -> list[Search]:
+        """One independent node for each pair: candidates and the edges among them decide on the driver.
+
+        A pair whose candidates are all blocked, though it has more, gets twice as many until it finds one or has
+        shown all; the choice is then the one that whole lists would give.
+        """
+        held = settled(self.ranks(None, salt).where(F.col("rank") <= top), "seeds")
+        lists: dict[tuple[int, int], list[tuple[int, int]]] = defaultdict(list)
+        for r in self._bounded(held).orderBy("a", "b", "rank").collect():
             lists[r["a"], r["b"]].append((r["v"], r["g"]))
         pairs = sorted(lists)
         if self.cfg.order != "lex":
             self.rng.shuffle(pairs)
-        blocked, found = set(), []
-        for a, b in pairs:
-            pick = next(((v, x) for v, x in lists[a, b] if v not in blocked), None)
-            if pick:
-                blocked |= {pick[0]} | near[pick[0]]
-                found.append(Search(len(found), a, b, 0, [pick[0]], [pick[1]], [1]))
-        return found
+        limit = dict.fromkeys(pairs, top)
+        while True:
+            ids = F.broadcast(held.select("v").distinct())
+            among = self.g.edges.join(ids, "v", "left_semi").join(ids.select(F.col("v").alias("u")), "u", "left_semi")
+            near = defaultdict(set)
+            for r in among.select("u", "v").collect():
+                near[r["u"]].add(r["v"])
+                near[r["v"]].add(r["u"])
+            blocked, found, starved = set(), [], []
+            for a, b in pairs:
+                pick = next(((v, x) for v, x in lists[a, b] if v not in blocked), None)
+                if pick:
+                    blocked |= {pick[0]} | near[pick[0]]
+                    found.append(Search(len(found), a, b, 0, [pick[0]], [pick[1]], [1]))
+                elif len(lists[a, b]) == limit[a, b]:
+                    starved.append((a, b))
+                    break  # later picks depend on this one
+            if not starved:
+                return found
+            (a, b) = starved[0]
+            more = settled(self.ranks(None, salt).where((F.col("a") == a) & (F.col("b") == b) & (F.col("rank") > limit[a, b]) & (F.col("rank") <= 2 * limit[a, b])), "seeds")
+            lists[a, b] += [(r["v"], r["g"]) for r in self._bounded(more).orderBy("rank").collect()]
+            limit[a, b] *= 2
+            held = held.unionByName(more)
+            self.trace["refills"] += 1
 
     def _bounded(self, df: DataFrame) -> DataFrame:
         n = df.count()
@@ -140,16 +195,19 @@ class Parallel:
             raise TooLarge(f"{n} rows about one model; fewer blocks or candidates are needed")
         return df
 
-    def bands(self, seeds: DataFrame, blocked: DataFrame | None, tau: int, hops: int) -> DataFrame:
-        """(a, b, v, g, nbr, w): eligible nodes of block a near the best seed, with gains and ties among them."""
+    def bands(self, seeds: DataFrame, blocked: DataFrame | None, tau: int) -> DataFrame:
+        """(a, b, v, g, nbr, w): eligible nodes of block a that a search of ``tau`` steps from the best seed can reach, with gains and ties among them."""
         sym = symmetric(self.g.edges)
         own = self.part.select("v", F.col("b").alias("a"))
         front = band = seeds.where("rank = 1").select("a", "b", "v")
-        for _ in range(min(tau - 1, hops)):
+        for _ in range(tau - 1):
             front = front.join(sym, "v").select("a", "b", F.col("nbr").alias("v")).join(own, ["v", "a"], "left_semi").distinct()
             if blocked is not None:
                 front = front.join(blocked, "v", "left_anti")
-            band = band.unionByName(front.select("a", "b", "v")).distinct()
+            front = settled(front.join(band, ["a", "b", "v"], "left_anti").select("a", "b", "v"), "front")
+            if front.limit(1).count() == 0:
+                break
+            band = band.unionByName(front)
         band = settled(band, "band")
         inside = self.conn.where("b = own").select("v", F.col("w").alias("inner"))
         toward = self.conn.select("v", "b", F.col("w").alias("outer"))
@@ -158,7 +216,7 @@ class Parallel:
         ties = band.join(sym, "v").join(band.select("a", "b", F.col("v").alias("nbr")), ["a", "b", "nbr"], "left_semi").select("a", "b", "v", "nbr", "w")
         return base.join(ties, ["a", "b", "v"], "left")
 
-    def layered_searches(self, salt: int, tau: int, mu: int, hops: int = 6) -> list[Search]:
+    def layered_searches(self, salt: int, tau: int, mu: int) -> list[Search]:
         """``mu`` times: speculate on all pairs at once, then reconcile, then block what was moved and its neighbours."""
         blocked, kept = None, None
         k = self.spec.k
@@ -190,7 +248,7 @@ class Parallel:
                             live.add(y)
                 return pd.DataFrame(out, columns=["sid", "a", "b", "d", "v", "g"])
 
-            band = self.bands(seeds, blocked, tau, hops).join(F.broadcast(seeds.where("rank = 1").select("a", "b", F.col("v").alias("_s"))), ["a", "b"]).withColumn("seed", F.col("v") == F.col("_s")).drop("_s")
+            band = self.bands(seeds, blocked, tau).join(F.broadcast(seeds.where("rank = 1").select("a", "b", F.col("v").alias("_s"))), ["a", "b"]).withColumn("seed", F.col("v") == F.col("_s")).drop("_s")
             found = settled(band.groupBy("a", "b").applyInPandas(search, "sid long, a int, b int, d int, v long, g long"), "searches")
             found = settled(reconciled(found, self.g.edges, salt), "searches")
             kept = found if kept is None else kept.unionByName(found)
@@ -256,6 +314,8 @@ class Parallel:
 
     def run(self, max_rounds: int | None = None) -> Refined:
         before, fails = self.cut, 0
+        if max(self.sizes.values(), default=0) > self.spec.lmax:
+            self.trace["repaired"] = self.repair()
         for r in range(max_rounds or self.cfg.max_rounds):
             gain = self.round(self.seed * 1009 + r)
             self.trace["rounds"] = r + 1
@@ -265,6 +325,8 @@ class Parallel:
         true = M.cut(self.g.edges, self.part)
         if true != self.cut:
             raise AssertionError(f"tracked cut {self.cut}, true cut {true}")
+        if not M.is_feasible(self.g, self.part, self.spec):
+            raise AssertionError("a block is over its bound")
         return Refined(self.part, dict(self.trace) | {"cut_before": before, "cut_after": true})
 
 
@@ -296,7 +358,7 @@ def reconciled(searches: DataFrame, edges: DataFrame, salt: int = 0) -> DataFram
 def refine(g: Graph, p: DataFrame, spec: BalanceSpec, cfg: RefineConfig, seed: int = 0) -> Refined:
     """Improve a partition. The engine is chosen by the number of edges unless the configuration names one.
 
-    Overload is repaired by the one-task engine's balance steps or, on larger graphs, level by level after contraction.
+    Overload is repaired by the one-task engine's balance steps or, on larger graphs, by transfers between blocks.
     """
     engine = cfg.engine or ("replay" if g.edges.limit(cfg.local_edge_limit + 1).count() <= cfg.local_edge_limit else "parallel")
     return replay(g, p, spec, cfg, seed) if engine == "replay" else Parallel(g, p, spec, cfg, seed).run()

@@ -328,11 +328,11 @@ def _first_search(lmax):
 
 def _layers(spark, sf):
     """Searches on a start of which some blocks have room, and its blocks."""
-    c = Case(spark, sf, kind="skewed")
+    c = Case(spark, sf, kind="mod_hash", k=7)
     return MO.unmarked_searches(c.g.edges, c.p, 2).select("a", "b", "d", "g"), c.blocks
 
 
-_SKEW = Q.base(kind="skewed", more=Q.searches())
+_SKEW = Q.base(kind="mod_hash", k=7, more=Q.searches())
 
 
 @query(_SKEW + "select a as src_b, d as src_d, b as dst_b, d as dst_d, -g as w, 'move' as kind from searches")
@@ -466,10 +466,13 @@ def _refined(spark, sf, cfg: RefineConfig, graph="order_chain", kind="chunk", k=
 
 for _name, _cfg in PRESETS.items():
     query(_fact_sql("order_chain", 8), f"q_refine_{_name}")(lambda spark, sf, cfg=_cfg: _refined(spark, sf, cfg.but(max_rounds=8, mu=min(cfg.mu, 4)), k=8))
-    query(None, f"q_refine_{_name}_embedding")(lambda spark, sf, cfg=_cfg: _refined(spark, sf, cfg.but(max_rounds=8, mu=min(cfg.mu, 4)), "embedding_knn", k=8))
+    query(_fact_sql("embedding_knn", 8), f"q_refine_{_name}_embedding")(lambda spark, sf, cfg=_cfg: _refined(spark, sf, cfg.but(max_rounds=8, mu=min(cfg.mu, 4)), "embedding_knn", k=8))
 for _name in ("basic_zero", "packed"):
     query(_fact_sql("order_chain", 4), f"q_parallel_{_name}")(lambda spark, sf, cfg=PRESETS[_name]: _refined(spark, sf, cfg.but(engine="parallel", max_rounds=1, mu=1, tau=4), kind="round_robin"))
 
+for _name, _graph in (("skewed", "event_handoff_sparse"), ("disconnected", "conversation_chain")):
+    query(_fact_sql(_graph, 4), f"q_parallel_balance_{_name}")(lambda spark, sf, graph=_graph: _refined(spark, sf, PRESETS["basic"].but(engine="parallel", max_rounds=1), graph, "skewed", worse_allowed=True))
+
 query(_fact_sql("order_chain", 8, "0.03"), "q_refine_eps")(lambda spark, sf: _refined(spark, sf, PRESETS["packed"].but(max_rounds=6, mu=2), k=8, eps="0.03"))
 query(_fact_sql("event_handoff_sparse", 4), "q_balance_skewed")(lambda spark, sf: _refined(spark, sf, PRESETS["layered"].but(max_rounds=4, lam=1, tau=3), "event_handoff_sparse", "skewed", worse_allowed=True))
 query(_fact_sql("conversation_chain", 4), "q_balance_disconnected")(lambda spark, sf: _refined(spark, sf, PRESETS["basic"].but(max_rounds=4, lam=1), "conversation_chain", "skewed", worse_allowed=True))
