@@ -328,11 +328,11 @@ def _first_search(lmax):
 
 def _layers(spark, sf):
     """Searches on a start of which some blocks have room, and its blocks."""
-    c = Case(spark, sf, kind="mod_hash", k=7)
+    c = Case(spark, sf, kind="chunk", k=7)
     return MO.unmarked_searches(c.g.edges, c.p, 2).select("a", "b", "d", "g"), c.blocks
 
 
-_SKEW = Q.base(kind="mod_hash", k=7, more=Q.searches())
+_SKEW = Q.base(kind="chunk", k=7, more=Q.searches())
 
 
 @query(_SKEW + "select a as src_b, d as src_d, b as dst_b, d as dst_d, -g as w, 'move' as kind from searches")
