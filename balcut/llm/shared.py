@@ -218,20 +218,24 @@ def cut_out(text: Column, spans: Column, put: str = "label") -> Column:
     wherever it stands in the text.
     """
     n = F.size(spans)
-    blocks = F.regexp_extract_all(text, F.lit(f"(?s).{{1,{CUT_BLOCK}}}"), F.lit(0))
+    before = lambda i: F.when(i == 0, F.lit(0)).otherwise(F.get(spans, i - 1)["end"])
 
-    def part(start: Column, end: Column) -> Column:
-        first, last = F.floor(start / CUT_BLOCK).cast("int"), F.floor((end - 1) / CUT_BLOCK).cast("int")
+    def cut(blocks: Column) -> Column:
         inside = lambda k: F.coalesce(F.get(blocks, k), F.lit(""))
-        head = F.substring(inside(first), start % CUT_BLOCK + 1, F.least(end - start, F.lit(CUT_BLOCK)))
-        middle = F.array_join(F.slice(blocks, first + 2, F.greatest(last - first - 1, F.lit(0))), "")
-        tail = F.substring(inside(last), F.lit(1), end - last * CUT_BLOCK)
-        return F.when(end <= start, F.lit("")).when(first == last, head).otherwise(F.concat(head, middle, tail))
 
-    before = lambda i: F.when(i == 0, F.lit(0)).otherwise(F.get(spans, i - 1)["end"])
-    pieces = F.transform(spans, lambda s, i: F.concat(part(before(i), s["start"]), s[put]))
-    rest = part(F.get(spans, n - 1)["end"], F.length(text))
-    return F.when(n > 0, F.concat(F.array_join(pieces, ""), rest)).otherwise(text)
+        def part(start: Column, end: Column) -> Column:
+            first, last = F.floor(start / CUT_BLOCK).cast("int"), F.floor((end - 1) / CUT_BLOCK).cast("int")
+            head = F.substring(inside(first), start % CUT_BLOCK + 1, F.least(end - start, F.lit(CUT_BLOCK)))
+            middle = F.array_join(F.slice(blocks, first + 2, F.greatest(last - first - 1, F.lit(0))), "")
+            tail = F.substring(inside(last), F.lit(1), end - last * CUT_BLOCK)
+            return F.when(end <= start, F.lit("")).when(first == last, head).otherwise(F.concat(head, middle, tail))
+
+        pieces = F.transform(spans, lambda s, i: F.concat(part(before(i), s["start"]), s[put]))
+        return F.concat(F.array_join(pieces, ""), part(F.get(spans, n - 1)["end"], F.length(text)))
+
+    # The blocks are the variable of a lambda, so they are made once and not for every span.
+    blocks = F.regexp_extract_all(text, F.lit(f"(?s).{{1,{CUT_BLOCK}}}"), F.lit(0))
+    return F.when(n > 0, F.get(F.transform(F.array(blocks), cut), 0)).otherwise(text)
 
 
 def merged(spans: Column) -> Column:
