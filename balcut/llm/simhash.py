@@ -11,9 +11,9 @@ pairs; huge ones are dealt once more by masks on the bits the first left free, w
 sub-bucket by 2 to the power of the remaining bits. Components come from alternating large and small stars.
 
 That is op1, whose width and radius are fixed. The pipeline stage takes fingerprints of 5-word shingles in the same
-way. ``near_copies`` stands beside them for whoever wants all pairs with a Jaccard similarity of 0.8: it finds them
-through shared rare shingles and checks each by its exact count of common shingles (equal 64-bit hashes count as
-equal), but takes all documents with one first shingle into one task.
+way, and beside them all pairs with a Jaccard similarity of 0.8, most of which differ in more bits than covering masks
+can reach: ``near_copies`` finds them through shared rare shingles and checks them by exact counts of common shingles
+(equal 64-bit hashes count as equal). Groups of any size are compared in blocks of a bounded one.
 
 Defined results: a null text counts as empty; texts without words have fingerprint 0 and are
 linked like any others; repeated rows are in one component; a component's id is its smallest id, null only where
@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .shared import each, in_mask, key_mask, settle, table, unused
+from .shared import SALTS, each, in_mask, key_mask, settle, table, unused
 
 BITS, SHINGLE, SEED, RADIUS = 64, 3, 42, 3
 #: Distinct fingerprints from which a bucket is dealt once more.
@@ -251,11 +251,31 @@ COUNT_BLOCK, FREQUENT, FREQUENT_KEPT = 1 << 21, 16, 1 << 16
 #: Slots of a set's sketch; sums of the lesser counts bound the number of common shingles.
 SLOTS = np.uint64(256)
 SLICE = 64
+#: Members of a group that a task compares at once; larger groups are dealt over blocks of about that size.
+LARGE_GROUP = 1 << 14
+
+
+def _hashes(text, width: int) -> np.ndarray:
+    """All shingle hashes of a text, repeats included."""
+    return np.concatenate([np.zeros(0, np.uint64), *(np.array(part, np.uint64) for part in shingle_hashes(text.as_buffer().to_pybytes(), width))])
+
+
+def _set(hashes: np.ndarray) -> np.ndarray:
+    return np.unique(hashes).view(np.int64)
 
 
 def _sets(texts, width: int) -> list[np.ndarray]:
     """The distinct shingle hashes of some texts, sorted."""
-    return [np.unique(np.array([h for part in shingle_hashes(x.as_buffer().to_pybytes(), width) for h in part], np.uint64)).view(np.int64) for x in texts]
+    return [_set(_hashes(x, width)) for x in texts]
+
+
+def _print(hashes: np.ndarray) -> int:
+    """The fingerprint of a text with these shingle hashes, as a signed long."""
+    sums = np.zeros(BITS, np.int64)
+    for a in range(0, len(hashes), HASH_BLOCK):
+        part = hashes[a : a + HASH_BLOCK]
+        sums += _bit_sums(part, np.arange(0, len(part), 255)).sum(axis=0, dtype=np.int64)
+    return _signed(sum(1 << i for i in np.flatnonzero(2 * sums > len(hashes)).tolist()))
 
 
 def _keys_of(sets: list[np.ndarray]) -> pa.Array:
@@ -310,7 +330,8 @@ def frequent(rows: DataFrame, width: int = STAGE_WIDTH) -> tuple[np.ndarray, np.
 
 
 def marked_sets(rows: DataFrame, often: tuple[np.ndarray, np.ndarray], alike: tuple[int, int] = ALIKE, width: int = STAGE_WIDTH) -> DataFrame:
-    """(doc_id, text_hash, key, n, sketch, first) of every row: hash and size of the shingle set, counts by hash range, first shingles.
+    """(doc_id, text_hash, key, n, sketch, first, fp) of every row: hash and size of the shingle set, counts by hash range,
+    first shingles, fingerprint.
 
     Of a set of n shingles the first ones are n - ceil(alike * n) + 1, rare ones before frequent ones. Two sets
     that are alike enough miss too few of each other's shingles to differ in all of these. Whole sets aren't kept:
@@ -330,12 +351,13 @@ def marked_sets(rows: DataFrame, often: tuple[np.ndarray, np.ndarray], alike: tu
         for batch in batches:
             for a in range(0, batch.num_rows, SLICE):
                 ids, hashes, texts = (batch.column(k).slice(a, SLICE) for k in range(3))
-                sets = _sets(texts, width)
+                every = [_hashes(x, width) for x in texts]
+                sets = [_set(x) for x in every]
                 sketches = pa.array([np.minimum(np.bincount(s.view(np.uint64) % SLOTS, minlength=int(SLOTS)), 255).astype(np.uint8).tobytes() for s in sets], pa.binary())
                 sizes = pa.array([len(s) for s in sets], pa.int32())
-                yield pa.RecordBatch.from_arrays([ids, hashes, _keys_of(sets), sizes, sketches, _lists([first(s) for s in sets])], names=["doc_id", "text_hash", "key", "n", "sketch", "first"])
+                yield pa.RecordBatch.from_arrays([ids, hashes, _keys_of(sets), sizes, sketches, _lists([first(s) for s in sets]), pa.array([_print(x) for x in every], pa.int64())], names=["doc_id", "text_hash", "key", "n", "sketch", "first", "fp"])
 
-    return rows.mapInArrow(run, "doc_id bigint, text_hash bigint, key bigint, n int, sketch binary, first array<bigint>")
+    return rows.mapInArrow(run, "doc_id bigint, text_hash bigint, key bigint, n int, sketch binary, first array<bigint>, fp bigint")
 
 
 def whole_sets(rows: DataFrame, width: int = STAGE_WIDTH) -> DataFrame:
@@ -350,11 +372,11 @@ def whole_sets(rows: DataFrame, width: int = STAGE_WIDTH) -> DataFrame:
     return rows.select("text").mapInArrow(run, "key bigint, tokens array<bigint>")
 
 
-def _set_forest(sets: list[np.ndarray], reps: list[int], alike: tuple[int, int]) -> list[tuple[int, int]]:
-    """Edges of a spanning forest of the sets that are alike enough, by exact counts of common shingles."""
+def _set_forest(keys: list[int], sets: list[np.ndarray], alike: tuple[int, int]) -> list[tuple[int, int]]:
+    """Edges of the components of sets that are alike enough, by exact counts of common shingles: from a first member to each other."""
     p, q = alike
     sizes = np.array([len(s) for s in sets])
-    left, edges, queue = np.arange(1, len(sets)), [], [0]
+    left, edges, queue, root = np.arange(1, len(sets)), [], [0], 0
     while queue and len(left):
         x = queue.pop()
         near = left[(q * sizes[left] >= p * sizes[x]) & (q * sizes[x] >= p * sizes[left])]
@@ -362,17 +384,18 @@ def _set_forest(sets: list[np.ndarray], reps: list[int], alike: tuple[int, int])
             hit = np.isin(np.concatenate([sets[y] for y in near.tolist()]), sets[x])
             common = np.add.reduceat(hit, np.cumsum(sizes[near]) - sizes[near], dtype=np.int64)
             near = near[q * common >= p * (sizes[near] + sizes[x] - common)]
-            edges += [(reps[x], reps[y]) for y in near.tolist()]
+            edges += [(keys[root], keys[y]) for y in near.tolist()]
             left = left[~np.isin(left, near)]
             queue += near.tolist()
         if not queue and len(left):
-            queue.append(int(left[-1]))
+            root = int(left[-1])
+            queue.append(root)
             left = left[:-1]
     return edges
 
 
-def _possible(sketches: list[bytes], sizes: list[int], alike: tuple[int, int]) -> list[list[int]]:
-    """Places of the members that may be alike by their sketches, directly or by others; those without a partner are left out."""
+def _possible(keys: list[int], sketches: list[bytes], sizes: list[int], alike: tuple[int, int]) -> list[tuple[int, int]]:
+    """Edges of the components of members that may be alike by their sketches, from a first member to each other."""
     p, q = alike
     held, n = np.array([np.frombuffer(x, np.uint8) for x in sketches], np.int64), np.array(sizes, np.int64)
     over = n - held.sum(axis=1)  # shingles beyond a slot's largest count
@@ -390,7 +413,7 @@ def _possible(sketches: list[bytes], sizes: list[int], alike: tuple[int, int]) -
             queue.append(int(left[-1]))
             found.append([queue[0]])
             left = left[:-1]
-    return [f for f in found if len(f) > 1]
+    return [(keys[f[0]], keys[i]) for f in found for i in f[1:]]
 
 
 def _by_group(batches, finish):
@@ -418,6 +441,55 @@ def _once(members: DataFrame) -> DataFrame:
     return settle(two.unionByName(near.join(more, "h", "left_semi").select("h", "key")), "members")
 
 
+def _compared(rows: DataFrame, find) -> DataFrame:
+    """(h, a, b): the edges that ``find`` gives for each group of ``rows`` (h, key, ...); a group comes in the order of its keys."""
+    kind = rows.schema["h"].dataType.simpleString()
+
+    def run(batches):
+        def finish(group):
+            edges = find(*group[1:])
+            yield pa.RecordBatch.from_arrays([pa.array([group[0][0]] * len(edges), pa.string() if kind == "string" else pa.int64()), *(pa.array([e[k] for e in edges], pa.int64()) for k in (0, 1))], names=["h", "a", "b"])
+
+        yield from _by_group(batches, finish)
+
+    return rows.repartition("h").sortWithinPartitions("h", "key").mapInArrow(run, f"h {kind}, a bigint, b bigint")
+
+
+def group_links(members: DataFrame, facts: DataFrame, find, large: int | None = None) -> DataFrame:
+    """Edges (a, b) that keep the connectivity of all links within groups of ``members`` (h, key); ``facts`` has a row for each key.
+
+    A group beyond ``large`` members is dealt over blocks, with its first member, the pivot, in each. Members that their
+    block connects with the pivot are connected with each other. Only the rest, few among near copies, meet all
+    other blocks, again in blocks. So no task holds more than two blocks of a group, and no link between different texts is lost.
+    """
+    large = large or LARGE_GROUP
+    whole = lambda rows: rows.join(facts, "key").select("h", "key", *(c for c in facts.columns if c != "key"))
+    blocks = lambda n: F.ceil(F.col(n) / large).cast("int")
+    block = lambda n, seed: F.pmod(F.xxhash64("key", F.lit(seed)), F.col(n)).cast("int")
+    numbers = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    salt = F.pmod(F.xxhash64("key"), F.lit(SALTS)).cast("int").alias("s")
+    spread = lambda df: df.withColumn("s", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)))).hint("merge")
+
+    hot = settle(members.groupBy("h").agg(F.count("*").alias("n"), F.min("key").alias("pivot")).where(F.col("n") > large).select("h", "pivot", blocks("n").alias("g")), "large-groups")
+    if hot.isEmpty():
+        return _compared(whole(members), find).select("a", "b")
+    hit = in_mask(key_mask(hot, F.xxhash64("h")), F.xxhash64("h"))
+    some = members.where(hit)
+    small = members.where(~hit).unionByName(some.join(hot.select("h").hint("merge"), "h", "left_anti"))
+    placed = settle(some.select("h", "key", salt).join(spread(hot), ["h", "s"]).select("h", "key", "pivot", "g", block("g", 1).alias("i")), "placed")
+    pivots = hot.select("h", F.col("pivot").alias("key"), numbers("g").alias("i"))
+    unit = F.concat_ws(":", "h", "i")
+    first = settle(_compared(whole(placed.select("h", "key", "i").unionByName(pivots).select(unit.alias("h"), "key")), find), "first-blocks")
+    reached = first.select(F.col("h").alias("unit"), F.col("a").alias("pivot"), F.col("b").alias("key"))
+    rest = settle(placed.where("key <> pivot").withColumn("unit", unit).join(reached.hint("merge"), ["unit", "pivot", "key"], "left_anti").select("h", "key", "g"), "rest")
+    counts = rest.groupBy("h").agg(F.count("*").alias("n")).select("h", blocks("n").alias("r"))
+    counts = settle(counts, "rest-blocks")
+    other = placed.select("h", "key", "i", salt).join(spread(counts), ["h", "s"]).select("h", "key", "i", numbers("r").alias("j"))
+    own = rest.select("h", "key", "g", salt).join(spread(counts), ["h", "s"]).select("h", "key", numbers("g").alias("i"), block("r", 2).alias("j"))
+    second = _compared(whole(other.unionByName(own).select(F.concat_ws(":", "h", "i", "j").alias("h"), "key")), find)
+    return _compared(whole(small), find).select("a", "b").unionByName(first.select("a", "b")).unionByName(second.select("a", "b"))
+
+
 def possible_links(marked: DataFrame, alike: tuple[int, int] = ALIKE) -> DataFrame:
     """Edges (a, b) between keys of sets that share a first shingle and may be alike by their sketches.
 
@@ -428,54 +500,43 @@ def possible_links(marked: DataFrame, alike: tuple[int, int] = ALIKE) -> DataFra
     members = _once(first)
     wanted = members.select("key").distinct()
     near = marked.select("key", "n", "sketch").where(in_mask(key_mask(wanted, F.xxhash64("key")), F.xxhash64("key")))
-    near = near.groupBy("key").agg(F.first("n").alias("n"), F.first("sketch").alias("sketch"))
-    dealt = members.join(near, "key").select("h", "key", "sketch", "n").repartition("h").sortWithinPartitions("h")
-
-    def part(batches):
-        def finish(group):
-            _, keys, sketches, sizes = group
-            found = _possible(sketches, sizes, alike)
-            yield pa.RecordBatch.from_arrays([pa.array([keys[f[0]] for f in found for _ in f[1:]], pa.int64()), pa.array([keys[i] for f in found for i in f[1:]], pa.int64())], names=["a", "b"])
-
-        yield from _by_group(batches, finish)
-
-    return dealt.mapInArrow(part, "a bigint, b bigint")
+    near = near.groupBy("key").agg(F.first("sketch").alias("sketch"), F.first("n").alias("n"))
+    return group_links(members, near, lambda keys, sketches, sizes: _possible(keys, sketches, sizes, alike))
 
 
 def alike_links(rows: DataFrame, marked: DataFrame, alike: tuple[int, int] = ALIKE, width: int = STAGE_WIDTH) -> DataFrame:
     """Edges (a, b) between keys of sets that keep the connectivity of all pairs of sets that are alike enough.
 
-    Sketches part the documents into components that no alike pair crosses, so each set goes to one place
+    Sketches part the documents into components that no alike pair crosses, so each set goes to one component
     and is compared there, by exact counts of common shingles.
     """
     known = components(possible_links(marked, alike)).withColumnRenamed("node", "key")
-    parts = settle(known.unionByName(known.select(F.col("component").alias("key"), "component").distinct()), "parts")
+    parts = settle(known.unionByName(known.select(F.col("component").alias("key"), "component").distinct()).distinct(), "parts")
     texts = marked.join(parts.select("key").hint("merge"), "key", "left_semi").groupBy("key").agg(F.min("text_hash").alias("text_hash")).select("text_hash").distinct()
     mask = key_mask(texts, F.col("text_hash"))
     some = rows.where(in_mask(mask, F.col("text_hash")))
-    whole = whole_sets(some, width).groupBy("key").agg(F.first("tokens").alias("tokens")).join(parts.hint("merge"), "key")
-    dealt = whole.select(F.col("component").alias("h"), "key", "tokens").repartition("h").sortWithinPartitions("h")
+    whole = settle(whole_sets(some, width).groupBy("key").agg(F.first("tokens").alias("tokens")).join(parts.select("key").hint("merge"), "key", "left_semi"), "whole-sets")
+    return group_links(parts.select(F.col("component").alias("h"), "key"), whole, lambda keys, sets: _set_forest(keys, sets, alike))
 
-    def run(batches):
-        def finish(group):
-            edges = _set_forest(group[2], group[1], alike)
-            yield pa.RecordBatch.from_arrays([pa.array([e[0] for e in edges], pa.int64()), pa.array([e[1] for e in edges], pa.int64())], names=["a", "b"])
 
-        yield from _by_group(batches, finish)
-
-    return dealt.mapInArrow(run, "a bigint, b bigint")
+def print_links(marked: DataFrame, radius: int) -> DataFrame:
+    """Edges (a, b) between keys of sets that keep the connectivity of all fingerprints within the radius."""
+    prints = settle(marked.select("fp", "key").distinct(), "prints")
+    reps = settle(prints.groupBy("fp").agg(F.min("key").alias("rep")), "print-representatives")
+    return prints.join(reps, "fp").where("key <> rep").select(F.col("key").alias("a"), F.col("rep").alias("b")).unionByName(links(reps, radius))
 
 
-def near_copies(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = STAGE_WIDTH, alike: tuple[int, int] = ALIKE) -> DataFrame:
+def near_copies(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = STAGE_WIDTH, alike: tuple[int, int] = ALIKE, radius: int | None = None) -> DataFrame:
     """(doc_id, text_hash, component) of every row: rows of equal shingle sets, or alike enough, directly or by others, have one component.
 
     64-bit fingerprints can't decide this: pairs at 0.8 differ in about 10 bits and often more, where covering
-    masks would need thousands of tables. So pairs come from shared first shingles, which miss none. Components
-    are named by the key of one of their sets, so ids, null or repeated, play no part.
+    masks would need thousands of tables. So pairs come from shared first shingles, which miss none. With a
+    ``radius``, fingerprints of the same shingles within it link rows too, by covering masks. Components are named by the key of one of their sets, so ids, null or repeated, play no part.
     """
     texts = _named(docs, doc_id, text)
     marked = settle(marked_sets(texts, frequent(texts, width), alike, width), "marked-sets")
-    known = components(alike_links(texts, marked, alike, width))
+    edges = alike_links(texts, marked, alike, width)
+    known = components(edges if radius is None else edges.unionByName(print_links(marked, radius)))
     rows = marked.select("doc_id", "text_hash", "key")
     return rows.join(known.withColumnRenamed("node", "key"), "key", "left").select("doc_id", "text_hash", F.coalesce("component", "key").alias("component"))
 
@@ -486,15 +547,16 @@ def op1_simhash_duplicates(spark, sf_dir: str) -> DataFrame:
 
 
 def duplicates_stage(spark, docs: DataFrame, sf_dir: str, radius: int = RADIUS) -> DataFrame:
-    """Pipeline stage: one row of each component of rows whose 5-word fingerprints link stays.
+    """Pipeline stage: one row of each component stays, linked by 5-word fingerprints or by 0.8 of common 5-word shingles.
 
     It is the row with the smallest id, null ids last, of rows with that id the one with the least hash of its
     text, and of rows equal in both any one. Other texts under its id are judged by their own components.
     """
-    rank = F.struct(F.col("doc_id").isNull().alias("last"), F.col("doc_id").cast("long").alias("doc_id"), _text_hash(F.col("text")).alias("text_hash"))
-    found = settle(near_duplicates(docs.select(rank.alias("row"), "text"), "row", "text", radius, STAGE_WIDTH), "near-copies")
-    # A component's id is its smallest row.
-    known = found.groupBy("doc_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("stays")).agg(F.count("*").alias("n")).select("doc_id.doc_id", "doc_id.text_hash", "stays", "n")
+    rank = F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "text_hash")
+    found = near_copies(docs, radius=radius).groupBy("component", rank.alias("row")).agg(F.count("*").alias("n"))
+    found = settle(found, "near-copies")
+    least = found.groupBy("component").agg(F.min("row").alias("least"))
+    known = found.join(least, "component").select("row.doc_id", "row.text_hash", (F.col("row") == F.col("least")).alias("stays"), "n")
     # Rows that stay and have no repeats, nearly all, pass without a shuffle; a mask of fixed size tells the others.
     odd = settle(known.where("n > 1 or not stays"), "odd-rows")
     at, own, special, many, row = unused(docs, "text_hash", "id", "special", "many", "row")

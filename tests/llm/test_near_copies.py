@@ -62,9 +62,47 @@ def print_of(t, width=5):
     return sum(1 << i for i in range(64) if 2 * sum(h >> i & 1 for h in hashes) > len(hashes))
 
 
+def both(texts):
+    """Components of rows linked by 5-word fingerprints within 3 bits or by 0.8 of common shingles."""
+    part = {i: i for i in texts}
+    for known in (linked({i: print_of(t) for i, t in texts.items()}), groups(texts)):
+        for i, j in known.items():
+            old, new = sorted((part[i], part[j]), reverse=True)
+            part = {k: new if x == old else x for k, x in part.items()}
+    return part
+
+
+def test_large_groups_are_dealt_over_blocks(spark, monkeypatch):
+    texts = edited()
+    monkeypatch.setattr(simhash, "LARGE_GROUP", 3)  # nearly all groups are larger
+    df = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in texts.items()], DOCS).repartition(3)
+    want = groups(texts)
+    got = {r["doc_id"]: r["component"] for r in simhash.near_copies(df).collect()}
+    assert len(got) == len(want) and len(set(zip(got.values(), (want[i] for i in got), strict=True))) == len(set(want.values())) == len(set(got.values()))
+
+
+def test_a_chain_keeps_its_links_across_blocks(spark):
+    n = 60  # a member links only with its neighbours, so most of a block isn't connected with the pivot
+    members = spark.createDataFrame([(h, k) for h in (1, 2) for k in range(n)] + [(3, 5), (3, 90)], "h long, key long")
+    facts = spark.createDataFrame([(k, (k * 37) % n if k < n else 6 + (5 * 37) % n) for k in [*range(n), 90]], "key long, at long")
+
+    def find(keys, at):
+        part, edges = list(range(len(keys))), []
+        for x, y in sorted(itertools.combinations(range(len(keys)), 2)):
+            if abs(at[x] - at[y]) <= 1 and part[x] != part[y]:
+                old, new = max(part[x], part[y]), min(part[x], part[y])
+                part = [new if p == old else p for p in part]
+        return [(keys[p], keys[i]) for i, p in enumerate(part) if p != i]
+
+    for large in (7, 10**6):
+        edges = simhash.group_links(members, facts, find, large)
+        got = {r["node"]: r["component"] for r in simhash.components(edges).collect()}
+        assert all(got[k] == 0 for k in range(1, n)) and 90 not in got
+
+
 def test_the_stage_keeps_one_row_of_each_component(spark):
     texts = edited()
-    want = linked({i: print_of(t) for i, t in texts.items()})
+    want = both(texts)
     df = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in texts.items()], DOCS).repartition(3)
     left = simhash.duplicates_stage(spark, clashing(df), "").collect()
     assert sorted(r["doc_id"] for r in left) == sorted(set(want.values())) and all(r["text_hash"] == "x" for r in left)

@@ -5,8 +5,7 @@ from balcut.llm import decontaminate, secrets
 from balcut.llm.quality import quality_rules, trusted_labels
 from balcut.llm.shared import settle, table
 
-from .test_corpus import linked
-from .test_near_copies import print_of
+from .test_near_copies import both
 
 
 def test_stages_one_by_one(spark, sf):
@@ -17,7 +16,7 @@ def test_stages_one_by_one(spark, sf):
     assert one.columns == columns and {r["doc_id"] for r in one.collect()} == kept
 
     text = {r["doc_id"]: r["text"] for r in one.collect()}
-    want = linked({i: print_of(t) for i, t in text.items()})
+    want = both(text)
     two = settle(corpus_pipeline.STAGES[1][1](spark, one, sf), "two")
     assert two.columns == columns and sorted(r["doc_id"] for r in two.collect()) == sorted(set(want.values()))
 
