@@ -45,6 +45,19 @@ def degrees(g) -> DataFrame:
     return g.nodes.select("v").join(d, "v", "left").na.fill(0, ["degree", "weight"])
 
 
+def triangles(edges: DataFrame) -> DataFrame:
+    """(v, n) of nodes in triangles. Edges point from the lesser degree to the greater, so no node has more than sqrt(2 m) of them."""
+    degree = symmetric(edges).groupBy("v").agg(F.count("*").alias("d"))
+    ends = edges.select("u", "v").join(degree.select(F.col("v").alias("u"), F.col("d").alias("du")), "u").join(degree.withColumnRenamed("d", "dv"), "v")
+    low, high = F.struct(F.col("du").alias("d"), F.col("u").alias("v")), F.struct(F.col("dv").alias("d"), F.col("v").alias("v"))
+    arcs = ends.select(F.least(low, high).alias("x"), F.greatest(low, high).alias("y"))
+    arcs = settled(arcs.select(F.col("x.v").alias("x"), F.col("y.v").alias("y"), F.col("y.d").alias("d")), "arcs")
+    z = arcs.select("x", F.col("y").alias("z"), F.col("d").alias("dz"))
+    wedges = arcs.join(z, "x").where("struct(d, y) < struct(dz, z)").select("x", "y", "z")
+    closed = wedges.join(arcs.select(F.col("x").alias("y"), F.col("y").alias("z")), ["y", "z"], "left_semi")
+    return closed.select(F.explode(F.array("x", "y", "z")).alias("v")).groupBy("v").agg(F.count("*").alias("n"))
+
+
 def isolated(g) -> DataFrame:
     return g.nodes.select("v").join(symmetric(g.edges).select("v"), "v", "left_anti")
 

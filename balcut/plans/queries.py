@@ -18,9 +18,12 @@ from ..operators.baselines import optimum
 from ..operators.local import Arc, Local, Searcher, conflict
 from ..schema import PRESETS, BalanceSpec, Graph, RefineConfig
 from ..sources import derive
+from ..sources import files as FI
+from ..sources.scratch import scratch_path
 from ..streaming import edges as SE
 from . import experiments as X
 from . import sql as Q
+from . import surface as SU
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -711,6 +714,48 @@ def q_overlap(spark, sf):
     return M.overlap(Case(spark, sf, kind="chunk").p, Case(spark, sf).p)
 
 
+@query(f"with e as materialized ({Q.EDGES['order_chain']}), t as (select x.u as a, x.v as b, y.v as c from e x join e y on y.u = x.v join e z on z.u = x.u and z.v = y.v) select v, count(*) as n from (select a as v from t union all select b from t union all select c from t) group by v")
+def q_triangles(spark, sf):
+    return GR.triangles(derive.graph(spark, sf, "order_chain").edges)
+
+
+# --- Files and SQL surface
+
+
+@query(f"select kind, u, v, w from ({Q.EDGES['order_chain']}) cross join (select unnest(['adjacency', 'csv', 'json', 'orc', 'parquet']) as kind)")
+def q_edge_files(spark, sf):
+    """Edges as they come back from each format."""
+    edges, out = derive.graph(spark, sf, "order_chain").edges, None
+    for kind in ("adjacency", *FI.FORMATS):
+        path = scratch_path(spark, f"edges-{kind}")
+        FI.write_edges(edges, path, kind, buckets=4)
+        back = FI.read_edges(spark, path, kind).select(F.lit(kind).alias("kind"), "u", "v", "w")
+        out = back if out is None else out.unionByName(back)
+    return out
+
+
+@query(Q.base() + "select v, b from p where b = 1")
+def q_partition_files(spark, sf):
+    """One block of a stored partition; the other blocks' folders aren't read."""
+    path = scratch_path(spark, "partition")
+    FI.write_partition(Case(spark, sf).p, path)
+    return FI.read_partition(spark, path).where("b = 1")
+
+
+@query(Q.base() + "select a, b, v, g from gain where g > 1")
+def q_sql_arcs(spark, sf):
+    c = Case(spark, sf)
+    SU.register(spark, c.g, c.p, c.spec)
+    return spark.sql("select a, b, v, g from graph_arcs_above(1)")
+
+
+@query(Q.base() + "select 'bound' as name, cast((count(*) + 3) // 4 as bigint) as value from p union all select 'cut', cast(coalesce(sum(w), 0) as bigint) from placed where (bu = 0 and bv = 1) or (bu = 1 and bv = 0)")
+def q_sql_functions(spark, sf):
+    c = Case(spark, sf)
+    SU.register(spark, c.g, c.p, c.spec)
+    return spark.sql("select 'bound' as name, graph_bound(n, 4, 0, 1) as value from (select count(*) as n from graph_nodes) union all select 'cut', cut from graph_cut_of(1, 0)")
+
+
 # --- Streams
 
 
