@@ -26,7 +26,7 @@ import heapq
 import math
 import re
 import struct
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -61,6 +61,12 @@ class Vocabulary:
     apart: bool
     begins: set[str]
     ends: set[str]
+    #: For each beginning of a piece its score and ids, None where it is no piece itself: one look-up for a forward step.
+    steps: dict[str, tuple[float, tuple[int, ...]] | None] = field(init=False)
+
+    def __post_init__(self):
+        self.steps = dict.fromkeys(self.begins)
+        self.steps |= {p: (self.score[i], (i,)) for p, i in self.ids.items()}
 
     @classmethod
     def load(cls, model: str = MODEL) -> Vocabulary:
@@ -151,15 +157,15 @@ def two_best(vocabulary: Vocabulary, word: str) -> tuple[tuple[int, ...], float,
 
     The gap tells which words the backward search must look at; where it is 0, the ids are its matter too.
     """
-    ids, score, begins, longest = vocabulary.ids, vocabulary.score, vocabulary.begins, vocabulary.longest
+    look, score = vocabulary.steps.get, vocabulary.score
     size = len(word)
     worst = -math.inf
     best, second, by = [worst] * (size + 1), [worst] * (size + 1), [None] * (size + 1)
     best[0] = 0.0
     for i in range(size):
-        here, other, char = best[i], second[i], word[i]
-        if char not in ids:
-            codes = tuple(vocabulary.byte[b] for b in char.encode())
+        here, other = best[i], second[i]
+        if not look(word[i]):
+            codes = tuple(vocabulary.byte[b] for b in word[i].encode())
             cost = sum(score[c] for c in codes)
             a, b, j = here + cost, other + cost, i + 1
             if a > best[j]:
@@ -167,20 +173,19 @@ def two_best(vocabulary: Vocabulary, word: str) -> tuple[tuple[int, ...], float,
                 best[j], by[j] = a, (i, codes)
             elif a > second[j]:
                 second[j] = a
-        for j in range(i + 1, min(size, i + longest) + 1):
-            part = word[i:j]
-            if part not in begins:
-                break
-            k = ids.get(part)
-            if k is not None:
-                s = score[k]
-                a = here + s
-                if a > best[j]:
+        for j in range(i + 1, size + 1):
+            step = look(word[i:j], False)
+            if step:
+                s, codes = step
+                a, top = here + s, best[j]
+                if a > top:
                     b = other + s
-                    second[j] = b if b > best[j] else best[j]
-                    best[j], by[j] = a, (i, (k,))
+                    second[j] = b if b > top else top
+                    best[j], by[j] = a, (i, codes)
                 elif a > second[j]:
                     second[j] = a
+            elif step is False:  # no piece begins like this
+                break
     back: list[tuple[int, ...]] = []
     at = size
     while at:
