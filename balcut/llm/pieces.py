@@ -7,7 +7,8 @@ waiting hypothesis has its exact score, only as many wait as are still wanted.
 
 No piece of the vocabulary spans a line end or goes on after a blank that follows another character
 (checked when it is loaded), so a text's lattice falls apart there: words are searched once, kept in a
-bounded cache, and the n best of the whole text are combined from the words' own n best. The forward
+bounded cache, and the n best of the whole text are combined from the words' own n best. The new words of many
+texts take the forward pass together, as arrays; words with characters that are no pieces take it alone. That
 pass also keeps how far the second best lies behind: only the n - 1 words with the smallest gap can differ among
 the text's n best, so these, and words with ties, are the ones that the backward search goes through.
 
@@ -44,6 +45,8 @@ ZIPF_SHIFT, BYTE_PENALTY = 2.7, 1.0
 CACHE_WORDS, CACHE_CHARS = 700_000, 64
 #: Words that are looked up together.
 BLOCK_WORDS = 1 << 16
+#: New words that are searched at once; texts and characters whose new words are looked for together.
+MET_WORDS, MET_TEXTS, MET_CHARS = 4096, 256, 1 << 21
 MARK = "▁"
 #: Gap under which two segmentations count as equal; their order is the backward search's.
 TIE = 1e-8
@@ -119,21 +122,23 @@ def n_best(vocabulary: Vocabulary, word: str, n: int = N_BEST) -> list[tuple[flo
             k = known.get(part)
             if k is not None and here + score[k] > best[j]:
                 best[j] = here + score[k]
-    # Backward search: (whole score, place, score behind the place, pieces behind as a chain).
-    waiting: list[tuple[float, int, float, tuple | None]] = [(best[size], size, 0.0, None)]
+    # Backward search: (whole score negated, place, last ids, number, score behind the place, pieces behind as a chain).
+    waiting: list[tuple] = [(-round(best[size], 9), size, (), 0, 0.0, None)]
     done: list[tuple[float, tuple[int, ...]]] = []
+    made = 0
     while waiting and len(done) < n:
-        whole, place, behind, chain = waiting.pop(0)
+        whole, place, _, _, behind, chain = waiting.pop(0)
         if place == 0:
             ids: list[int] = []
             while chain is not None:
                 ids += chain[0]
                 chain = chain[1]
-            done.append((round(whole, 9), tuple(ids)))
+            done.append((-whole, tuple(ids)))
             continue
         if place - 1 in spelt:
             s, codes = spelt[place - 1]
-            waiting.append((best[place - 1] + s + behind, place - 1, s + behind, (codes, chain)))
+            made += 1
+            waiting.append((-round(best[place - 1] + s + behind, 9), place - 1, codes, made, s + behind, (codes, chain)))
         for start in range(place - 1, max(0, place - longest) - 1, -1):
             part = word[start:place]
             if part not in ends:
@@ -141,17 +146,14 @@ def n_best(vocabulary: Vocabulary, word: str, n: int = N_BEST) -> list[tuple[flo
             k = known.get(part)
             if k is not None:
                 s = score[k] + behind
-                waiting.append((best[start] + s, start, s, ((k,), chain)))
+                made += 1
+                waiting.append((-round(best[start] + s, 9), start, (k,), made, s, ((k,), chain)))
         if len(waiting) > 1:
-            waiting.sort(key=_order)
+            waiting.sort()
             del waiting[n - len(done) :]
     return done
 
 
-def _order(state: tuple) -> tuple:
-    return -round(state[0], 9), state[1], state[3][0]
-
-
 def two_best(vocabulary: Vocabulary, word: str) -> tuple[tuple[int, ...], float, float]:
     """(ids, score, gap to the second best) of a word: one forward pass that keeps the two best scores of every place.
 
@@ -194,6 +196,83 @@ def two_best(vocabulary: Vocabulary, word: str) -> tuple[tuple[int, ...], float,
     return tuple(k for codes in reversed(back) for k in codes), best[size], best[size] - second[size]
 
 
+class Trie:
+    """The pieces as sorted arrays of steps, to run ``two_best`` on many words at once."""
+
+    def __init__(self, vocabulary: Vocabulary):
+        at = {"": 0} | {p: k for k, p in enumerate(sorted(vocabulary.begins), 1)}
+        steps = sorted((at[p[:-1]] << 21 | ord(p[-1]), k) for p, k in at.items() if p)
+        self.keys, self.to = (np.array(x, np.int64) for x in zip(*steps, strict=True))
+        self.piece = np.full(len(at), -1, np.int32)
+        for p, i in vocabulary.ids.items():
+            self.piece[at[p]] = i
+        self.score = np.array(vocabulary.score)
+
+    def step(self, state: np.ndarray, code: np.ndarray) -> np.ndarray:
+        """The states behind a character; -1 where no piece goes on with it."""
+        key = state << 21 | code
+        k = np.searchsorted(self.keys, key)
+        k[k == len(self.keys)] = 0
+        return np.where(self.keys[k] == key, self.to[k], -1)
+
+    def two_best(self, words: list[str]) -> list[tuple[bytes, float, float] | None]:
+        """(packed ids, score, gap) of each word, as ``two_best`` has them; None for a word with a character that is no piece."""
+        size = np.fromiter(map(len, words), np.int64, len(words))
+        code = np.frombuffer("".join(words).encode("utf-32-le"), np.uint32).astype(np.int64)
+        word = np.repeat(np.arange(len(words)), size)
+        start = np.arange(len(code)) - np.repeat(np.cumsum(size) - size, size)
+        place, state = np.arange(len(code)), np.zeros(len(code), np.int64)
+        spelt = np.zeros(len(words), bool)
+        found = []
+        for n in range(1, int(size.max()) + 1):
+            state = self.step(state, code[place + n - 1])
+            ids = np.where(state >= 0, self.piece[state], -1)
+            if n == 1:
+                spelt[word[ids < 0]] = True
+            hit = place[ids >= 0]
+            found.append((hit, np.full(len(hit), n), ids[ids >= 0]))
+            on = (state >= 0) & (start[place] + n < size[word[place]])
+            place, state = place[on], state[on]
+            if not len(place):
+                break
+        place, length, ids = (np.concatenate(x) for x in zip(*found, strict=True))
+        known = ~spelt[word[place]]
+        place, length, ids = place[known], length[known], ids[known]
+        order = np.argsort(start[place].astype(np.int16), kind="stable")
+        place, length, ids = place[order], length[order], ids[order]
+        wide = int(size.max()) + 1
+        source = word[place] * wide + start[place]
+        target, cost = source + length, self.score[ids]
+        ends = np.searchsorted(start[place], np.arange(wide))
+        best, second = np.full(len(words) * wide, -np.inf), np.full(len(words) * wide, -np.inf)
+        by = np.full(len(words) * wide, -1)
+        best[::wide] = 0.0
+        # All pieces that start at one place of their words end at different places, so they are weighed together.
+        for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True):
+            s, t, c = source[a:b], target[a:b], cost[a:b]
+            one, top = best[s] + c, best[t]
+            up = one > top
+            second[t] = np.where(up, np.maximum(top, second[s] + c), np.maximum(second[t], one))
+            best[t] = np.where(up, one, top)
+            by[t] = np.where(up, np.arange(a, b), by[t])
+        rows = np.arange(len(words))
+        end = rows * wide + size
+        at, count = np.where(spelt, rows * wide, end), np.zeros(len(words), np.int64)
+        chosen = np.zeros((len(words), wide), "<i4")
+        live = np.flatnonzero(at > rows * wide)
+        while len(live):
+            k = by[at[live]]
+            count[live] += 1
+            chosen[live, wide - count[live]] = ids[k]
+            at[live] = source[k]
+            live = live[at[live] > live * wide]
+        packed, row = chosen.tobytes(), 4 * wide
+        from_ = (np.arange(1, len(words) + 1) * row - 4 * count).tolist()
+        with np.errstate(invalid="ignore"):
+            scores, gaps = best[end].tolist(), (best[end] - second[end]).tolist()
+        return [None if s else (packed[f : (w + 1) * row], x, g) for w, (s, f, x, g) in enumerate(zip(spelt.tolist(), from_, scores, gaps, strict=True))]
+
+
 class _Known(dict):
     """Words with (packed ids, score, gap), in two generations: a full one becomes the older, which is looked at once more."""
 
@@ -202,12 +281,15 @@ class _Known(dict):
 
     def __missing__(self, word: str) -> tuple[bytes, float, float]:
         found = self.older.pop(word, None) or self.learn(word)
+        self.keep(word, found)
+        return found
+
+    def keep(self, word: str, found: tuple[bytes, float, float]) -> None:
         if len(word) <= CACHE_CHARS:
             if len(self) >= CACHE_WORDS:
                 self.older = dict(self)
                 self.clear()
             self[word] = found
-        return found
 
 
 class Coder:
@@ -220,7 +302,7 @@ class Coder:
         lengths = np.array([len(t) for t in vocabulary.text], np.int64)
         self.lengths, self.places = lengths, np.cumsum(lengths) - lengths
         self.bytes = np.frombuffer(b"".join(vocabulary.text), np.uint8)
-        self.known = _Known(self.learn)
+        self.known, self.trie = _Known(self.learn), Trie(vocabulary)
         self.searched: dict[str, list[tuple[float, bytes]]] = {}
 
     def learn(self, word: str) -> tuple[bytes, float, float]:
@@ -229,6 +311,20 @@ class Coder:
             return self.options(word)[0][1], score, 0.0
         return struct.pack(f"<{len(ids)}i", *ids), score, gap
 
+    def meet(self, texts: list[str]) -> None:
+        """Learn the new words of some texts together; words that are longer than the cache's are left to ``encode``."""
+        known, older = self.known, self.known.older
+        new = {w for text in texts for w in self.cut(" " + text) if w not in known and w not in older and len(w) <= CACHE_CHARS}
+        words = sorted(new, key=len)
+        for a in range(0, len(words), MET_WORDS):
+            part = words[a : a + MET_WORDS]
+            for word, found in zip(part, self.trie.two_best(part), strict=True):
+                if found is None:
+                    found = self.learn(word)
+                elif found[2] < TIE:
+                    found = self.options(word)[0][1], found[1], 0.0
+                known.keep(word, found)
+
     def options(self, word: str) -> list[tuple[float, bytes]]:
         """The word's n best: how far each lies under the best, and its packed ids; searched for the few words that need it."""
         found = self.searched.get(word)
@@ -338,10 +434,18 @@ def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", model: s
     def run(batches):
         coder = coder_of(model, shared.value, n)
         for batch in batches:
-            for a in range(0, batch.num_rows, 64):
-                ids, texts = batch.column(0).slice(a, 64), batch.column(1).slice(a, 64)
+            for a in range(0, batch.num_rows, MET_TEXTS):
+                ids, texts = batch.column(0).slice(a, MET_TEXTS), batch.column(1).slice(a, MET_TEXTS)
                 columns: list[list] = [[] for _ in kinds]
-                for text in texts:
+                ahead = 0
+                for at, text in enumerate(texts):
+                    if at == ahead:
+                        some, chars = [], 0
+                        while ahead < len(texts) and chars < MET_CHARS:
+                            some.append(texts[ahead].as_py())
+                            chars += len(some[-1])
+                            ahead += 1
+                        coder.meet(some)
                     got = coder.encode(text.as_py())
                     plain, s = got["plain"][1:], got["scores"]
                     if digests:

@@ -520,6 +520,22 @@ def test_n_best_is_exact():
         assert abs(score - got[0][0]) < 1e-6 and (len(got) < 2 or abs(gap - (got[0][0] - got[1][0])) < 1e-6) and (gap < pieces.TIE or ids == got[0][1])
 
 
+def test_words_learnt_together_are_as_learnt_alone():
+    v = pieces.Vocabulary.load()
+    r = random.Random(9)
+    words = [" the", "\n", "  x", "✓", "a", "北京", "xé✓", *("".join(r.choice("etaoin shrdlu.é✓▁\tA0") for _ in range(r.randint(1, 40))) for _ in range(600))]
+    got = pieces.Trie(v).two_best(words)
+    for w, g in zip(words, got, strict=True):
+        ids, score, gap = pieces.two_best(v, w)
+        assert (g is None) == any(x not in v.ids for x in w)
+        if g:
+            assert (np.frombuffer(g[0], "<i4").tolist(), g[1], g[2]) == (list(ids), score, gap)
+    met, alone = pieces.Coder(v), pieces.Coder(v)
+    texts = ["", "  ", "x" * 500, *(" ".join(words[a : a + 9]) for a in range(0, len(words), 9))]
+    met.meet(texts)
+    assert all(met.encode(t) == alone.encode(t) for t in texts)
+
+
 def test_whole_texts_get_all_their_n_best():
     v = pieces.Vocabulary.load()
     r = random.Random(8)
