@@ -119,3 +119,32 @@ def strong_components(arcs: DataFrame, nodes: DataFrame) -> DataFrame:
         n = now
     both = reach.join(reach.select(F.col("dst").alias("src"), F.col("src").alias("dst")), ["src", "dst"])
     return both.groupBy(F.col("src").alias("node")).agg(F.min("dst").alias("comp"))
+
+
+def chain_moves(edges: DataFrame, p: DataFrame, conn: DataFrame, paths: DataFrame, hops: int) -> DataFrame:
+    """(path, hop, v, g): the best node of every hop of some paths (path, hop, a, b), with the moves of earlier hops counted.
+
+    Every node of a hop's block can go, one that has just come too; ties go to smaller ids. Tables are the paths' and, for a
+    hop, a row for each node of its block; what earlier moves change is a row for each neighbour of a moved node.
+    """
+    near, done = symmetric(edges), None
+    for hop in range(1, hops + 1):
+        step = F.broadcast(paths.where(F.col("hop") == hop).select("path", "a", F.col("b").alias("to")))
+        here = p.join(step, F.col("b") == F.col("a")).select("path", "v", "a", "to")
+        if done is not None:
+            last = done.groupBy("path", "v").agg(F.max_by("b", "hop").alias("now"))
+            come = last.join(step, "path").where("now = a").select("path", "v", "a", "to")
+            here = here.join(F.broadcast(last), ["path", "v"], "left_anti").unionByName(come)
+        signed = F.when(F.col("x") == F.col("to"), F.col("w")).when(F.col("x") == F.col("a"), -F.col("w")).otherwise(0).alias("g")
+        rows = here.select("path", "v", F.lit(0).cast("long").alias("g"), F.lit(True).alias("here"))
+        rows = rows.unionByName(here.join(conn.select("v", F.col("b").alias("x"), "w"), "v").where("x in (a, to)").select("path", "v", signed, F.lit(True).alias("here")))
+        if done is not None:
+            moved = F.broadcast(done.select("path", F.col("v").alias("nbr"), F.col("a").alias("old"), F.col("b").alias("new")))
+            change = near.join(moved, "nbr").select("path", "v", F.explode(F.array(F.struct(F.col("old").alias("x"), (-F.col("w")).alias("w")), F.struct(F.col("new").alias("x"), F.col("w").alias("w")))).alias("c"))
+            change = change.select("path", "v", "c.x", "c.w").join(step, "path")
+            rows = rows.unionByName(change.select("path", "v", signed, F.lit(False).alias("here")))
+        best = rows.groupBy("path", "v").agg(F.sum("g").alias("g"), F.max("here").alias("here")).where("here").groupBy("path").agg(F.max(F.struct("g", (-F.col("v")).alias("v"))).alias("m"))
+        one = best.join(step, "path").select("path", F.lit(hop).alias("hop"), "a", F.col("to").alias("b"), (-F.col("m.v")).alias("v"), F.col("m.g").alias("g"))
+        one = settled(one) if hop < hops else one
+        done = one if done is None else done.unionByName(one)
+    return done.select("path", "hop", "v", "g")

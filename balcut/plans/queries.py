@@ -19,7 +19,7 @@ from ..operators.local import Arc, Local, Searcher, conflict
 from ..schema import PRESETS, BalanceSpec, Graph, RefineConfig
 from ..sources import derive
 from ..sources import files as FI
-from ..sources.scratch import scratch_path
+from ..sources.scratch import scratch_path, settled
 from ..streaming import edges as SE
 from . import experiments as X
 from . import sql as Q
@@ -409,6 +409,30 @@ def q_forest(spark, sf):
     return GR.levels(q, c.blocks.where("over > 0").select(F.col("b").cast("long").alias("v")), 4).select(F.col("v").cast("int").alias("b"), "level")
 
 
+_CHAIN = """, every as materialized (select p.v, p.b as a, q.b, coalesce(o.w, 0) - coalesce(i.w, 0) as g from p join blocks q on q.b <> p.b
+  left join conn o on o.v = p.v and o.b = q.b left join conn i on i.v = p.v and i.b = p.b),
+lead as materialized (select a, b, v, g from (select *, row_number() over (partition by a, b order by g desc, v) as r from every) where r = 1),
+adj as (select distinct a, b from gain),
+ways as (select i.a as x, i.b as y, j.b as z from adj i join adj j on j.a = i.b join blocks s on s.b = i.a join blocks t on t.b = j.b where s.over > 0 and t.cap > 0 and i.a <> j.b),
+follow as (select x, y, z, l.v as v1, l.g as g1, r.v as v2, r.g - coalesce(e.w, 0) as g2 from ways join lead l on l.a = x and l.b = y join every r on r.a = y and r.b = z left join s e on e.v = l.v and e.nbr = r.v
+  union all select x, y, z, l.v, l.g, l.v, coalesce(o.w, 0) - coalesce(i.w, 0) from ways join lead l on l.a = x and l.b = y left join conn o on o.v = l.v and o.b = z left join conn i on i.v = l.v and i.b = y)
+"""
+
+
+@query(Q.base(kind="skewed", more=_CHAIN) + "select x, y, z, v1, v2, cast(-(g1 + g2) as bigint) as cost from (select *, row_number() over (partition by x, y, z order by g2 desc, v2) as r from follow) where r = 1")
+def q_chain_costs(spark, sf):
+    """All chains of two single moves from an overloaded block over another to one with room."""
+    c = Case(spark, sf, kind="skewed")
+    conn = settled(c.conn)
+    pairs, b = M.gains(conn).select("a", "b").distinct(), c.blocks
+    ways = pairs.select(F.col("a").alias("x"), F.col("b").alias("y")).join(pairs.select(F.col("a").alias("y"), F.col("b").alias("z")), "y").where("x <> z")
+    ways = ways.join(b.where("over > 0").select(F.col("b").alias("x")), "x").join(b.where("cap > 0").select(F.col("b").alias("z")), "z").select("x", "y", "z", F.struct("x", "y", "z").alias("path"))
+    ways = settled(ways)
+    steps = ways.select("path", F.lit(1).alias("hop"), F.col("x").alias("a"), F.col("y").alias("b")).unionByName(ways.select("path", F.lit(2).alias("hop"), F.col("y").alias("a"), F.col("z").alias("b")))
+    moves = MO.chain_moves(c.g.edges, c.p, conn, steps, 2)
+    return moves.groupBy("path").agg(*(F.max(F.when(F.col("hop") == h, F.col("v"))).alias(f"v{h}") for h in (1, 2)), (-F.sum("g")).alias("cost")).select("path.x", "path.y", "path.z", "v1", "v2", "cost")
+
+
 # --- Moves
 
 _MOVES = ", moves as materialized (select v, any_value(a) as old_b, cast(min(b) as int) as new_b from (select *, row_number() over (partition by a, b order by g desc, v) as r from gain) where r = 1 group by v)"
