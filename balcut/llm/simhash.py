@@ -248,8 +248,11 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
 STAGE_WIDTH, ALIKE = 5, (4, 5)
 #: Shingles counted together in search of frequent ones, occurrences there that make one frequent, and how many are kept.
 COUNT_BLOCK, FREQUENT, FREQUENT_KEPT = 1 << 21, 16, 1 << 16
-#: Slots of a set's sketch; sums of the lesser counts bound the number of common shingles.
-SLOTS = np.uint64(256)
+#: Least slots of a set's sketch; sums of the lesser counts bound the number of common shingles. Larger sets have twice as
+#: many for each doubling, so that a slot's count stays small: from about 25 on, any two sets would seem alike.
+SLOTS, SLOT_FILL = 256, 8
+#: Counts of sketches that are compared at once.
+SKETCH_BLOCK = 1 << 22
 SLICE = 64
 #: Members of a group that a task compares at once; larger groups are dealt over blocks of about that size.
 LARGE_GROUP = 1 << 14
@@ -278,6 +281,16 @@ def _print(hashes: np.ndarray) -> int:
     return _signed(sum(1 << i for i in np.flatnonzero(2 * sums > len(hashes)).tolist()))
 
 
+def _slots(n: int) -> int:
+    """Slots of a sketch of n shingles: a power of two, so that one sketch folds into half its slots."""
+    return max(SLOTS, 1 << (-(-n // SLOT_FILL) - 1).bit_length())
+
+
+def _sketch(s: np.ndarray) -> bytes:
+    slots = _slots(len(s))
+    return np.minimum(np.bincount((s.view(np.uint64) % np.uint64(slots)).view(np.int64), minlength=slots), 255).astype(np.uint8).tobytes()
+
+
 def _keys_of(sets: list[np.ndarray]) -> pa.Array:
     """A hash of each set."""
     from xxhash import xxh64_intdigest
@@ -353,7 +366,7 @@ def marked_sets(rows: DataFrame, often: tuple[np.ndarray, np.ndarray], alike: tu
                 ids, hashes, texts = (batch.column(k).slice(a, SLICE) for k in range(3))
                 every = [_hashes(x, width) for x in texts]
                 sets = [_set(x) for x in every]
-                sketches = pa.array([np.minimum(np.bincount(s.view(np.uint64) % SLOTS, minlength=int(SLOTS)), 255).astype(np.uint8).tobytes() for s in sets], pa.binary())
+                sketches = pa.array([_sketch(s) for s in sets], pa.binary())
                 sizes = pa.array([len(s) for s in sets], pa.int32())
                 yield pa.RecordBatch.from_arrays([ids, hashes, _keys_of(sets), sizes, sketches, _lists([first(s) for s in sets]), pa.array([_print(x) for x in every], pa.int64())], names=["doc_id", "text_hash", "key", "n", "sketch", "first", "fp"])
 
@@ -372,21 +385,51 @@ def whole_sets(rows: DataFrame, width: int = STAGE_WIDTH) -> DataFrame:
     return rows.select("text").mapInArrow(run, "key bigint, tokens array<bigint>")
 
 
+class _Postings:
+    """The members that hold each shingle, for some of the sets of a group."""
+
+    def __init__(self, sets: list[np.ndarray], members: np.ndarray):
+        flat = np.concatenate([sets[i] for i in members.tolist()])
+        order = np.argsort(flat, kind="stable")
+        self.owner = np.repeat(members.astype(np.int32), [len(sets[i]) for i in members.tolist()])[order]
+        flat = flat[order]
+        first = np.flatnonzero(np.diff(flat, prepend=flat[:1] - 1)) if len(flat) else np.zeros(0, np.int64)
+        self.tokens, self.ptr = flat[first], np.append(first, len(flat))
+
+    def common(self, s: np.ndarray, n: int) -> np.ndarray:
+        """How many shingles of ``s`` each of n members holds. Members share few, unless they are copies."""
+        out = np.zeros(n, np.int64)
+        if not len(self.tokens):
+            return out
+        at = np.searchsorted(self.tokens, s)
+        at = at[self.tokens[np.minimum(at, len(self.tokens) - 1)] == s]
+        lengths = self.ptr[at + 1] - self.ptr[at]
+        ends = np.cumsum(lengths)
+        cuts = np.searchsorted(ends, np.arange(SKETCH_BLOCK, ends[-1] if len(ends) else 0, SKETCH_BLOCK))
+        for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), len(at)], strict=True):  # some postings at a time
+            if b > a:
+                m = lengths[a:b]
+                places = np.arange(m.sum()) + np.repeat(self.ptr[at[a:b]] - (np.cumsum(m) - m), m)
+                out += np.bincount(self.owner[places], minlength=n)
+        return out
+
+
 def _set_forest(keys: list[int], sets: list[np.ndarray], alike: tuple[int, int]) -> list[tuple[int, int]]:
     """Edges of the components of sets that are alike enough, by exact counts of common shingles: from a first member to each other."""
     p, q = alike
     sizes = np.array([len(s) for s in sets])
     left, edges, queue, root = np.arange(1, len(sets)), [], [0], 0
+    index, held = None, 0
     while queue and len(left):
         x = queue.pop()
-        near = left[(q * sizes[left] >= p * sizes[x]) & (q * sizes[x] >= p * sizes[left])]
-        if len(near):
-            hit = np.isin(np.concatenate([sets[y] for y in near.tolist()]), sets[x])
-            common = np.add.reduceat(hit, np.cumsum(sizes[near]) - sizes[near], dtype=np.int64)
-            near = near[q * common >= p * (sizes[near] + sizes[x] - common)]
-            edges += [(keys[root], keys[y]) for y in near.tolist()]
-            left = left[~np.isin(left, near)]
-            queue += near.tolist()
+        if index is None or 2 * len(left) < held:  # members that are placed leave the postings
+            index, held = _Postings(sets, left), len(left)
+        common = index.common(sets[x], len(sets))[left]
+        hit = (q * common >= p * (sizes[left] + sizes[x] - common)) & (q * sizes[left] >= p * sizes[x]) & (q * sizes[x] >= p * sizes[left])
+        near = left[hit]
+        edges += [(keys[root], keys[y]) for y in near.tolist()]
+        left = left[~hit]
+        queue += near.tolist()
         if not queue and len(left):
             root = int(left[-1])
             queue.append(root)
@@ -394,17 +437,42 @@ def _set_forest(keys: list[int], sets: list[np.ndarray], alike: tuple[int, int])
     return edges
 
 
+class _Sketches:
+    """Sketches of a group by their slots; those of twice as many are folded in, as sizes of alike sets differ by less."""
+
+    def __init__(self, sketches: list[bytes]):
+        self.slots = np.array([len(x) for x in sketches])
+        self.row, self.table = {}, {}
+        for z in np.unique(self.slots).tolist():
+            for held in (z, z // 2):
+                if held not in self.table and held >= SLOTS:
+                    some = np.flatnonzero((self.slots == held) | (self.slots == 2 * held))
+                    self.row[held] = np.full(len(sketches), -1)
+                    self.row[held][some] = np.arange(len(some))
+                    self.table[held] = np.array([np.frombuffer(sketches[i], np.uint8).astype(np.int16).reshape(-1, held).sum(axis=0) for i in some.tolist()], np.int16)
+
+    def least(self, x: int, others: np.ndarray) -> np.ndarray:
+        """Sums of the lesser counts of x and of each of some others, whose slots are as many, half or twice as many."""
+        out = np.zeros(len(others), np.int64)
+        for z in np.unique(np.minimum(self.slots[others], self.slots[x])).tolist():
+            at = np.flatnonzero(np.minimum(self.slots[others], self.slots[x]) == z)
+            mine, rows, step = self.table[z][self.row[z][x]], self.row[z][others[at]], max(1, SKETCH_BLOCK // z)
+            for a in range(0, len(at), step):
+                out[at[a : a + step]] = np.minimum(self.table[z][rows[a : a + step]], mine).sum(axis=1, dtype=np.int64)
+        return out
+
+
 def _possible(keys: list[int], sketches: list[bytes], sizes: list[int], alike: tuple[int, int]) -> list[tuple[int, int]]:
     """Edges of the components of members that may be alike by their sketches, from a first member to each other."""
     p, q = alike
-    held, n = np.array([np.frombuffer(x, np.uint8) for x in sketches], np.int64), np.array(sizes, np.int64)
-    over = n - held.sum(axis=1)  # shingles beyond a slot's largest count
+    held, n = _Sketches(sketches), np.array(sizes, np.int64)
+    over = n - np.array([np.frombuffer(x, np.uint8).sum(dtype=np.int64) for x in sketches])  # shingles beyond a slot's largest count
     left, found, queue = np.arange(1, len(n)), [[0]], [0]
     while queue and len(left):
         x = queue.pop()
         near = left[(q * n[left] >= p * n[x]) & (q * n[x] >= p * n[left])]
         if len(near):
-            most = np.minimum(held[near], held[x]).sum(axis=1) + np.maximum(over[near], over[x])
+            most = held.least(x, near) + over[near] + over[x]
             near = near[q * most >= p * (n[near] + n[x] - most)]
             found[-1] += near.tolist()
             left = left[~np.isin(left, near)]
