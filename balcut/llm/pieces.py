@@ -41,8 +41,10 @@ MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 N_BEST = 4
 #: Offset of the Zipf law; how far a byte's score lies under the least piece's.
 ZIPF_SHIFT, BYTE_PENALTY = 2.7, 1.0
-#: Words in one of the two generations of a worker's cache, and their greatest length.
-CACHE_WORDS, CACHE_CHARS = 700_000, 64
+#: Words in one of the two generations of a worker's cache, those of searched words, and their greatest length.
+CACHE_WORDS, CACHE_SEARCHED, CACHE_CHARS = 100_000, 12_000, 64
+#: Places of the marks that tell a word met before; they are wiped when an eighth of them is set.
+CACHE_MARKS = 1 << 22
 #: Words that are looked up together.
 BLOCK_WORDS = 1 << 16
 #: New words that are searched at once; texts and characters whose new words are looked for together.
@@ -274,22 +276,46 @@ class Trie:
 
 
 class _Known(dict):
-    """Words with (packed ids, score, gap), in two generations: a full one becomes the older, which is looked at once more."""
+    """What was learnt of words, in two generations: a full one becomes the older, which is looked at once more.
 
-    def __init__(self, learn):
-        self.learn, self.older = learn, {}
+    Most words of a corpus come once. So a word is only marked when it is met and kept from the second time on; till
+    the next texts are met, those of these texts are in ``fresh``.
+    """
+
+    def __init__(self, learn, most: int):
+        self.learn, self.most, self.older, self.fresh = learn, most, {}, {}
+        self.marks, self.marked = bytearray(CACHE_MARKS), 0
 
-    def __missing__(self, word: str) -> tuple[bytes, float, float]:
-        found = self.older.pop(word, None) or self.learn(word)
-        self.keep(word, found)
+    def __missing__(self, word: str):
+        found = self.fresh.get(word)
+        if found is None:
+            found = self.older.pop(word, None)
+            if found is not None:
+                self.keep(word, found)
+            else:
+                found = self.learn(word)
+                self.meet(word, found)
         return found
 
-    def keep(self, word: str, found: tuple[bytes, float, float]) -> None:
-        if len(word) <= CACHE_CHARS:
-            if len(self) >= CACHE_WORDS:
-                self.older = dict(self)
-                self.clear()
-            self[word] = found
+    def meet(self, word: str, found) -> bool:
+        """Keep a word that was met before, else mark it; whether it was kept, or is too long to be."""
+        if len(word) > CACHE_CHARS:
+            return True
+        at = hash(word) % CACHE_MARKS
+        if self.marks[at]:
+            self.keep(word, found)
+            return True
+        if self.marked >= CACHE_MARKS // 8:
+            self.marks, self.marked = bytearray(CACHE_MARKS), 0
+        self.marks[at] = 1
+        self.marked += 1
+        return False
+
+    def keep(self, word: str, found) -> None:
+        if len(self) >= self.most:
+            self.older = dict(self)
+            self.clear()
+        self[word] = found
 
 
 class Coder:
@@ -302,8 +328,8 @@ class Coder:
         lengths = np.array([len(t) for t in vocabulary.text], np.int64)
         self.lengths, self.places = lengths, np.cumsum(lengths) - lengths
         self.bytes = np.frombuffer(b"".join(vocabulary.text), np.uint8)
-        self.known, self.trie = _Known(self.learn), Trie(vocabulary)
-        self.searched: dict[str, list[tuple[float, bytes]]] = {}
+        self.known, self.trie = _Known(self.learn, CACHE_WORDS), Trie(vocabulary)
+        self.searched = _Known(self.search, CACHE_SEARCHED)
 
     def learn(self, word: str) -> tuple[bytes, float, float]:
         ids, score, gap = two_best(self.vocabulary, word)
@@ -314,6 +340,7 @@ class Coder:
     def meet(self, texts: list[str]) -> None:
         """Learn the new words of some texts together; words that are longer than the cache's are left to ``encode``."""
         known, older = self.known, self.known.older
+        known.fresh = fresh = {}
         new = {w for text in texts for w in self.cut(" " + text) if w not in known and w not in older and len(w) <= CACHE_CHARS}
         words = sorted(new, key=len)
         for a in range(0, len(words), MET_WORDS):
@@ -323,17 +350,16 @@ class Coder:
                     found = self.learn(word)
                 elif found[2] < TIE:
                     found = self.options(word)[0][1], found[1], 0.0
-                known.keep(word, found)
+                if not known.meet(word, found):
+                    fresh[word] = found
 
     def options(self, word: str) -> list[tuple[float, bytes]]:
         """The word's n best: how far each lies under the best, and its packed ids; searched for the few words that need it."""
-        found = self.searched.get(word)
-        if found is None:
-            best = n_best(self.vocabulary, word, self.n)
-            found = [(s - best[0][0], struct.pack(f"<{len(ids)}i", *ids)) for s, ids in best]
-            if len(word) <= CACHE_CHARS:
-                self.searched[word] = found
-        return found
+        return self.searched[word]
+
+    def search(self, word: str) -> list[tuple[float, bytes]]:
+        best = n_best(self.vocabulary, word, self.n)
+        return [(s - best[0][0], struct.pack(f"<{len(ids)}i", *ids)) for s, ids in best]
 
     def decode(self, packed: bytes) -> bytes:
         """The UTF-8 bytes of packed ids, with the blank that encoding puts in front."""
@@ -351,8 +377,6 @@ class Coder:
         words = self.cut(" " + text)
         ids, total = [], 0.0
         small: list[tuple[float, int]] = []
-        if len(self.searched) > CACHE_WORDS:
-            self.searched.clear()
         few = self.n - 1
         for a in range(0, len(words), BLOCK_WORDS):
             part = words[a : a + BLOCK_WORDS]
