@@ -27,6 +27,8 @@ import heapq
 import math
 import re
 import struct
+import sys
+from bisect import insort
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -42,7 +44,7 @@ N_BEST = 4
 #: Offset of the Zipf law; how far a byte's score lies under the least piece's.
 ZIPF_SHIFT, BYTE_PENALTY = 2.7, 1.0
 #: Words in one of the two generations of a worker's cache, those of searched words, and their greatest length.
-CACHE_WORDS, CACHE_SEARCHED, CACHE_CHARS = 100_000, 12_000, 64
+CACHE_WORDS, CACHE_SEARCHED, CACHE_CHARS = 300_000, 30_000, 64
 #: Places of the marks that tell a word met before; they are wiped when an eighth of them is set.
 CACHE_MARKS = 1 << 22
 #: Words that are looked up together.
@@ -107,9 +109,10 @@ class Vocabulary:
 
 def n_best(vocabulary: Vocabulary, word: str, n: int = N_BEST) -> list[tuple[float, tuple[int, ...]]]:
     """The n best segmentations of a word, best first: (score, ids)."""
-    known, score, begins, ends, longest = vocabulary.ids, vocabulary.score, vocabulary.begins, vocabulary.ends, vocabulary.longest
+    known, score, look = vocabulary.ids, vocabulary.score, vocabulary.steps.get
     size = len(word)
     best = [0.0] + [-math.inf] * size
+    into: list[list[tuple]] = [[] for _ in range(size + 1)]  # the pieces that end at a place: (start, score, ids)
     spelt: dict[int, tuple[float, tuple[int, ...]]] = {}
     for i in range(size):
         here = best[i]
@@ -117,19 +120,22 @@ def n_best(vocabulary: Vocabulary, word: str, n: int = N_BEST) -> list[tuple[flo
             codes = tuple(vocabulary.byte[b] for b in word[i].encode())
             spelt[i] = sum(score[c] for c in codes), codes
             best[i + 1] = max(best[i + 1], here + spelt[i][0])
-        for j in range(i + 1, min(size, i + longest) + 1):
-            part = word[i:j]
-            if part not in begins:
+        for j in range(i + 1, size + 1):
+            step = look(word[i:j], False)
+            if step:
+                s, codes = step
+                into[j].append((i, s, codes))
+                if here + s > best[j]:
+                    best[j] = here + s
+            elif step is False:  # no piece begins like this
                 break
-            k = known.get(part)
-            if k is not None and here + score[k] > best[j]:
-                best[j] = here + score[k]
     # Backward search: (whole score negated, place, last ids, number, score behind the place, pieces behind as a chain).
     waiting: list[tuple] = [(-round(best[size], 9), size, (), 0, 0.0, None)]
     done: list[tuple[float, tuple[int, ...]]] = []
     made = 0
     while waiting and len(done) < n:
         whole, place, _, _, behind, chain = waiting.pop(0)
+        wanted = n - len(done)
         if place == 0:
             ids: list[int] = []
             while chain is not None:
@@ -140,19 +146,16 @@ def n_best(vocabulary: Vocabulary, word: str, n: int = N_BEST) -> list[tuple[flo
         if place - 1 in spelt:
             s, codes = spelt[place - 1]
             made += 1
-            waiting.append((-round(best[place - 1] + s + behind, 9), place - 1, codes, made, s + behind, (codes, chain)))
-        for start in range(place - 1, max(0, place - longest) - 1, -1):
-            part = word[start:place]
-            if part not in ends:
-                break
-            k = known.get(part)
-            if k is not None:
-                s = score[k] + behind
-                made += 1
-                waiting.append((-round(best[start] + s, 9), start, (k,), made, s, ((k,), chain)))
-        if len(waiting) > 1:
-            waiting.sort()
-            del waiting[n - len(done) :]
+            insort(waiting, (-round(best[place - 1] + s + behind, 9), place - 1, codes, made, s + behind, (codes, chain)))
+        for start, s, codes in into[place]:
+            s += behind
+            whole = best[start] + s
+            # Clearly worse than all that are still wanted: it would be cut off below.
+            if len(waiting) >= wanted and whole < -waiting[wanted - 1][0] - TIE:
+                continue
+            made += 1
+            insort(waiting, (-round(whole, 9), start, codes, made, s, (codes, chain)))
+        del waiting[wanted:]
     return done
 
 
@@ -209,6 +212,9 @@ class Trie:
         for p, i in vocabulary.ids.items():
             self.piece[at[p]] = i
         self.score = np.array(vocabulary.score)
+        self.first = np.full(sys.maxunicode + 1, -1, np.int32)
+        ones = self.keys < 1 << 21
+        self.first[self.keys[ones]] = self.to[ones]
 
     def step(self, state: np.ndarray, code: np.ndarray) -> np.ndarray:
         """The states behind a character; -1 where no piece goes on with it."""
@@ -223,11 +229,11 @@ class Trie:
         code = np.frombuffer("".join(words).encode("utf-32-le"), np.uint32).astype(np.int64)
         word = np.repeat(np.arange(len(words)), size)
         start = np.arange(len(code)) - np.repeat(np.cumsum(size) - size, size)
-        place, state = np.arange(len(code)), np.zeros(len(code), np.int64)
+        place = np.arange(len(code))
         spelt = np.zeros(len(words), bool)
         found = []
         for n in range(1, int(size.max()) + 1):
-            state = self.step(state, code[place + n - 1])
+            state = self.step(state, code[place + n - 1]) if n > 1 else self.first[code].astype(np.int64)
             ids = np.where(state >= 0, self.piece[state], -1)
             if n == 1:
                 spelt[word[ids < 0]] = True
@@ -294,7 +300,10 @@ class _Known(dict):
                 self.keep(word, found)
             else:
                 found = self.learn(word)
-                self.meet(word, found)
+                if not self.meet(word, found):
+                    if len(self.fresh) >= self.most:
+                        self.fresh.clear()
+                    self.fresh[word] = found
         return found
 
     def meet(self, word: str, found) -> bool:
@@ -337,12 +346,14 @@ class Coder:
             return self.options(word)[0][1], score, 0.0
         return struct.pack(f"<{len(ids)}i", *ids), score, gap
 
-    def meet(self, texts: list[str]) -> None:
-        """Learn the new words of some texts together; words that are longer than the cache's are left to ``encode``."""
+    def meet(self, texts: list[str]) -> list[list[str]]:
+        """The words of some texts; new ones are learnt together, except those that are longer than the cache's, left to ``encode``."""
         known, older = self.known, self.known.older
         known.fresh = fresh = {}
-        new = {w for text in texts for w in self.cut(" " + text) if w not in known and w not in older and len(w) <= CACHE_CHARS}
-        words = sorted(new, key=len)
+        self.searched.fresh = {}
+        cut = [self.cut(" " + text) for text in texts]
+        new = set().union(*cut).difference(known, older)
+        words = sorted((w for w in new if len(w) <= CACHE_CHARS), key=len)
         for a in range(0, len(words), MET_WORDS):
             part = words[a : a + MET_WORDS]
             for word, found in zip(part, self.trie.two_best(part), strict=True):
@@ -352,6 +363,7 @@ class Coder:
                     found = self.options(word)[0][1], found[1], 0.0
                 if not known.meet(word, found):
                     fresh[word] = found
+        return cut
 
     def options(self, word: str) -> list[tuple[float, bytes]]:
         """The word's n best: how far each lies under the best, and its packed ids; searched for the few words that need it."""
@@ -370,11 +382,14 @@ class Coder:
             parts.append(self.bytes[np.repeat(self.places[ids] - np.cumsum(n) + n, n) + np.arange(n.sum())].tobytes())
         return b"".join(parts)
 
-    def encode(self, text: str) -> dict:
-        """Ids and decoded bytes of the best segmentation; scores and packed ids, in parts, of the n best."""
+    def encode(self, text: str, words: list[str] | None = None) -> dict:
+        """Ids and decoded bytes of the best segmentation; scores and packed ids, in parts, of the n best.
+
+        ``words`` are the text's, where ``meet`` has cut it already.
+        """
         if not text:
             return {"n": 0, "ids": b"", "plain": b" ", "scores": [0.0], "segmentations": [[b""]]}
-        words = self.cut(" " + text)
+        words = words or self.cut(" " + text)
         ids, total = [], 0.0
         small: list[tuple[float, int]] = []
         few = self.n - 1
@@ -469,12 +484,13 @@ def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", model: s
                             some.append(texts[ahead].as_py())
                             chars += len(some[-1])
                             ahead += 1
-                        coder.meet(some)
-                    got = coder.encode(text.as_py())
+                        cut = coder.meet(some)[::-1]
+                    text = text.as_py()
+                    got = coder.encode(text, cut.pop())
                     plain, s = got["plain"][1:], got["scores"]
                     if digests:
                         every = [{"score": x, "ids_sha256": _sha(p)} for x, p in zip(s, got["segmentations"], strict=True)]
-                        row = (got["n"], every[0]["ids_sha256"], hashlib.sha256(plain).hexdigest(), plain == text.as_buffer().to_pybytes(), s[0], round(s[0] - s[1], 6) if len(s) > 1 else None, every)
+                        row = (got["n"], every[0]["ids_sha256"], hashlib.sha256(plain).hexdigest(), plain == text.encode(), s[0], round(s[0] - s[1], 6) if len(s) > 1 else None, every)
                     else:
                         row = (got["n"], got["ids"], plain.decode(), [{"score": x, "ids": b"".join(p)} for x, p in zip(s, got["segmentations"], strict=True)])
                     for c, v in zip(columns, row, strict=True):

@@ -23,3 +23,15 @@ def test_words_met_once_are_not_kept_and_caches_stay_bounded(monkeypatch):
             assert len(cache) <= most and len(cache.older) <= most
     kept = {w.strip() for w in (*held.known, *held.known.older)}
     assert len(kept & set(often)) > 100 and not any(w.endswith("zq") for w in kept)
+
+
+def test_words_of_texts_met_together_are_searched_once(monkeypatch):
+    """op8: words with ties were searched when they were met and again when a text chose them."""
+    searched, real = [], pieces.n_best
+    monkeypatch.setattr(pieces, "n_best", lambda v, word, n: searched.append(word) or real(v, word, n))
+    held = pieces.Coder(pieces.Vocabulary.load())
+    texts = ["In&&& a$$$ and De%%%", "a$$$ Th$$$ é☃☃☃ In&&&"]
+    held.meet(texts)
+    got = [held.encode(text) for text in texts]
+    assert " a$$$" in searched and len(searched) == len(set(searched))
+    assert got == [pieces.Coder(held.vocabulary).encode(text) for text in texts]
