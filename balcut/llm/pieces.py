@@ -22,6 +22,8 @@ last pieces, equal sums of a text by the places of the changed words, last ones
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import hashlib
 import heapq
 import math
@@ -29,6 +31,7 @@ import re
 import struct
 import sys
 from bisect import insort
+from contextlib import suppress
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -45,6 +48,8 @@ N_BEST = 4
 ZIPF_SHIFT, BYTE_PENALTY = 2.7, 1.0
 #: Words in one of the two generations of a worker's cache, those of searched words, and their greatest length.
 CACHE_WORDS, CACHE_SEARCHED, CACHE_CHARS = 300_000, 30_000, 64
+#: The same two for the pipeline, whose other stages share the executor's memory.
+STAGE_CACHES = 100_000, 12_000
 #: Places of the marks that tell a word met before; they are wiped when an eighth of them is set.
 CACHE_MARKS = 1 << 22
 #: Words that are looked up together.
@@ -330,15 +335,16 @@ class _Known(dict):
 class Coder:
     """Encodes texts with a cache of words; one for each worker process."""
 
-    def __init__(self, vocabulary: Vocabulary, n: int = N_BEST):
+    def __init__(self, vocabulary: Vocabulary, n: int = N_BEST, caches: tuple[int, int] | None = None):
         self.vocabulary, self.n = vocabulary, n
+        words, searched = caches or (CACHE_WORDS, CACHE_SEARCHED)
         # A word takes the blanks before it along; line ends and blanks at the end stand alone.
         self.cut = re.compile(r" *[^ \n]+|\n| +" if vocabulary.apart else r"(?s).+").findall
         lengths = np.array([len(t) for t in vocabulary.text], np.int64)
         self.lengths, self.places = lengths, np.cumsum(lengths) - lengths
         self.bytes = np.frombuffer(b"".join(vocabulary.text), np.uint8)
-        self.known, self.trie = _Known(self.learn, CACHE_WORDS), Trie(vocabulary)
-        self.searched = _Known(self.search, CACHE_SEARCHED)
+        self.known, self.trie = _Known(self.learn, words), Trie(vocabulary)
+        self.searched = _Known(self.search, searched)
 
     def learn(self, word: str) -> tuple[bytes, float, float]:
         ids, score, gap = two_best(self.vocabulary, word)
@@ -424,15 +430,23 @@ class Coder:
         return {"n": len(packed) // 4, "ids": packed, "plain": self.decode(packed), "scores": scores, "segmentations": segmentations}
 
 
-_CODERS: dict[tuple[str, int], Coder] = {}
+_CODERS: dict[tuple, Coder] = {}
 
 
-def coder_of(model: str, vocabulary: Vocabulary, n: int = N_BEST) -> Coder:
-    """The worker process's coder for a model: its cache lives on from task to task."""
-    if (model, n) not in _CODERS:
+def coder_of(model: str, vocabulary: Vocabulary, n: int = N_BEST, caches: tuple[int, int] | None = None) -> Coder:
+    """The worker process's coder for a model: its cache lives on from task to task, unless ``let_go`` ends it."""
+    if (model, n, caches) not in _CODERS:
         _CODERS.clear()
-        _CODERS[model, n] = Coder(vocabulary, n)
-    return _CODERS[model, n]
+        _CODERS[model, n, caches] = Coder(vocabulary, n, caches)
+    return _CODERS[model, n, caches]
+
+
+def let_go() -> None:
+    """Give the memory of the worker process's coder back to the system; worker processes outlive their stage."""
+    _CODERS.clear()
+    gc.collect()  # a coder and its caches refer to each other
+    with suppress(AttributeError, OSError):  # other C libraries have no such call
+        ctypes.CDLL(None).malloc_trim(0)
 
 
 def combined(total: float, options: list[list[tuple[float, bytes]]], n: int) -> list[tuple[float, tuple[int, ...]]]:
@@ -457,10 +471,11 @@ ENCODED = "n_pieces bigint, ids binary, decoded string, n_best array<struct<scor
 DIGESTS = "n_pieces bigint, ids_sha256 string, decoded_sha256 string, round_trip boolean, best_score double, margin double, n_best array<struct<score:double,ids_sha256:string>>"
 
 
-def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", model: str = MODEL, digests: bool = False, n: int = N_BEST) -> DataFrame:
+def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", model: str = MODEL, digests: bool = False, n: int = N_BEST, caches: tuple[int, int] | None = None, keep: bool = True) -> DataFrame:
     """Ids (32-bit, little endian), decoded text and all n best segmentations of every row; or digests of them.
 
     The driver reads the vocabulary and sends it along; its size is the model's and never grows with the data.
+    Without ``keep`` a worker process holds no coder after a task: slower, but nothing is left for what runs next.
     """
     kind = docs.schema[doc_id].dataType.simpleString()
     shared = docs.sparkSession.sparkContext.broadcast(Vocabulary.load(model))
@@ -470,8 +485,8 @@ def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", model: s
     best = pa.list_(pa.struct([("score", pa.float64()), ("ids_sha256", pa.string()) if digests else ("ids", pa.binary())]))
     kinds = [pa.int64(), pa.string(), pa.string(), pa.bool_(), pa.float64(), pa.float64(), best] if digests else [pa.int64(), pa.binary(), pa.string(), best]
 
-    def run(batches):
-        coder = coder_of(model, shared.value, n)
+    def coded(batches):
+        coder = coder_of(model, shared.value, n, caches)
         for batch in batches:
             for a in range(0, batch.num_rows, MET_TEXTS):
                 ids, texts = batch.column(0).slice(a, MET_TEXTS), batch.column(1).slice(a, MET_TEXTS)
@@ -497,6 +512,13 @@ def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", model: s
                         c.append(v)
                 yield pa.RecordBatch.from_arrays([ids, *(pa.array(c, t) for c, t in zip(columns, kinds, strict=True))], names=names)
 
+    def run(batches):
+        try:
+            yield from coded(batches)
+        finally:
+            if not keep:
+                let_go()
+
     return rows.mapInArrow(run, f"doc_id {kind}, {out}")
 
 
@@ -506,4 +528,4 @@ def op8_sentencepiece(spark, sf_dir: str, model: str = MODEL) -> DataFrame:
 
 def pieces_stage(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Last pipeline stage: every document as digests of its ids, which decode to its text."""
-    return encode(docs, digests=True)
+    return encode(docs, digests=True, caches=STAGE_CACHES, keep=False)

@@ -313,6 +313,20 @@ def _text_hash(text: Column) -> Column:
     return F.xxhash64(text, text.isNull())
 
 
+def _often(held: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """Values met ``FREQUENT`` times or more in all arrays together, and how often. Takes the arrays out of the list.
+
+    Sorted in place: equal values lie together, so such a value equals the one ``FREQUENT - 1`` places on. Nothing
+    else as large as the block is made.
+    """
+    flat = np.concatenate([np.zeros(0, np.int64), *held])
+    held.clear()
+    flat.sort()
+    first = flat[: max(0, len(flat) - FREQUENT + 1)]
+    found = np.unique(first[first == flat[len(flat) - len(first) :]])
+    return found, np.searchsorted(flat, found, "right") - np.searchsorted(flat, found)
+
+
 def frequent(rows: DataFrame, width: int = STAGE_WIDTH) -> tuple[np.ndarray, np.ndarray]:
     """Some frequent shingles of the texts, sorted, and their counts.
 
@@ -324,9 +338,8 @@ def frequent(rows: DataFrame, width: int = STAGE_WIDTH) -> tuple[np.ndarray, np.
         held, n = [], 0
 
         def out():
-            found, counts = np.unique(np.concatenate([np.zeros(0, np.int64), *held]), return_counts=True)
-            many = counts >= FREQUENT
-            return pa.RecordBatch.from_arrays([pa.array(found[many]), pa.array(counts[many])], names=["h", "n"])
+            found, counts = _often(held)
+            return pa.RecordBatch.from_arrays([pa.array(found), pa.array(counts)], names=["h", "n"])
 
         for batch in batches:
             for a in range(0, batch.num_rows, SLICE):
@@ -334,7 +347,7 @@ def frequent(rows: DataFrame, width: int = STAGE_WIDTH) -> tuple[np.ndarray, np.
                 n += sum(map(len, held[-SLICE:]))
                 if n >= COUNT_BLOCK:
                     yield out()
-                    held, n = [], 0
+                    n = 0
         yield out()
 
     top = rows.select("text").mapInArrow(run, "h bigint, n bigint").groupBy("h").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "h").limit(FREQUENT_KEPT).collect()
